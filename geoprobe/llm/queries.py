@@ -29,4 +29,4 @@ def op7_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_decontamination, op2_media, op3_substring_dedup, op7_bpe)}
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQLS: dict[str, str] = {}
