@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontamination, media, substring_dedup
+from . import bpe, decontamination, line_dedup, media, near_dedup, substring_dedup
 from .common import digest_of, load
 
 
@@ -28,5 +28,14 @@ def op7_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.token_digests(load(spark, sf_dir, "documents", "doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op1_decontamination, op2_media, op3_substring_dedup, op7_bpe)}
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    made = line_dedup.without_boilerplate(load(spark, sf_dir, "documents", "doc_id", "text", "source"))
+    return made.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
+def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_duplicates(load(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+QUERIES = {f.__name__: f for f in (op1_decontamination, op2_media, op3_substring_dedup, op7_bpe, op9_line_dedup, op10_near_dedup)}
 ORACLE_SQLS: dict[str, str] = {}
