@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import os
 import tempfile
+import uuid
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -19,13 +22,34 @@ def workers_can_import(spark: SparkSession) -> None:
         environment["PYTHONPATH"] = os.pathsep.join([*paths, ROOT])
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Materialise `df` in the shared checkpoint folder and cut its lineage.
-
-    The folder is the session's spark.checkpoint.dir; only where that is unset (tests on one machine) a local
-    temporary folder is used."""
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """The session's spark.checkpoint.dir; only where that is unset (tests on one machine) a local temporary folder."""
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
         context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
-    return df.checkpoint(eager=True)
+    return context._jsc.sc().getCheckpointDir().get()
+
+
+_WRITTEN: list[tuple[SparkSession, str]] = []
+
+
+def _remove_written() -> None:
+    for spark, path in _WRITTEN:
+        with contextlib.suppress(Exception):  # the session may have ended before
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Write `df` as a table in the shared checkpoint folder and read it again, which cuts its lineage.
+
+    A table is taken rather than Dataset.checkpoint() because the latter carries the planner's size estimates along:
+    joined from round to round they grow without bound, and planning an iterative job comes to take minutes. The
+    tables go when Python exits; until then every lazily derived result can read them."""
+    spark = df.sparkSession
+    path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
+    if not _WRITTEN:
+        atexit.register(_remove_written)
+    _WRITTEN.append((spark, path))
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
