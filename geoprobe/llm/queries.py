@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontamination, line_dedup, media, near_dedup, substring_dedup
-from .common import digest_of, load
+from . import bpe, decontamination, html_extraction, language_id, line_dedup, media, near_dedup, pii, substring_dedup, toxicity
+from .common import digest_of, held_out, load
 
 
 def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,10 +24,34 @@ def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.without_repeats(load(spark, sf_dir, "documents", "doc_id", "text"), texts=False)
 
 
+def op4_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extraction.extracted(load(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
+def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.find_personal_data(load(spark, sf_dir, "documents", "doc_id", "text"))
+    kinds = F.transform("spans", lambda s: s["kind"])
+    counts = [(F.size(kinds) - F.size(F.array_remove(kinds, i))).cast("long").alias(f"n_{kind}") for i, kind in enumerate(pii.KINDS)]
+    base = pii.named(F.filter("spans", lambda s: s["kind"] < pii.BASE))
+    return found.select("doc_id", *counts, F.sha2(base, 256).alias("base_sha256"), pii.named(F.col("spans")).alias("spans"))
+
+
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents", "doc_id", "text")
+    scores = toxicity.scored(docs, toxicity.fit(docs, load(spark, sf_dir, "labels", "doc_id", "toxic")))
+    return scores.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= toxicity.CUTOFF).cast("int").alias("predicted"))
+
+
 def op7_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.token_digests(load(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents", "doc_id", "text", "lang")
+    found = language_id.identified(docs, language_id.fit(docs))
+    return found.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = line_dedup.without_boilerplate(load(spark, sf_dir, "documents", "doc_id", "text", "source"))
     return made.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
@@ -37,5 +61,8 @@ def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.near_duplicates(load(spark, sf_dir, "documents", "doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op1_decontamination, op2_media, op3_substring_dedup, op7_bpe, op9_line_dedup, op10_near_dedup)}
+QUERIES = {
+    f.__name__: f
+    for f in (op1_decontamination, op2_media, op3_substring_dedup, op4_html_extraction, op5_pii, op6_toxicity, op7_bpe, op8_language_id, op9_line_dedup, op10_near_dedup)
+}
 ORACLE_SQLS: dict[str, str] = {}
