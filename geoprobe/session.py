@@ -14,8 +14,17 @@ from pyspark.sql import DataFrame, SparkSession
 ROOT = str(Path(__file__).resolve().parent.parent)
 
 
+#: Rows and bytes that a Python worker is handed at a time, at most; texts and rasters are wide rows.
+BATCH_ROWS, BATCH_BYTES = 1000, 16 << 20
+
+
 def workers_can_import(spark: SparkSession) -> None:
-    """Let Python workers import this package from where the driver found it (a cluster deploys it with --py-files)."""
+    """Let Python workers import this package from where the driver found it (a cluster deploys it with --py-files), and
+    hand them wide rows in small batches (settings of the running session, which a smaller value of the user's overrides)."""
+    rows, size = "spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch"
+    if not 0 < int(spark.conf.get(rows, "10000")) <= BATCH_ROWS:
+        spark.conf.set(rows, str(BATCH_ROWS))
+        spark.conf.set(size, str(BATCH_BYTES))
     environment = spark.sparkContext.environment
     paths = [p for p in environment.get("PYTHONPATH", "").split(os.pathsep) if p]
     if ROOT not in paths:
