@@ -33,6 +33,7 @@ class Config:
     seed: int = 42
     dropout: float = 0.1
     mode: str = "local"
+    precision: str = "full"
     rates: dict | None = None
 
     def rate(self, strategy: str) -> float:
@@ -79,6 +80,23 @@ class LossScale:
         return True
 
 
+def halved(model: enc.Model) -> enc.Model:
+    """The model with every tensor rounded to half precision, as a mixed-precision forward pass sees it."""
+    half = lambda d: {k: v.astype(np.float16).astype(np.float32) for k, v in d.items()}
+    return enc.Model(model.strategy, half(model.encoder), model.texts, half(model.extra), model.rank, model.alpha)
+
+
+def mixed_gradients(model: enc.Model, images, y, scale: LossScale, dropout: float = 0.0, rng=None):
+    """Loss and gradients through half precision: gradients are scaled before they are rounded and unscaled after; None
+    if they overflow, which also lowers the scale."""
+    loss, grads = halved(model).gradients(images, y, dropout, rng)
+    with np.errstate(over="ignore"):
+        small = {k: (g * scale.scale).astype(np.float16) for k, g in grads.items()}
+    if not scale.update(all(np.isfinite(g).all() for g in small.values())):
+        return loss, None
+    return loss, {k: g.astype(np.float32) / scale.scale for k, g in small.items()}
+
+
 def aligned(spark, corpus: DataFrame, ridge: float = 10.0, seed: int = 42) -> dict[str, np.ndarray]:
     """Encoder weights whose projection maps pooled image features of unlabelled texts onto their text features, by ridge
     regression. Partitions add up their moment matrices and emit them once; the sums are aggregated by position."""
@@ -131,7 +149,7 @@ def _epoch(rows: DataFrame, model: enc.Model, config: Config, epoch: int) -> lis
 
     def run(batches):
         start = shared.value
-        here, adam = start, AdamW(config.decay)
+        here, adam, scale = start, AdamW(config.decay), LossScale(1024.0)
         count, loss, sums, seen, hits, held = 0, 0.0, {}, 0, 0, []
         rng = np.random.default_rng([config.seed, epoch])
         for rows_ in _batches(batches, 512):
@@ -144,7 +162,12 @@ def _epoch(rows: DataFrame, model: enc.Model, config: Config, epoch: int) -> lis
                 continue
             images, y = np.stack([rasters.of_text(r[1] or "") for r in held]), np.array([r[2] for r in held])
             for i in range(0, len(held), config.batch):
-                one, grads = here.gradients(images[i : i + config.batch], y[i : i + config.batch], config.dropout, rng)
+                if config.precision == "mixed":
+                    one, grads = mixed_gradients(here, images[i : i + config.batch], y[i : i + config.batch], scale, config.dropout, rng)
+                    if grads is None:
+                        continue
+                else:
+                    one, grads = here.gradients(images[i : i + config.batch], y[i : i + config.batch], config.dropout, rng)
                 size = len(y[i : i + config.batch])
                 loss, count = loss + one * size, count + size
                 if config.mode == "local":

@@ -168,7 +168,12 @@ def edges(raster: np.ndarray, low: float = 100, high: float = 200, sigma: float
 
 
 def scrambled(raster: np.ndarray, n: int, seed: int, image: int, scope: str = "image", remainder: str = "keep") -> np.ndarray:
-    """Whole n x n blocks in seeded random order; a margin that holds no whole block stays, or is cropped."""
+    """Whole n x n blocks in seeded random order; a margin that holds no whole block stays (`keep`), is cropped, or is
+    avoided by resizing to the nearest multiple of n."""
+    if remainder == "resize":
+        wide = max(1, round(raster.shape[0] / n)) * n
+        at = np.arange(wide) * raster.shape[0] // wide
+        raster = raster[at][:, at]
     side = raster.shape[0] // n * n
     if side == 0 or side == n:
         return raster.copy()

@@ -156,8 +156,8 @@ def test_low_rank_starts_as_base_and_merges():
 def test_probe_leaves_encoder_alone(spark):
     rows = spark.createDataFrame([(i, ("the cat sat " if i % 2 else "der hund lief ") * 40, i % 2, "val" if i % 5 == 0 else "train") for i in range(60)], "doc_id long, text string, y int, split string")
     start = enc.Model.start("linear", enc.initial(), enc.text_features(["x", "y"]))
-    for mode in ("local", "sync"):
-        model, history = ladder.trained(rows, start, ladder.Config(epochs=3, mode=mode))
+    for mode, precision in (("local", "full"), ("sync", "full"), ("local", "mixed")):
+        model, history = ladder.trained(rows, start, ladder.Config(epochs=3, mode=mode, precision=precision))
         assert all(np.array_equal(model.encoder[k], start.encoder[k]) for k in start.encoder)
         assert history[-1]["train_loss"] < history[0]["train_loss"] and len(history) == 3
     block, _ = ladder.trained(rows, enc.Model.start("last_block", enc.initial(), start.texts), ladder.Config(epochs=1))
@@ -190,3 +190,42 @@ def test_plans_hold_no_product_and_push_columns(spark, sf_dir, capsys):
     assert "CartesianProduct" not in text and "BroadcastNestedLoopJoin" not in text
     geography.QUERIES["pool_counts"](spark, sf_dir).explain("formatted")
     assert "props" not in capsys.readouterr().out
+
+
+def test_image_folder_and_report(spark, tmp_path):
+    from geoprobe.sources import images
+
+    wide = np.arange(6 * 10 * 3, dtype=np.uint8).reshape(6, 10, 3)
+    (tmp_path / "a.ppm").write_bytes(b"P6\n# made here\n10 6\n255\n" + wide.tobytes())
+    row = images.image_folder(spark, str(tmp_path), side=6).first()
+    assert np.array_equal(np.frombuffer(bytes(row["pixels"]), np.uint8).reshape(6, 6, 3), wide[:, 2:8])
+    with pytest.raises(ValueError, match="PGM"):
+        images.decode_pnm(b"\x89PNG")
+    images.write_report(spark.createDataFrame([("baseline", 0, "x")], "condition string, region int, text string"), str(tmp_path / "r"))
+    assert images.prompt_file(spark, str(tmp_path / "r")).first()["text"] == "x"
+
+
+def test_table_functions(spark):
+    from geoprobe.functions import tables
+    from geoprobe.session import workers_can_import
+
+    workers_can_import(spark)
+    tables.register(spark)
+    assert spark.sql("SELECT * FROM explode_blocks(56, 16)").count() == 9
+    assert spark.sql("SELECT * FROM polygon_cells(0.0D, 0.0D, 0.25D, 0.15D, 0.1D)").count() == 6
+
+
+def test_schema_check(spark, sf_dir):
+    from geoprobe.sources.tables import assert_schema, load
+
+    assert assert_schema(load(spark, sf_dir, "events"), "events") is not None
+    with pytest.raises(TypeError, match="user_id"):
+        assert_schema(load(spark, sf_dir, "events").drop("user_id"), "events")
+
+
+def test_prediction_log_is_replaced_by_partition(spark, tmp_path):
+    log = spark.createDataFrame(LOG, "model string, transform string, image_id int, y int, pred int")
+    for _ in range(2):
+        measures.append_log(log, str(tmp_path / "log"))
+        measures.append_log(log.where("model = 'z'"), str(tmp_path / "log"))
+    assert spark.read.parquet(str(tmp_path / "log")).count() == len(LOG)
