@@ -14,7 +14,7 @@ from ..session import checkpointed, shared_folder, workers_can_import
 __all__ = ["as_binary", "checkpointed", "digest_of", "held_out", "load", "map_text", "shared_folder", "slices", "workers_can_import"]
 
 #: A Python worker handles about this many text bytes at a time, whatever the Arrow batch size.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 
 
 def as_binary(column: pa.Array) -> list[bytes]:

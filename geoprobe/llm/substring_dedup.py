@@ -8,8 +8,9 @@ document only is done. The others are settled in two steps:
    aggregation; all windows of later occurrences are repeats;
 2. where one minimiser has several different super-k-mers, those of the smallest documents travel as one packed
    string each to the minimiser's bucket, where sorting brings a bucket together and its windows are compared word for
-   word. Minimisers with more than `HOT` occurrences (a very common line) are not gathered in one bucket: their windows
-   are dealt out one by one under a 128-bit hash and reduced by aggregation.
+   word. Super-k-mers of a minimiser with more than `HOT` occurrences (a very common line) are not gathered in one
+   bucket: they are cut again by a minimiser of another order, up to `ORDERS` times; of what is common even then, single
+   windows are dealt out under a 128-bit hash and reduced by aggregation.
 
 A word is removed if a window that covers it also starts in a document with a smaller doc_id.
 
@@ -29,17 +30,19 @@ from pyspark.sql import functions as F
 from .common import as_binary, checkpointed, map_text
 from .words import Powers, hashed, mix, odd_constants, runs_of, sliding_minimum, split_words
 
-WINDOW, SEED_WORDS, HOT = 50, 8, 512
+WINDOW, SEED_WORDS, HOT, ORDERS = 50, 8, 512, 4
 _SEEDS = odd_constants(SEED_WORDS, 3)
 _SEQUENCE, _OTHER = Powers(0x5851F42D4C957F2D), Powers(0x2545F4914F6CDD1D)
 
 
-def super_kmers(flat: np.ndarray, ends: np.ndarray, window: int = WINDOW):
-    """(document number, first word within it, windows, minimiser, sequence hash) of every super-k-mer."""
+def super_kmers(flat: np.ndarray, ends: np.ndarray, window: int = WINDOW, order: int = 0):
+    """(document number, first word within it, windows, minimiser, sequence hash) of every super-k-mer. `order` says by
+    which of several hash orders runs are compared."""
     none = np.zeros(0, np.int64)
     if len(flat) < window:
         return none, none, none, none.astype(np.uint64), none.astype(np.uint64)
-    lows = sliding_minimum(runs_of(flat, SEED_WORDS, _SEEDS), window - SEED_WORDS + 1)
+    seeds = runs_of(flat, SEED_WORDS, _SEEDS)
+    lows = sliding_minimum(mix(seeds + np.uint64(order)) if order else seeds, window - SEED_WORDS + 1)
     owner = np.repeat(np.arange(len(ends) - 1), np.diff(ends))
     at = np.flatnonzero(owner[: len(lows)] == owner[window - 1 :])
     if not len(at):
@@ -82,25 +85,29 @@ def _packed(batch: pa.RecordBatch, window: int) -> dict:
     return out
 
 
-def _single(batch: pa.RecordBatch, window: int) -> dict:
-    """Every window of the wanted super-k-mers under two 64-bit hashes."""
-    ids, texts, places = batch.column("doc_id").to_pylist(), as_binary(batch.column("text")), batch.column("places").to_pylist()
-    flat, ends = hashed([t.split() if p else [] for t, p in zip(texts, places, strict=True)])
-    doc, start = [], []
-    for i, own in enumerate(places):
-        for p in own or ():
-            first = p["place"] >> 32
-            start.append(np.arange(first, first + (p["place"] & 0xFFFFFFFF)))
-            doc.append(np.full(len(start[-1]), i))
-    doc = np.concatenate(doc) if doc else np.zeros(0, np.int64)
-    start = np.concatenate(start) if start else np.zeros(0, np.int64)
-    first = ends[doc] + start
+def _cut_again(batch: pa.RecordBatch, window: int, order: int) -> dict:
+    """Packed super-k-mers cut at changes of another order's minimiser; the key tells both minimisers."""
+    texts = as_binary(batch.column("packed"))
+    words = split_words(texts)
+    row, start, count, low, sequence = super_kmers(*hashed(words), window, order)
+    keys, ids, firsts = (np.array(batch.column(c).to_pylist(), np.int64) for c in ("key", "doc_id", "start"))
     return {
-        "a": _SEQUENCE.stretches(flat, first, first + window).view(np.int64), "b": _OTHER.stretches(mix(flat), first, first + window).view(np.int64),
-        "doc_id": np.array(ids, np.int64)[doc] if len(ids) else doc, "start": start,
+        "key": mix(low ^ mix(keys.view(np.uint64)[row] + np.uint64(order))).view(np.int64), "sequence": sequence.view(np.int64), "doc_id": ids[row], "start": firsts[row] + start, "windows": count,
+        "packed": [b" ".join(words[r][s : s + n + window - 1]) for r, s, n in zip(row.tolist(), start.tolist(), count.tolist(), strict=True)],
     }
 
 
+def _single(batch: pa.RecordBatch, window: int) -> dict:
+    """Every window of packed super-k-mers under two 64-bit hashes."""
+    flat, ends = hashed(split_words(as_binary(batch.column("packed"))))
+    ids, firsts = (np.array(batch.column(c).to_pylist(), np.int64) for c in ("doc_id", "start"))
+    sizes = np.maximum(0, np.diff(ends) - window + 1)
+    row = np.repeat(np.arange(len(sizes)), sizes)
+    at = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    first = ends[row] + at
+    return {"a": _SEQUENCE.stretches(flat, first, first + window).view(np.int64), "b": _OTHER.stretches(mix(flat), first, first + window).view(np.int64), "doc_id": ids[row], "start": firsts[row] + at}
+
+
 def repeats_in_bucket(rows: list[tuple[int, int, bytes]], window: int) -> list[tuple[int, int, int]]:
     """(document, first word, windows) of the windows that also start in a smaller document of the same bucket."""
     cut, least = [], {}
@@ -146,24 +153,40 @@ def _bucket_repeats(packed: DataFrame, window: int) -> DataFrame:
     return dealt.mapInArrow(run, "doc_id long, start long, windows long")
 
 
-def repeated_windows(docs: DataFrame, window: int = WINDOW, hot: int = HOT) -> DataFrame:
-    """doc_id, start, windows: runs of windows that also start in a document with a smaller doc_id (they may overlap)."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    found = _occurrences(docs.where("doc_id is not null"), window)
+def _told(found: DataFrame, hot: int) -> DataFrame:
+    """Super-k-mers whose minimiser occurs in several documents: `least` is the smallest document with the same words,
+    `mixed` says whether the minimiser has other words too, `hot` whether it is very common."""
+    rest = [c for c in found.columns if c not in ("key", "sequence")]
     keys = found.groupBy("key").agg(F.count("*").alias("n"), F.min("doc_id").alias("a"), F.max("doc_id").alias("z"), (F.min("sequence") != F.max("sequence")).alias("mixed"))
     shared = checkpointed(keys.where("a < z").select(F.col("key").alias("shared_key"), "mixed", (F.col("n") > hot).alias("hot")))
-    some = checkpointed(found.join(shared, F.col("key") == F.col("shared_key")).select("key", "sequence", "doc_id", "place", "mixed", "hot"))
+    some = checkpointed(found.join(shared, F.col("key") == F.col("shared_key")).select("key", "sequence", *rest, "mixed", "hot"))
     least = checkpointed(some.groupBy("key", "sequence").agg(F.min("doc_id").alias("least")).select(F.col("key").alias("k"), F.col("sequence").alias("s"), "least"))
-    told = checkpointed(some.join(least, (F.col("key") == F.col("k")) & (F.col("sequence") == F.col("s"))).select("key", "doc_id", "place", "mixed", "hot", "least"))
-    whole = told.where("least < doc_id").select("doc_id", F.shiftright("place", 32).alias("start"), F.col("place").bitwiseAND(0xFFFFFFFF).alias("windows"))
-    open_ = told.where("least = doc_id and mixed").select("key", "doc_id", "place", "hot")
-    packed = _with_places(docs, open_.where("not hot"), lambda b: _packed(b, window), "key long, doc_id long, start long, packed binary")
-    out = whole.unionByName(_bucket_repeats(packed, window))
-    if not told.where("least = doc_id and mixed and hot").isEmpty():
-        single = checkpointed(_with_places(docs, open_.where("hot"), lambda b: _single(b, window), "a long, b long, doc_id long, start long"))
-        first = checkpointed(single.groupBy("a", "b").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("z")).where("least < z").select(F.col("a").alias("c"), F.col("b").alias("d"), "least"))
-        out = out.unionByName(single.join(first, (F.col("a") == F.col("c")) & (F.col("b") == F.col("d"))).where("doc_id > least").select("doc_id", "start", F.lit(1).cast("long").alias("windows")))
-    return out
+    return checkpointed(some.join(least, (F.col("key") == F.col("k")) & (F.col("sequence") == F.col("s"))).select("key", *rest, "mixed", "hot", "least"))
+
+
+def repeated_windows(docs: DataFrame, window: int = WINDOW, hot: int = HOT, orders: int = ORDERS) -> DataFrame:
+    """doc_id, start, windows: runs of windows that also start in a document with a smaller doc_id (they may overlap)."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    told = _told(_occurrences(docs.where("doc_id is not null"), window), hot)
+    out = told.where("least < doc_id").select("doc_id", F.shiftright("place", 32).alias("start"), F.col("place").bitwiseAND(0xFFFFFFFF).alias("windows"))
+    strings = "key long, doc_id long, start long, packed binary"
+    pack = lambda b: _packed(b, window)
+    out = out.unionByName(_bucket_repeats(_with_places(docs, told.where("least = doc_id and mixed and not hot").select("key", "doc_id", "place"), pack, strings), window))
+    common = told.where("least = doc_id and mixed and hot").select("key", "doc_id", "place")
+    if common.isEmpty():
+        return out
+    left = checkpointed(_with_places(docs, common, pack, strings))
+    for order in range(1, orders + 1):
+        cut = checkpointed(map_text(left, lambda b, order=order: _cut_again(b, window, order), "key long, sequence long, doc_id long, start long, windows long, packed binary", column="packed"))
+        told = _told(cut, hot)
+        out = out.unionByName(told.where("least < doc_id").select("doc_id", "start", "windows"))
+        out = out.unionByName(_bucket_repeats(told.where("least = doc_id and mixed and not hot").select("key", "doc_id", "start", "packed"), window))
+        left = told.where("least = doc_id and mixed and hot").select("key", "doc_id", "start", "packed")
+        if left.isEmpty():
+            return out
+    single = checkpointed(map_text(left, lambda b: _single(b, window), "a long, b long, doc_id long, start long", column="packed"))
+    first = checkpointed(single.groupBy("a", "b").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("z")).where("least < z").select(F.col("a").alias("c"), F.col("b").alias("d"), "least"))
+    return out.unionByName(single.join(first, (F.col("a") == F.col("c")) & (F.col("b") == F.col("d"))).where("doc_id > least").select("doc_id", "start", F.lit(1).cast("long").alias("windows")))
 
 
 def _kept(words: list[bytes], spans, window: int) -> list[bytes]:

@@ -6,7 +6,7 @@ import numpy as np
 import xxhash
 
 #: Distinct words whose hashes a worker remembers.
-REMEMBERED = 1_000_000
+REMEMBERED = 200_000
 
 
 class _Hashes(dict):
