@@ -6,9 +6,11 @@ maximum and agree with a probability close to the similarity. Four registers mak
 misses all bands with a probability of about 5e-6.
 
 Documents with equal sets are one class, found by aggregation. Between classes, candidates share a band value. They are
-not paired all with all: in each round every document of a bucket is compared with one pivot of its bucket, verified
-links are merged into components, and only buckets that still span several components go on, with other pivots. What
-is left is compared completely across components, so no link between components that share a bucket is lost.
+not paired all with all: in each of a few rounds every document of a bucket is compared with one pivot of its bucket,
+verified links are merged into components, and only buckets that still span several components go on. What is left
+(near copies of one text that are mostly just under the threshold) is compared block by block: documents that hang
+together through such buckets are dealt into blocks, a task gets two blocks with their whole sets and compares, in memory,
+the documents of different components that share a band value. Pairs are never rows, and no link is lost.
 A comparison first estimates the similarity from both sketches by maximum likelihood and skips pairs more than
 `SLACK` under the threshold (five standard errors); the rest is decided on the whole sets.
 
@@ -32,8 +34,10 @@ REGISTERS = BANDS * ROWS
 #: SetSketch parameters: base, rate, largest register value.
 BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
 SLACK = 0.2
-#: Partners that are compared with one copy of a pivot's set; rounds of pivots before the complete comparison.
-BATCH, PIVOT_ROUNDS = 64, 6
+#: Partners that are compared with one copy of a pivot's set; rounds of pivots before the comparison in blocks.
+BATCH, PIVOT_ROUNDS = 64, 2
+#: A group is dealt into BLOCKS blocks, of at least and at most so many documents.
+BLOCKS, BLOCK_LEAST, BLOCK_MOST = 20, 64, 1024
 
 _SHINGLE = odd_constants(SHINGLE, 5)
 _TIMES, _PLUS = odd_constants(REGISTERS, 7), odd_constants(REGISTERS, 11)
@@ -126,6 +130,11 @@ def linked(a: np.ndarray, b: np.ndarray, threshold: int) -> bool:
     return 100 * common >= threshold * (len(a) + len(b) - common)
 
 
+def likely(a: tuple, b: tuple, threshold: int) -> bool:
+    """Whether the sketches of two (registers, set) leave a link possible."""
+    return likely_similarity(a[0], b[0], len(a[1]), len(b[1])) >= threshold / 100 - SLACK
+
+
 def verified(pairs: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
     """The pairs (doc_id, pivot) that are similar enough, as links (a, b). A pivot's set is sent once for each BATCH of
     partners, so neither a popular pivot nor its partners meet in one task."""
@@ -143,7 +152,7 @@ def verified(pairs: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
                 here = np.frombuffer(registers, np.uint16), np.frombuffer(shingles, np.uint64)
                 if kind == 0:
                     own = here
-                elif likely_similarity(own[0], here[0], len(own[1]), len(here[1])) >= threshold / 100 - SLACK and linked(own[1], here[1], threshold):
+                elif likely(own, here, threshold) and linked(own[1], here[1], threshold):
                     found.append((pivot, doc))
             yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in (0, 1)], schema=schema)
 
@@ -151,57 +160,104 @@ def verified(pairs: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
 
 
 def connected(links: DataFrame) -> DataFrame:
-    """(node, label): the smallest node that each node of the links (a, b) reaches. Labels spread to neighbours and
-    then jump to their label's label, each round materialised, until nothing changes."""
-    edges = checkpointed(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    labels = checkpointed(edges.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.first("a")).alias("label")))
-    while True:
-        near = edges.join(labels, F.col("a") == F.col("node")).groupBy(F.col("b").alias("to")).agg(F.min("label").alias("near"))
-        spread = checkpointed(labels.join(near, F.col("node") == F.col("to"), "left").select("node", F.least("label", "near").alias("label"), F.col("label").alias("old")))
-        if spread.where("label < old").isEmpty():
-            return labels
-        up = spread.select(F.col("node").alias("at"), F.col("label").alias("up"))
-        labels = checkpointed(spread.join(up, F.col("label") == F.col("at")).select("node", F.least("label", "up").alias("label")))
-
-
-def _class_links(buckets: DataFrame, sets: DataFrame, threshold: int, enough: int) -> DataFrame | None:
-    """Verified links between the documents of each bucket (bucket, doc_id), complete up to components."""
-    links, labels, tried = None, None, None
-    for step in range(PIVOT_ROUNDS + 1):
+    """(node, label): the smallest node that each node of the links (a, b) reaches.
+
+    Each round hooks every node to its smallest neighbour, carries the edges over to the hooks and drops those that have
+    become loops or repeats, so the graph shrinks until no edge is left; each round is materialised."""
+    canonical = lambda a, b: (F.least(a, b).alias("a"), F.greatest(a, b).alias("b"))
+    edges = checkpointed(links.select(*canonical("a", "b")).where("a < b").distinct())
+    labels = None
+    while not edges.isEmpty():
+        near = edges.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("up")).unionByName(edges.groupBy(F.col("a").alias("node")).agg(F.min("a").alias("up")))
+        hooks = checkpointed(near.groupBy("node").agg(F.min("up").alias("up")))
         if labels is None:
-            live = buckets.withColumn("label", F.col("doc_id"))
+            labels = hooks.select("node", F.col("up").alias("label"))
         else:
-            live = buckets.join(labels, F.col("doc_id") == F.col("node"), "left").select("bucket", "doc_id", F.coalesce("label", "doc_id").alias("label"))
-            live = checkpointed(live)
+            to = hooks.select(F.col("node").alias("at"), "up")
+            labels = checkpointed(labels.join(to, F.col("label") == F.col("at"), "left").select("node", F.coalesce("up", "label").alias("label")))
+        first, second = hooks.select(F.col("node").alias("na"), F.col("up").alias("ua")), hooks.select(F.col("node").alias("nb"), F.col("up").alias("ub"))
+        moved = edges.join(first, F.col("a") == F.col("na")).join(second, F.col("b") == F.col("nb"))
+        edges = checkpointed(moved.where("ua <> ub").select(*canonical("ua", "ub")).distinct())
+    if labels is None:
+        return edges.select(F.col("a").alias("node"), F.col("b").alias("label"))
+    return labels
+
+
+def links_in_blocks(left: list[tuple], right: list[tuple], threshold: int) -> list[tuple[int, int]]:
+    """Links between two blocks of (doc_id, label, registers, set), each pair of different labels that shares a band value
+    compared once. One document is compared with all its candidates at a time."""
+    if not left or not right:
+        return []
+    labels, ids = np.array([r[1] for r in right]), np.array([r[0] for r in right])
+    bands, own = band_values(np.stack([r[2] for r in right])), band_values(np.stack([r[2] for r in left]))
+    sizes = np.array([len(r[3]) for r in right])
+    out = []
+    for (doc, label, registers, shingles), values in zip(left, own, strict=True):
+        possible = np.flatnonzero((labels != label) & (bands == values).any(axis=1) & (100 * np.minimum(sizes, len(shingles)) >= threshold * np.maximum(sizes, len(shingles))))
+        possible = [j for j in possible.tolist() if left is not right or ids[j] > doc]
+        same = [int((right[j][2] == registers).sum()) for j in possible]
+        # The exact likelihood is only worked out where the plain share of equal registers is low.
+        possible = [j for j, n in zip(possible, same, strict=True) if n >= 0.7 * REGISTERS or likely((registers, shingles), right[j][2:], threshold)]
+        if possible:
+            flat = np.concatenate([right[j][3] for j in possible])
+            at = np.minimum(np.searchsorted(shingles, flat), len(shingles) - 1)
+            common = np.add.reduceat((shingles[at] == flat).astype(np.int64), np.cumsum([0, *(sizes[j] for j in possible[:-1])]))
+            out += [(doc, right[j][0]) for j, n in zip(possible, common.tolist(), strict=True) if 100 * n >= threshold * (len(shingles) + sizes[j] - n)]
+    return out
+
+
+def _block_links(here: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
+    """Verified links between documents of different labels that share a bucket of `here` (bucket, doc_id, label)."""
+    first = checkpointed(here.groupBy(F.col("bucket").alias("bk")).agg(F.min("doc_id").alias("a")))
+    groups = connected(here.join(first, F.col("bucket") == F.col("bk")).where("a < doc_id").select("a", F.col("doc_id").alias("b")).distinct())
+    sizes = groups.groupBy(F.col("label").alias("of")).agg(F.count("*").alias("n"))
+    width = F.least(F.greatest(F.col("n") / BLOCKS, F.lit(BLOCK_LEAST)), F.lit(BLOCK_MOST))
+    sizes = checkpointed(sizes.select("of", F.greatest(F.lit(1), F.ceil(F.col("n") / width)).cast("int").alias("blocks")))
+    labels = here.select(F.col("doc_id").alias("owner"), F.col("label").alias("own_label")).distinct()
+    dealt = checkpointed(groups.join(sizes, F.col("label") == F.col("of")).select(F.col("label").alias("group"), "blocks", F.col("node").alias("member"), F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block")))
+    full = dealt.join(labels, F.col("member") == F.col("owner")).join(sets, F.col("member") == F.col("doc_id"))
+    placed = full.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("group", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "member", "own_label", "registers", "shingles")
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+    def run(batches):
+        key, left, right = None, [], []
+
+        def settled():
+            found = links_in_blocks(left, left if key[1] == key[2] else right, threshold) if key else []
+            return [pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in (0, 1)], schema=schema)] if found else []
+
+        for batch in batches:
+            for group, i, j, block, doc, label, registers, shingles in zip(*(batch.column(c).to_pylist() for c in batch.schema.names), strict=True):
+                if (group, i, j) != key:
+                    yield from settled()
+                    key, left, right = (group, i, j), [], []
+                (left if block == i else right).append((doc, label, np.frombuffer(registers, np.uint16), np.frombuffer(shingles, np.uint64)))
+        yield from settled()
+
+    return placed.repartition("group", "i", "j").sortWithinPartitions("group", "i", "j").mapInArrow(run, "a long, b long")
+
+
+def _class_links(buckets: DataFrame, sets: DataFrame, threshold: int) -> DataFrame | None:
+    """Verified links between the documents of each bucket (bucket, doc_id), complete up to components."""
+    links, live = None, buckets.withColumn("label", F.col("doc_id"))
+    for step in range(PIVOT_ROUNDS + 1):
         order = F.xxhash64("doc_id", F.lit(step)) if step else F.col("doc_id")
-        counts = live.groupBy("bucket", "label").agg(F.count("*").alias("n"), F.min(F.struct(order.alias("o"), "doc_id", "label")).alias("pick"))
-        mixed = counts.groupBy(F.col("bucket").alias("of")).agg(F.sum("n").alias("size"), F.sum(F.col("n") * F.col("n")).alias("within"), F.min("label").alias("low"), F.min("pick").alias("pick"), F.max("label").alias("high")).where("low < high")
-        mixed = checkpointed(mixed.select("of", "low", F.expr("(size * size - within) / 2").alias("cross"), F.col("pick.doc_id").alias("pivot"), F.col("pick.label").alias("pivot_label")))
-        cross = mixed.agg(F.coalesce(F.sum("cross"), F.lit(0.0))).first()[0]
-        if not cross:
+        spans = live.groupBy(F.col("bucket").alias("of")).agg(F.min("label").alias("low"), F.max("label").alias("high"), F.min(F.struct(order.alias("o"), "doc_id", "label")).alias("pick")).where("low < high")
+        spans = checkpointed(spans.select("of", F.col("pick.doc_id").alias("pivot"), F.col("pick.label").alias("pivot_label")))
+        if spans.isEmpty():
             break
-        last = step == PIVOT_ROUNDS or step and cross <= enough
-        here = live.join(mixed, F.col("bucket") == F.col("of"))
-        if last:
-            few = here.where("label != low").select("bucket", F.col("doc_id").alias("x"), F.col("label").alias("xl"))
-            all_ = here.select(F.col("bucket").alias("bk"), F.col("doc_id").alias("y"), F.col("label").alias("yl"))
-            few, all_ = checkpointed(few), checkpointed(all_)
-            pairs = few.join(all_, (F.col("bucket") == F.col("bk")) & (F.col("xl") != F.col("yl"))).select(F.greatest("x", "y").alias("doc_id"), F.least("x", "y").alias("pivot"))
+        here = checkpointed(live.join(spans, F.col("bucket") == F.col("of")).select("bucket", "doc_id", "label", "pivot", "pivot_label"))
+        if step == PIVOT_ROUNDS:
+            found = _block_links(here.select("bucket", "doc_id", "label"), sets, threshold)
         else:
-            pairs = here.where("label != pivot_label").select("doc_id", "pivot")
-            if not step:
-                pairs = pairs.groupBy("doc_id").agg(F.min("pivot").alias("pivot"))
-        pairs = checkpointed(pairs.distinct())
-        if tried is not None:
-            t = tried.select(F.col("doc_id").alias("td"), F.col("pivot").alias("tp"))
-            pairs = checkpointed(pairs.join(t, (F.col("doc_id") == F.col("td")) & (F.col("pivot") == F.col("tp")), "left_anti"))
-        tried = pairs if tried is None else checkpointed(tried.unionByName(pairs))
-        found = checkpointed(verified(pairs, sets, threshold))
-        links = found if links is None else checkpointed(links.unionByName(found))
-        if last or step == 0 and cross <= enough and links.isEmpty():
-            if last:
-                break
-        labels = connected(links)
+            pairs = here.where("label != pivot_label").groupBy("doc_id").agg(F.min("pivot").alias("pivot"))
+            found = verified(checkpointed(pairs), sets, threshold)
+        found = checkpointed(found)
+        links = found if links is None else links.unionByName(found)
+        if step < PIVOT_ROUNDS:
+            labels = connected(links)
+            live = here.select("bucket", "doc_id").join(labels, F.col("doc_id") == F.col("node"), "left").select("bucket", "doc_id", F.coalesce("label", "doc_id").alias("label"))
+            live = checkpointed(live)
     return links
 
 
@@ -218,7 +274,7 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     buckets = checkpointed(banded.join(several, F.col("bucket") == F.col("bk")).select("bucket", "doc_id").distinct())
     wanted = checkpointed(buckets.select(F.col("doc_id").alias("w")).distinct())
     sets = checkpointed(_whole_sets(docs.join(wanted, F.col("doc_id") == F.col("w")).select("doc_id", "text")).dropDuplicates(["doc_id"]))
-    links = _class_links(buckets, sets, threshold, enough=max(100_000, 2 * wanted.count()))
+    links = _class_links(buckets, sets, threshold)
     reach = member.select("doc_id", "rep")
     if links is not None:
         labels = connected(links)
