@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import scalars, tables
 from ..functions.scalars import hash01_sql, haversine_km, rounded, rounded_sql
 from ..operators import cues, duplicates, measures, rasters, sampling, spatial
-from ..session import workers_can_import
+from ..session import spread, workers_can_import
 from ..sources.tables import captures, load
 from . import geography, probing
 
@@ -51,7 +51,7 @@ def transformed(docs, spec: str, seed: int = 42, fill: str = "mean"):
 
 
 def _transform_query(spec: str, fill: str = "mean"):
-    return lambda spark, sf_dir: transformed(load(spark, sf_dir, "documents"), spec, fill=fill)
+    return lambda spark, sf_dir: transformed(spread(load(spark, sf_dir, "documents").select("doc_id", "text")), spec, fill=fill)
 
 
 for _spec, _name in (("edges", "edges_56"), ("blur", "macro_blur_56"), *((f"scramble:{n}", f"scramble_56_n{n}") for n in (4, 8, 16)), *((f"{f}:{c}", f"{'remove_cue' if f == 'remove' else 'random_mask'}_{c}") for c in rasters.CUES for f in ("remove", "random"))):

@@ -138,7 +138,7 @@ def joint_table(spark, sf_dir):
     return _round(measures.joint_table(rule_logs.lineitem_log(spark, sf_dir)), "accuracy", "switch_rate", "retention")
 
 
-@register(LOG + "SELECT model, transform, length(image_id) % 5 AS stratum, count(*)::BIGINT AS n, count(*) FILTER (WHERE pred = y)::BIGINT AS correct FROM log GROUP BY ALL")
+@register(LOG + "SELECT model, transform, (length(image_id) % 5)::INT AS stratum, count(*)::BIGINT AS n, count(*) FILTER (WHERE pred = y)::BIGINT AS correct FROM log GROUP BY ALL")
 def accuracy_by_overlap(spark, sf_dir):
     log = rule_logs.lineitem_log(spark, sf_dir)
     strata = load(spark, sf_dir, "lineitem").select(rule_logs.image_id().alias("image_id")).withColumn("stratum", F.length("image_id") % 5)

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..functions.scalars import seeded
 from ..operators import encoder as enc
 from ..operators import ladder, measures, prompts, rasters
-from ..session import checkpointed
+from ..session import checkpointed, spread
 from ..sources.tables import load
 
 QUERIES: dict = {}
@@ -51,11 +51,12 @@ class Study:
     """Everything that is fitted for one input folder."""
 
     def __init__(self, spark: SparkSession, sf_dir: str, label: str = "lang", strategies: tuple[str, ...] = enc.STRATEGIES):
-        corpus = prompts.alignment_corpus(load(spark, sf_dir, "pages"), load(spark, sf_dir, "conversations"))
+        corpus = prompts.alignment_corpus(spread(load(spark, sf_dir, "pages")), load(spark, sf_dir, "conversations"))
         self.weights = ladder.aligned(spark, corpus)
         self.described = checkpointed(prompts.descriptors(corpus))
         self.texts = class_texts(self.described, "baseline")
-        self.rows = scenes(spark, sf_dir, label)
+        # Written once in parts for all cores: every epoch of every strategy reads it again.
+        self.rows = spread(checkpointed(scenes(spark, sf_dir, label).repartition(spark.sparkContext.defaultParallelism, "doc_id")))
         self.history: list[dict] = []
         self.models: dict[str, enc.Model] = {}
         self.seconds: dict[str, float] = {}
@@ -151,6 +152,14 @@ def w10_control(spark, sf_dir):
     return measures.joint_table(log)
 
 
+def _prompt_query(condition: str):
+    return lambda spark, sf_dir: prompts.prompts(condition, prompts.descriptors(prompts.alignment_corpus(load(spark, sf_dir, "pages"), load(spark, sf_dir, "conversations"))))
+
+
+for _condition in prompts.CONDITIONS:
+    QUERIES[f"prompt_{_condition}"] = _prompt_query(_condition)
+
+
 @register()
 def w11_prompts(spark, sf_dir):
     """Zero-shot under the four prompt conditions."""
@@ -179,7 +188,7 @@ def _control_labels(label: str):
 
     def run(spark, sf_dir):
         fitted = study(spark, sf_dir)
-        rows = scenes(spark, sf_dir, label)
+        rows = checkpointed(scenes(spark, sf_dir, label).repartition(spark.sparkContext.defaultParallelism, "doc_id"))
         classes = rows.agg(F.max("y")).first()[0] + 1
         texts = np.zeros((classes, enc.OUT), np.float32)
         model, _ = ladder.trained(rows, enc.Model.start("linear", fitted.weights, texts), ladder.Config(epochs=3))

@@ -31,6 +31,13 @@ def workers_can_import(spark: SparkSession) -> None:
         environment["PYTHONPATH"] = os.pathsep.join([*paths, ROOT])
 
 
+def spread(scan: DataFrame) -> DataFrame:
+    """A scan dealt to all cores if its files give fewer partitions than there are cores (one small file with a single row
+    group); a large input has more and stays where it is. For plain scans only: it looks at the partitions of the plan."""
+    cores = scan.sparkSession.sparkContext.defaultParallelism
+    return scan.repartition(cores) if scan.rdd.getNumPartitions() < cores else scan
+
+
 def shared_folder(spark: SparkSession) -> str:
     """The session's spark.checkpoint.dir; only where that is unset (tests on one machine) a local temporary folder."""
     context = spark.sparkContext
