@@ -24,9 +24,11 @@ from pyspark.sql import functions as F
 from .common import map_text
 
 VOCABULARY = "word_bpe_49k.json"
-NEVER = 1 << 60
-#: Distinct white-space chunks whose pieces a worker remembers.
-REMEMBERED = 400_000
+NEVER = 1 << 62
+#: Words of at most so many symbols fit one node of the tree.
+WIDE = 32
+#: Distinct runs between white space that each of two generations remembers.
+REMEMBERED = 250_000
 
 
 def default_path() -> str:
@@ -52,37 +54,18 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in plain else chr(next(spare)) for b in range(256)]
 
 
-class PairTree:
-    """Minimum tree over pair ranks with the leftmost position on ties."""
-
-    def __init__(self, ranks: list[int]):
-        self.size = 1
-        while self.size < max(1, len(ranks)):
-            self.size *= 2
-        low = [NEVER] * (2 * self.size)
-        low[self.size : self.size + len(ranks)] = ranks
-        for i in range(self.size - 1, 0, -1):
-            low[i] = min(low[2 * i], low[2 * i + 1])
-        self.low = low
-
-    def first(self) -> int:
-        """Position of the leftmost lowest rank, -1 if no pair can merge."""
-        low, i = self.low, 1
-        if low[1] == NEVER:
-            return -1
-        while i < self.size:
-            i = 2 * i if low[2 * i] == low[1] else 2 * i + 1
-        return i - self.size
-
-    def put(self, at: int, rank: int) -> None:
-        low, i = self.low, at + self.size
-        low[i] = rank
-        while i > 1:
-            i //= 2
-            new = min(low[2 * i], low[2 * i + 1])
-            if low[i] == new:
-                break
-            low[i] = new
+def put(low: list[int], at: int, value: int) -> None:
+    """Set a leaf of a minimum tree kept as a heap and renew the nodes above it as far as they change."""
+    low[at] = value
+    at >>= 1
+    while at:
+        a, b = low[2 * at], low[2 * at + 1]
+        if b < a:
+            a = b
+        if low[at] == a:
+            return
+        low[at] = a
+        at >>= 1
 
 
 class Encoder:
@@ -93,48 +76,84 @@ class Encoder:
         self.ids: dict[str, int] = model["vocab"]
         self.names = {v: k for k, v in self.ids.items()}
         self.end = model["end_of_word_suffix"] or ""
-        self.ranks = {(self.ids[a], self.ids[b]): (rank, self.ids[a + b]) for rank, (a, b) in enumerate(map(tuple, model["merges"]))}
+        self.ranks: dict[int, int] = {}
+        self.products: list[int] = []
+        for a, b in model["merges"]:
+            self.ranks.setdefault(self.ids[a] << 20 | self.ids[b], len(self.products))
+            self.products.append(self.ids[a + b])
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.names |= {v: k for k, v in self.special.items()}
-        self.letters = byte_letters()
+        letters = byte_letters()
+        self.inner, self.last = [self.ids[x] for x in letters], [self.ids[x + self.end] for x in letters]
         #: Runs come without white space, which Python's own class would extend by four control characters.
         self.pieces = regex.compile(spec["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"].replace(r"[^\s", "[^"))
         self.cut = regex.compile("(" + "|".join(regex.escape(t) for t in sorted(self.special, key=len, reverse=True)) + ")")
-        self.known: dict[str, tuple[int, bytes, str]] = {}
-
-    def merge(self, symbols: list[int]) -> list[int]:
-        n = len(symbols)
+        self.by_number = {str(i).encode(): name for i, name in self.names.items()}
+        self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+
+    def merge(self, live: list[int]) -> list[int]:
+        """Merge the symbols of one word (the list is used up). A leaf holds its pair's rank above its position, so the
+        root of the tree is the leftmost pair of the lowest rank. A word of few pairs is a tree of one wide node."""
+        n = len(live)
         if n < 2:
-            return symbols
-        ranks, none = self.ranks, (NEVER, -1)
-        tree = PairTree([ranks.get(p, none)[0] for p in zip(symbols, symbols[1:], strict=False)])
+            return live
+        ranks, products = self.ranks, self.products
+        if n <= WIDE:
+            find = ranks.get
+            node = [find(a << 20 | b, NEVER) for a, b in zip(live, live[1:], strict=False)]
+            while (top := min(node)) != NEVER:
+                i = node.index(top)
+                live[i] = products[top]
+                del live[i + 1], node[i]
+                if not node:
+                    break
+                if i < len(node):
+                    node[i] = find(live[i] << 20 | live[i + 1], NEVER)
+                if i:
+                    node[i - 1] = find(live[i - 1] << 20 | live[i], NEVER)
+            return live
+        size = 1 << (n - 2).bit_length()
+        low = [NEVER] * (2 * size)
+        for i in range(n - 1):
+            if (rank := ranks.get(live[i] << 20 | live[i + 1])) is not None:
+                low[size + i] = rank << 32 | i
+        for i in range(size - 1, 0, -1):
+            a, b = low[2 * i], low[2 * i + 1]
+            low[i] = b if b < a else a
+        if low[1] == NEVER:
+            return live
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        live = list(symbols)
-        while (i := tree.first()) >= 0:
+        while (top := low[1]) != NEVER:
+            i = top & 0xFFFFFFFF
             j = after[i]
-            live[i] = ranks[live[i], live[j]][1]
-            live[j] = -1
-            after[i] = k = after[j]
-            tree.put(j, NEVER) if j < n - 1 else None
+            k = after[i] = after[j]
+            live[i], live[j] = products[top >> 32], -1
+            if j < n - 1:
+                put(low, size + j, NEVER)
+            rank = None
             if k < n:
                 before[k] = i
-                tree.put(i, ranks.get((live[i], live[k]), none)[0])
-            else:
-                tree.put(i, NEVER)
+                rank = ranks.get(live[i] << 20 | live[k])
+            put(low, size + i, NEVER if rank is None else rank << 32 | i)
             if (h := before[i]) >= 0:
-                tree.put(h, ranks.get((live[h], live[i]), none)[0])
+                rank = ranks.get(live[h] << 20 | live[i])
+                put(low, size + h, NEVER if rank is None else rank << 32 | h)
         return [s for s in live if s >= 0]
 
     def word_ids(self, piece: str) -> list[int]:
-        names = [self.letters[b] for b in piece.encode()]
-        names[-1] += self.end
-        return self.merge([self.ids[x] for x in names])
+        data = piece.encode()
+        return self.merge([*map(self.inner.__getitem__, data[:-1]), self.last[data[-1]]])
 
-    def chunk_ids(self, chunk: str) -> list[int]:
-        """Ids of a run without white space; composing and lower-casing can be done run by run."""
+    def pieces_of(self, chunk: str) -> list[str]:
+        """Pieces of a run without white space; composing and lower-casing can be done run by run."""
+        if chunk.isascii():
+            return self.pieces.findall(chunk.lower())
         text = unicodedata.normalize("NFC", chunk)
-        text = "".join(map(str.lower, text)) if "Σ" in text else text.lower()
-        return [i for piece in self.pieces.findall(text) for i in self.word_ids(piece)]
+        return self.pieces.findall("".join(map(str.lower, text)) if "Σ" in text else text.lower())
+
+    def chunk_ids(self, chunk: str) -> list[int]:
+        return [i for piece in self.pieces_of(chunk) for i in self.word_ids(piece)]
 
     def encode(self, text: str) -> list[int]:
         out: list[int] = []
@@ -150,32 +169,43 @@ class Encoder:
         """Token strings joined by spaces: the vocabulary file names no decoder, special tokens are kept."""
         return " ".join(self.names[i] for i in ids)
 
-    def rendered(self, chunk: str) -> tuple[int, bytes, str]:
-        """Count, decimal ids and decoded form of a run, remembered for frequent runs."""
-        if (got := self.known.get(chunk)) is None:
-            ids = self.chunk_ids(chunk)
-            got = (len(ids), " ".join(map(str, ids)).encode(), self.decode(ids))
-            if len(chunk) <= 64:
-                if len(self.known) >= REMEMBERED:
-                    self.known.clear()
-                self.known[chunk] = got
-        return got
+    def remember(self, key: str, value: bytes) -> bytes:
+        if len(key) <= 64:
+            if len(self.known) >= REMEMBERED:
+                self.older, self.known = self.known, {}
+            self.known[key] = value
+        return value
+
+    def rendered(self, chunk: str) -> bytes:
+        """The decimal ids of a run. Runs and their pieces (which are runs themselves) are remembered in two generations:
+        when the younger is full it becomes the older, from which what comes again is taken over, so frequent ones stay."""
+        if (got := self.older.get(chunk)) is not None:
+            return self.remember(chunk, got)
+        out = []
+        for piece in self.pieces_of(chunk):
+            if (got := self.known.get(piece)) is None:
+                if (got := self.older.get(piece)) is None:
+                    got = " ".join(map(str, self.word_ids(piece))).encode()
+                self.remember(piece, got)
+            out.append(got)
+        return out[0] if len(out) == 1 and out[0] is self.known.get(chunk) else self.remember(chunk, b" ".join(out))
 
     def summary(self, text: str) -> tuple[int, str, str]:
         """Token count, digest of the decimal ids, digest of the decoded text."""
-        count, ids, names = 0, [], []
+        ids: list[bytes] = []
         for part in self.cut.split(text) if "<|" in text else (text,):
             if part in self.special:
-                made = [(1, str(self.special[part]).encode(), part)]
+                ids.append(str(self.special[part]).encode())
             else:
-                known, full = self.known, self.rendered
-                made = [known.get(chunk) or full(chunk) for chunk in runs(part)]
-            for n, a, b in made:
-                if n:
-                    count += n
-                    ids.append(a)
-                    names.append(b)
-        return count, hashlib.sha256(b" ".join(ids)).hexdigest(), hashlib.sha256(" ".join(names).encode()).hexdigest()
+                for chunk in runs(part):
+                    if (got := self.known.get(chunk)) is None:
+                        got = self.rendered(chunk)
+                    if got:
+                        ids.append(got)
+        joined = b" ".join(ids)
+        tokens = joined.split()
+        decoded = " ".join(map(self.by_number.__getitem__, tokens))
+        return len(tokens), hashlib.sha256(joined).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest()
 
 
 _LOADED: dict[str, Encoder] = {}
