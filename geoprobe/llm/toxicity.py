@@ -29,7 +29,7 @@ FEATURES, LEAST_SUPPORT, LEAST_GAIN = 1500, 3, 6.0
 BEGINNINGS = (3, 4, 5, 6, 7)
 CUTOFF, PENALTY, STEPS = 0.3, 1e-4, 600
 #: Distinct tokens whose restored form and features a worker remembers.
-REMEMBERED = 300_000
+REMEMBERED = 100_000
 
 #: The model's letters, and which letters a sign can stand for.
 LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßáéíóúñàâèêëîïôùûçœæ"
@@ -249,7 +249,9 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS) -
     sizes = {r["toxic"]: r["n"] for r in told.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     chance = F.pmod(F.xxhash64("label_id"), F.lit(1 << 30)) / float(1 << 30)
     some = told.where(chance < F.when(F.col("toxic") == 1, per_class / max(1, sizes.get(1, 0))).otherwise(per_class / max(1, sizes.get(0, 0))))
-    rows = some.join(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), F.col("label_id") == F.col("doc_id")).select("doc_id", "text", "toxic").collect()
+    # The sample has about 2 x per_class rows whatever the input, so it is broadcast and the documents stay where they are.
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    rows = texts.join(F.broadcast(some), F.col("label_id") == F.col("doc_id")).select("doc_id", "text", "toxic").collect()
     rows = sorted((r[0], r[1] or "", r[2]) for r in rows)
     share = sizes.get(1, 0) / max(1, sum(sizes.values()))
     return _fit([(r[1], r[2]) for r in rows], share, letters)
