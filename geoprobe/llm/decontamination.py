@@ -13,11 +13,12 @@ from __future__ import annotations
 import re
 from bisect import bisect_left
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_binary, checkpointed, map_text
+from .common import as_binary, checkpointed, map_text, workers_can_import
 
 WINDOW = 10
 #: Items are dealt into blocks of about this many bytes, one automaton and one scan a block, so that what is
@@ -94,18 +95,35 @@ def scan(text: bytes, automaton, patterns) -> tuple[int, list[dict], list[str]]:
     return len(words), hits, sorted(items)
 
 
+#: Automata that a worker keeps, by the identity of their broadcast patterns.
 _BUILT: dict[int, tuple] = {}
 
 
+def _built(patterns) -> tuple:
+    key = id(patterns)
+    if key not in _BUILT:
+        if len(_BUILT) >= 4:
+            _BUILT.clear()
+        _BUILT[key] = (patterns, automaton_of(patterns))
+    return _BUILT[key]
+
+
+def _blocks(benchmark: DataFrame, block_bytes: int):
+    """The items in blocks of about `block_bytes`, each small enough for the driver and a broadcast."""
+    items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text"))
+    total = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    count = max(1, -(-total // block_bytes))
+    dealt = items if count == 1 else checkpointed(items.withColumn("block", F.pmod(F.xxhash64("item_id", "text"), F.lit(count))))
+    for block in range(count):
+        here = dealt if count == 1 else dealt.where(F.col("block") == block)
+        yield [tuple(r) for r in here.select("item_id", "text").collect()]
+
+
 def _scan_block(docs: DataFrame, rows, window: int) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(patterns_of(rows, window))
 
     def run(batch: pa.RecordBatch) -> dict:
-        key = id(shared.value)
-        if key not in _BUILT:
-            _BUILT.clear()
-            _BUILT[key] = (shared.value, automaton_of(shared.value))
-        patterns, automaton = _BUILT[key]
+        patterns, automaton = _built(shared.value)
         made = [scan(t, automaton, patterns) for t in as_binary(batch.column("text"))]
         return {"doc_id": batch.column("doc_id"), "n_words": [m[0] for m in made], "hits": [m[1] for m in made], "items": [m[2] for m in made]}
 
@@ -114,17 +132,12 @@ def _scan_block(docs: DataFrame, rows, window: int) -> DataFrame:
 
 def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """doc_id, n_words, hits (disjoint spans in words and code points), items (ids of the test items found)."""
-    items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text"))
-    total = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    blocks = max(1, -(-total // block_bytes))
-    if blocks == 1:
-        return _scan_block(docs, [tuple(r) for r in items.collect()], window)
-    dealt = checkpointed(items.withColumn("block", F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks))))
-    parts = docs.select("doc_id", "text", F.monotonically_increasing_id().alias("_row"))
-    keyed = checkpointed(parts)
+    blocks = list(_blocks(benchmark, block_bytes))
+    if len(blocks) == 1:
+        return _scan_block(docs, blocks[0], window)
+    keyed = checkpointed(docs.select("doc_id", "text", F.monotonically_increasing_id().alias("_row")))
     made = None
-    for block in range(blocks):
-        rows = [tuple(r) for r in dealt.where(F.col("block") == block).select("item_id", "text").collect()]
+    for rows in blocks:
         part = _scan_block(keyed.select(F.col("_row").alias("doc_id"), "text"), rows, window)
         made = part if made is None else made.unionByName(part)
     joined = made.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("hits")).alias("hits"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
@@ -140,9 +153,21 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WIND
     return keyed.select("_row", F.col("doc_id").cast("long").alias("own_id")).join(whole.withColumnRenamed("doc_id", "_row"), "_row").select(F.col("own_id").alias("doc_id"), "n_words", "hits", "items")
 
 
-def decontaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """The documents, with all their columns, in which no test item window occurs.
+def _free_of(shared):
+    """Whether a text holds no pattern; the scan ends at the first one."""
+
+    @F.pandas_udf("boolean")
+    def free(texts: pd.Series) -> pd.Series:
+        patterns, automaton = _built(shared.value)
+        return texts.map(lambda t: not patterns or next(automaton.iter(f" {b' '.join(words_of((t or '').encode())).decode('latin-1')} "), None) is None).astype(bool)
+
+    return free
+
 
-    Decisions are joined back by doc_id; a document with a null id is judged as the others that have none."""
-    bad = find_contamination(docs, benchmark, window).where(F.size("hits") > 0).select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("_bad")), "left_anti")
+def decontaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The documents, with all their columns, in which no test item window occurs: a filter on each row's own text."""
+    workers_can_import(docs.sparkSession)
+    for rows in _blocks(benchmark, block_bytes):
+        shared = docs.sparkSession.sparkContext.broadcast(patterns_of(rows, window))
+        docs = docs.where(_free_of(shared)(F.col("text").cast("string")))
+    return docs

@@ -312,3 +312,19 @@ def test_empty_benchmark_and_labels(spark, docs):
     assert found.where("size(hits) > 0").isEmpty()
     scores = toxicity.scored(docs, toxicity.fit(docs, spark.createDataFrame([(1, None)], "doc_id long, toxic int")))
     assert scores.where(f"score >= {toxicity.CUTOFF}").isEmpty()
+
+
+def test_null_ids(spark, sf_dir):
+    """Rows without an id are kept, judged on their own where a row is judged alone, and linked with nothing."""
+    text = " ".join(f"w{i}" for i in range(80))
+    bench = spark.createDataFrame([(1, " ".join(f"b{i}" for i in range(12))), (None, "x y")], "item_id long, text string")
+    docs = spark.createDataFrame([(None, text, None, "a", None), (None, None, None, None, None), (5, text, "en", "b", 1), (6, text, None, None, 1), (None, " ".join(f"b{i}" for i in range(12)), None, None, None)], DOCS)
+    near = near_dedup.near_duplicates(docs).collect()
+    assert sorted((r["doc_id"], r["component_id"], r["kept"]) for r in near if r["doc_id"]) == [(5, 5, True), (6, 5, False)]
+    assert all(r["kept"] and r["component_id"] is None for r in near if r["doc_id"] is None)
+    assert sorted(((r["doc_id"] or 0), r["n_removed"]) for r in substring_dedup.without_repeats(docs).collect()) == [(0, 0), (0, 0), (0, 0), (5, 0), (6, 80)]
+    for size in (8 << 20, 10):
+        assert decontamination.decontaminated(docs, bench, block_bytes=size).count() == 4
+    assert near_dedup.deduplicated(docs).count() == 4 and line_dedup.without_boilerplate(docs, min_sites=2).count() == 5
+    for made in (media.read_media(media.store_media(docs)), bpe.token_digests(docs), pii.find_personal_data(docs), language_id.identified(docs, language_id.fit(docs)), decontamination.find_contamination(docs, bench)):
+        assert made.count() == 5
