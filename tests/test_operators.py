@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from geoprobe.operators import encoder as enc
 from geoprobe.operators import ladder, measures, rasters, sampling, spatial, statistics, vectors
 from geoprobe.plans import geography, rule_logs
+from geoprobe.sources.tables import region_dim
 
 
 def test_rank_is_exact_at_any_partitioning(spark):
@@ -229,3 +230,16 @@ def test_prediction_log_is_replaced_by_partition(spark, tmp_path):
         measures.append_log(log, str(tmp_path / "log"))
         measures.append_log(log.where("model = 'z'"), str(tmp_path / "log"))
     assert spark.read.parquet(str(tmp_path / "log")).count() == len(LOG)
+
+
+def test_capture_source(spark):
+    from geoprobe.session import workers_can_import
+    from geoprobe.sources.fixture import Captures
+
+    workers_can_import(spark)
+    spark.dataSource.register(Captures)
+    rows = spark.read.format("captures").option("rows", 500).option("partitions", 3).load()
+    table = {r["region"]: r for r in sampling.sampling_table(rows).collect()}
+    assert table[-1]["available"] == 500 and all(r["sampled"] <= r["available"] for r in table.values())
+    boxes = spatial.with_boxes(region_dim(spark))
+    assert spatial.assign_region(rows, boxes).where("found <> region").isEmpty()

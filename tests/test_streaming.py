@@ -1,3 +1,4 @@
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from geoprobe.streaming import monitor
@@ -5,7 +6,7 @@ from geoprobe.streaming import monitor
 
 def test_stream_equals_batch(spark, sf_dir, tmp_path):
     events = spark.read.parquet(f"{sf_dir}/events.parquet").orderBy("ts").coalesce(1)
-    pieces = events.withColumn("part", F.ntile(4).over(__import__("pyspark.sql", fromlist=["Window"]).Window.orderBy("ts")))
+    pieces = events.withColumn("part", F.ntile(4).over(Window.orderBy("ts")))
     for i in range(1, 5):
         pieces.where(F.col("part") == i).drop("part").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
     stream = monitor.daily_density(monitor.captures_stream(spark, str(tmp_path / "in"), 10), late="3650 days")
