@@ -13,7 +13,7 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -101,7 +101,7 @@ def readings(token: str) -> list[list[tuple[str, float]]]:
             options.append((x, cost if run == 1 else cost + 1.0 if run > 2 else cost + 2.0))
             if run > 1:
                 options.append((x + x, cost if run == 2 else cost + 1.5))
-        if c in JOINTS or c in LEET:
+        if c in JOINTS or c in LEET and not c.isdigit():
             options.append(("", 2.0 if c in JOINTS else 6.0))
         if not options:
             options = [(c, 0.0)]
@@ -146,15 +146,15 @@ def joined(text: str) -> str:
     return _SPACED.sub(lambda m: re.sub(r"[ .\-_*]", "", m[0]), text.lower())
 
 
-def features_of(word: str) -> list[str]:
-    """The word and its beginnings."""
-    return [word, *(f"^{word[:n]}" for n in BEGINNINGS if len(word) > n)]
+def features_of(word: str) -> list[int]:
+    """Numbers (checksums) of the word and its beginnings."""
+    return [zlib.crc32(word.encode()), *(zlib.crc32(f"^{word[:n]}".encode()) for n in BEGINNINGS if len(word) > n)]
 
 
 class Scorer:
     """Letter model, feature weights and intercept; remembers what each token adds."""
 
-    def __init__(self, letters: LetterModel, weights: dict[str, float], intercept: float):
+    def __init__(self, letters: LetterModel, weights: dict[int, float], intercept: float):
         self.letters, self.weights, self.intercept = letters, weights, intercept
         self.names = sorted(weights)
         self.number = {x: i for i, x in enumerate(self.names)}
@@ -202,33 +202,25 @@ def _fit(rows: list[tuple[str, int]], share: float, letters: LetterModel) -> Sco
     labels = np.array([y for _, y in rows], np.float64)
     if not len(rows) or labels.min() == labels.max():
         return Scorer(letters, {}, base)
-    seen: dict[str, str] = {}
+    # Features are kept as arrays of numbers, a few kB a text; strings and sets would cost the driver far more.
     bags = []
     for text, _ in rows:
-        words = set()
-        for token in set(joined(text).split()):
-            if token not in seen:
-                seen[token] = restored(token, letters)
-            words.add(seen[token])
-        bags.append({f for w in words if w for f in features_of(w)})
-    toxic, clean = Counter(), Counter()
-    for bag, y in zip(bags, labels, strict=True):
-        (toxic if y else clean).update(bag)
+        words = {restored(t, letters) for t in set(joined(text).split())}
+        bags.append(np.unique(np.fromiter((f for w in words if w for f in features_of(w)), np.uint32)))
     n1, n0 = labels.sum(), len(labels) - labels.sum()
-
-    def gain(f: str) -> float:
-        a, b = toxic[f], clean[f]
-        p, q = (a + 0.5) / (n1 + 1), (b + 0.5) / (n0 + 1)
-        r = (a + b + 0.5) / (n1 + n0 + 1)
-        return a * math.log(p / r) + b * math.log(q / r) + (n1 - a) * math.log((1 - p) / (1 - r)) + (n0 - b) * math.log((1 - q) / (1 - r))
-
-    often = [f for f in set(toxic) | set(clean) if toxic[f] + clean[f] >= LEAST_SUPPORT]
-    worth = {f: g for f in often if (g := gain(f)) >= LEAST_GAIN}
-    chosen = sorted(sorted(worth, key=lambda f: (-worth[f], f))[:FEATURES])
-    number = {f: i for i, f in enumerate(chosen)}
+    counts = [np.unique(np.concatenate([b for b, y in zip(bags, labels, strict=True) if y == side]), return_counts=True) for side in (1, 0)]
+    often = np.union1d(counts[0][0], counts[1][0])
+    a, b = (np.zeros(len(often)) for _ in range(2))
+    a[np.searchsorted(often, counts[0][0])], b[np.searchsorted(often, counts[1][0])] = counts[0][1], counts[1][1]
+    often, a, b = (v[a + b >= LEAST_SUPPORT] for v in (often, a, b))
+    p, q, r = (a + 0.5) / (n1 + 1), (b + 0.5) / (n0 + 1), (a + b + 0.5) / (n1 + n0 + 1)
+    gain = a * np.log(p / r) + b * np.log(q / r) + (n1 - a) * np.log((1 - p) / (1 - r)) + (n0 - b) * np.log((1 - q) / (1 - r))
+    order = np.lexsort((often, -gain))
+    chosen = np.sort(often[order[: min(FEATURES, int((gain >= LEAST_GAIN).sum()))]])
     x = np.zeros((len(rows), len(chosen)), np.float32)
     for i, bag in enumerate(bags):
-        x[i, [number[f] for f in bag if f in number]] = 1
+        x[i, np.searchsorted(chosen, np.intersect1d(bag, chosen, assume_unique=True))] = 1
+    bags = counts = None
     w = np.zeros(len(chosen) + 1)
     x = np.hstack([x, np.ones((len(rows), 1), np.float32)])
     step = 1 / (0.25 * _largest(x) / len(rows) + PENALTY)
@@ -239,7 +231,7 @@ def _fit(rows: list[tuple[str, int]], share: float, letters: LetterModel) -> Sco
         was, w = w, ahead - step * slope
         ahead = w + turn / (turn + 3) * (w - was)
     w, b = w[:-1], w[-1]
-    return Scorer(letters, dict(zip(chosen, w.tolist(), strict=True)), float(b) + base - math.log(n1 / n0))
+    return Scorer(letters, dict(zip(chosen.tolist(), w.tolist(), strict=True)), float(b) + base - math.log(n1 / n0))
 
 
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS) -> Scorer:

@@ -181,7 +181,7 @@ def test_deobfuscation():
         s = table[np.frombuffer(f"\n{t}\n".encode("utf-32-le"), np.uint32)].astype(np.int64)
         total += np.bincount((s[:-2] * toxicity.SIGNS + s[1:-1]) * toxicity.SIGNS + s[2:], minlength=toxicity.SIGNS**3)
     model = toxicity.LetterModel([(i, int(total[i])) for i in np.flatnonzero(total)])
-    for bad, good in [("m0r0n", "moron"), ("$tup1d", "stupid"), ("st*pid", "stupid"), ("loooser", "loser"), ("cl0wn!!", "clown"), ("1diot", "idiot"), ("fox.", "fox"), ("***", ""), ("2024", "2024")]:
+    for bad, good in [("m0r0n", "moron"), ("$tup1d", "stupid"), ("st*pid", "stupid"), ("loooser", "loser"), ("cl0wn!!", "clown"), ("1diot", "idiot"), ("1d10t", "idiot"), ("fox.", "fox"), ("***", ""), ("2024", "2024")]:
         assert toxicity.restored(bad, model) == good
     assert toxicity.joined("an I D I O T here") == "an idiot here" and toxicity.joined("a b") == "a b"
 
