@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from ..functions.scalars import rounded, rounded_sql
 from ..operators import cues, measures, statistics
+from ..session import spread
 from ..sources.tables import load
 from . import rule_logs
 
@@ -240,6 +241,10 @@ def anova_customer(spark, sf_dir):
     return _anova(load(spark, sf_dir, "customer"), "c_acctbal", "c_mktsegment")
 
 
+def _covered(spark, sf_dir):
+    return cues.coverage(spread(load(spark, sf_dir, "documents").select("doc_id", "lang", "source", "text")))
+
+
 _WORDS = r"string_split_regex(coalesce(text, ''), '[^\p{L}]+')"
 _COVER = f"""(SELECT doc_id, lang, source, length(coalesce(text, '')) AS length, unnest([
 {{'cue': 'short_word', 'masked': coalesce(list_sum(list_transform(list_filter({_WORDS}, lambda w: length(w) BETWEEN 1 AND 3), lambda w: length(w))), 0)::BIGINT}},
@@ -251,12 +256,12 @@ _COVERED = f"(SELECT doc_id, lang, source, c.cue AS cue, c.masked AS masked, coa
 
 @register(f"SELECT doc_id, cue, masked FROM {_COVERED}")
 def cue_coverage(spark, sf_dir):
-    return cues.coverage(load(spark, sf_dir, "documents")).select("doc_id", "cue", "masked")
+    return _covered(spark, sf_dir).select("doc_id", "cue", "masked")
 
 
 @register(f"SELECT coalesce(cue, 'all') AS cue, coalesce(lang, 'all') AS lang, count(*)::BIGINT AS n, count(*) FILTER (WHERE masked > 0)::BIGINT AS with_mask, sum(masked)::BIGINT AS masked FROM {_COVERED} GROUP BY CUBE (cue, lang)")
 def coverage_cube(spark, sf_dir):
-    made = cues.summary(cues.coverage(load(spark, sf_dir, "documents")), "lang")
+    made = cues.summary(_covered(spark, sf_dir), "lang")
     return made.select(F.coalesce("cue", F.lit("all")).alias("cue"), F.coalesce("lang", F.lit("all")).alias("lang"), "n", "with_mask", "masked")
 
 
@@ -264,12 +269,7 @@ def _cue_anova(group_sql: str, group):
     sql = " UNION ALL ".join("SELECT '" + c + "' AS cue, * FROM (" + _anova_sql("coverage", group_sql, f"(SELECT * FROM {_COVERED} WHERE cue = '{c}')") + ")" for c in cues.CUES)
 
     def run(spark, sf_dir):
-        cover = cues.coverage(load(spark, sf_dir, "documents"))
-        made = None
-        for c in cues.CUES:
-            part = _anova(cover.where(F.col("cue") == c).withColumn("g", group), "coverage", "g").withColumn("cue", F.lit(c))
-            made = part if made is None else made.unionByName(part)
-        return made
+        return _round(statistics.anova_by(_covered(spark, sf_dir).withColumn("g", group), "coverage", "g", "cue"), "f")
 
     return sql, run
 
