@@ -9,9 +9,9 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import checkpointed, shared_folder, workers_can_import
+from ..session import checkpointed, shared_folder, spread, workers_can_import
 
-__all__ = ["as_binary", "checkpointed", "digest_of", "held_out", "load", "map_text", "shared_folder", "slices", "workers_can_import"]
+__all__ = ["as_binary", "checkpointed", "digest_of", "held_out", "load", "map_text", "shared_folder", "slices", "spread", "workers_can_import"]
 
 #: A Python worker handles about this many text bytes at a time, whatever the Arrow batch size.
 SLICE_BYTES = 2 << 20
@@ -54,8 +54,10 @@ def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, c
 
 
 def load(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
+    """Columns of a given table; wide rows of a small file are dealt to all cores."""
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
-    return df.select(*columns) if columns else df
+    df = df.select(*columns) if columns else df
+    return spread(df) if {"text", "html"} & set(columns) and name in ("documents", "pages") else df
 
 
 def digest_of(ids) -> F.Column:
