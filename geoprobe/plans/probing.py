@@ -42,6 +42,16 @@ def scenes(spark: SparkSession, sf_dir: str, label: str = "lang") -> DataFrame:
     return docs.crossJoin(names).select("doc_id", "text", (F.array_position("names", F.col("label")) - 1).cast("int").alias("y"), F.when(u < 0.7, "train").when(u < 0.85, "val").otherwise("test").alias("split"))
 
 
+#: Documents that a training partition should hold: with fewer local steps between two averages, models hardly move.
+ROWS_PER_WORKER = 1000
+
+
+def written(rows: DataFrame) -> DataFrame:
+    """The scenes written once, in parts that depend on their number and not on the cluster; every epoch reads them again."""
+    parts = max(1, min(ladder.WORKERS, rows.count() // ROWS_PER_WORKER))
+    return checkpointed(rows.repartition(parts, "doc_id"))
+
+
 def class_texts(described: DataFrame, condition: str) -> np.ndarray:
     rows = prompts.prompts(condition, described).orderBy("region").collect()  # a row per class
     return enc.text_features([r["text"] for r in rows])
@@ -55,8 +65,7 @@ class Study:
         self.weights = ladder.aligned(spark, corpus)
         self.described = checkpointed(prompts.descriptors(corpus))
         self.texts = class_texts(self.described, "baseline")
-        # Written once in parts for all cores: every epoch of every strategy reads it again.
-        self.rows = spread(checkpointed(scenes(spark, sf_dir, label).repartition(spark.sparkContext.defaultParallelism, "doc_id")))
+        self.rows = written(scenes(spark, sf_dir, label))
         self.history: list[dict] = []
         self.models: dict[str, enc.Model] = {}
         self.seconds: dict[str, float] = {}
@@ -188,7 +197,7 @@ def _control_labels(label: str):
 
     def run(spark, sf_dir):
         fitted = study(spark, sf_dir)
-        rows = checkpointed(scenes(spark, sf_dir, label).repartition(spark.sparkContext.defaultParallelism, "doc_id"))
+        rows = written(scenes(spark, sf_dir, label))
         classes = rows.agg(F.max("y")).first()[0] + 1
         texts = np.zeros((classes, enc.OUT), np.float32)
         model, _ = ladder.trained(rows, enc.Model.start("linear", fitted.weights, texts), ladder.Config(epochs=3))
