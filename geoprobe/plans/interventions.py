@@ -107,7 +107,7 @@ def near_duplicate_vectors(spark, sf_dir):
 @register()
 def near_duplicate_texts(spark, sf_dir):
     """Near copies among the distinct texts: representatives of equal texts first, so groups of copies make no pairs."""
-    docs = load(spark, sf_dir, "documents").groupBy("text").agg(F.min("doc_id").alias("doc_id"))
+    docs = duplicates.representatives(load(spark, sf_dir, "documents"), "doc_id", "text")
     return duplicates.near_duplicates(docs, "text", "doc_id", 0.2)
 
 

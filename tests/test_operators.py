@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from geoprobe.operators import duplicates
 from geoprobe.operators import encoder as enc
 from geoprobe.operators import ladder, measures, rasters, sampling, spatial, statistics, vectors
 from geoprobe.plans import geography, rule_logs
@@ -243,3 +244,18 @@ def test_capture_source(spark):
     assert table[-1]["available"] == 500 and all(r["sampled"] <= r["available"] for r in table.values())
     boxes = spatial.with_boxes(region_dim(spark))
     assert spatial.assign_region(rows, boxes).where("found <> region").isEmpty()
+
+
+def test_near_texts_keep_every_word(spark):
+    """More distinct words than any vocabulary of 2^18 holds: rare words still tell texts apart, texts of rare words only stay."""
+    many = " ".join(f"w{i}" for i in range(270_000))
+    near = [f"n{i}" for i in range(40)]
+    rows = [(1, many), (2, many + " more"), (3, "w1 w2 w3 ra rb rc"), (4, "w1 w2 w3 rd re rf"), (5, "rg rh"), (6, None), (7, " \t"), (8, " ".join(near)), (9, " ".join(near[:36]).upper()), (10, " ".join(near[:31]))]
+    got = duplicates.near_duplicates(spark.createDataFrame(rows, "id long, text string"), "text", "id", 0.2).collect()
+    assert {(r["a"], r["b"]): round(r["distance"], 6) for r in got} == {(1, 2): round(1 - 270_000 / 270_001, 6), (8, 9): 0.1, (9, 10): round(1 - 31 / 36, 6)}
+
+
+def test_banding_finds_the_threshold():
+    for similarity in (0.05, 0.3, 0.5, 0.8, 0.95):
+        bands, rows = duplicates.banding(similarity)
+        assert (1 - similarity**rows) ** bands <= duplicates.MISSED * 1.001
