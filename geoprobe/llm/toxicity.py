@@ -1,9 +1,10 @@
 """Toxicity after noisy-channel deobfuscation.
 
 A character trigram model is counted over all documents. A token that looks disguised (letters mixed with digits or
-signs, letters repeated three times or more, single letters spaced out) becomes a lattice of readings, and Viterbi
-decoding under the model picks the likeliest restored word. The restored text is scored by logistic regression on
-the presence of words and word beginnings, fitted on a bounded sample of labelled rows.
+signs, letters repeated three times or more) becomes a lattice of readings, and Viterbi decoding under the model picks
+the likeliest restored word. Three or more single characters in a row, spaced out, are one lattice in which every gap is
+nothing or a word break. The restored text is scored by logistic regression on the presence of words and word
+beginnings, fitted on a bounded sample of labelled rows.
 
 Null and empty texts score the intercept (the share of toxic labels); without labelled rows, or with one class only,
 the score is that share; null labels are never learned; repeated rows are treated alike; other columns are ignored.
@@ -39,7 +40,15 @@ JOINTS = set(".-_~'*")
 _CODE = {c: i + 1 for i, c in enumerate(LETTERS)}
 SIGNS = len(LETTERS) + 2
 _OTHER = SIGNS - 1
-_SPACED = re.compile(r"(?<!\S)(?:[^\W_][ .\-_*]{1,2}){3,}[^\W_](?!\w)")
+#: Three or more single characters (letters, digits or signs that stand for letters) with gaps between them, and one gap.
+_SINGLE, _GAP = r"[^\W_@$!|+€£]|[@$!|+€£]", r"[\s.\-_*]{1,3}"
+_SPACED = re.compile(rf"(?<![\w'’@$!|+€£])(?:(?:{_SINGLE}){_GAP}){{2,}}(?:{_SINGLE})(?![\w'’@$|+€£])")
+_SPLIT = re.compile(rf"({_GAP})")
+#: What a word break costs in a gap, and what no break costs in a gap wider than the narrowest of its run.
+BREAK, WIDE = 2.0, 4.0
+#: Readings of a run that are scored at most, and how much less likely than the best (in log) they may be: letters alone
+#: don't always tell where a word ends. The one word, and it after a one-letter word, are scored as well.
+READINGS, CLOSE = 16, 6.0
 _PLAIN = re.compile(r"[^\W\d_]+")
 _TRIPLE = re.compile(r"(.)\1\1")
 _EDGE = re.compile(r"^[^\w$@|!]+|[^\w]+$")
@@ -110,23 +119,62 @@ def readings(token: str) -> list[list[tuple[str, float]]]:
     return out
 
 
-def decode(token: str, model: LetterModel) -> str:
-    """The likeliest word through the lattice of a token."""
+def likeliest(lattice: list[list[tuple[str, float]]], model: LetterModel, most: int = 1) -> list[str]:
+    """The likeliest texts through a lattice, at most so many, the best first; constant work for each position."""
     log = model.log
-    best: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
-    for options in readings(token):
-        after: dict[tuple[int, int], tuple[float, str]] = {}
-        for (a, b), (score, word) in best.items():
+    best: dict[tuple[int, int], list[tuple[float, tuple]]] = {(0, 0): [(0.0, ())]}
+    for options in lattice:
+        after: dict[tuple[int, int], list[tuple[float, tuple]]] = {}
+        for (a, b), paths in best.items():
             for text, cost in options:
-                x, y, value = a, b, score - cost
+                x, y, value = a, b, -cost
                 for c in text:
-                    k = _CODE.get(c, _OTHER)
+                    k = 0 if c == " " else _CODE.get(c, _OTHER)
                     value += log[x][y][k]
                     x, y = y, k
-                if (x, y) not in after or value > after[x, y][0]:
-                    after[x, y] = (value, word + text)
+                made = [(score + value, (path, text) if text else path) for score, path in paths]
+                if (had := after.get((x, y))) is None:
+                    after[x, y] = made
+                elif most == 1:
+                    if made[0][0] > had[0][0]:
+                        after[x, y] = made
+                else:
+                    after[x, y] = sorted(had + made, key=lambda r: -r[0])[:most]
         best = after
-    return max(((s + log[a][b][0], w) for (a, b), (s, w) in best.items()), default=(0.0, token))[1]
+    ends = sorted(((s + log[a][b][0], p) for (a, b), paths in best.items() for s, p in paths), key=lambda r: -r[0])[:most]
+    out = []
+    for score, path in ends:
+        parts: list[str] = []
+        if score >= ends[0][0] - CLOSE:
+            while path:
+                path, text = path
+                parts.append(text)
+            out.append("".join(reversed(parts)))
+    return out
+
+
+def decode(token: str, model: LetterModel) -> str:
+    """The likeliest word through the lattice of a token."""
+    return likeliest(readings(token), model)[0]
+
+
+def respaced(run: str, model: LetterModel, most: int = 1) -> str:
+    """The likeliest words of a run of spaced-out characters; for more than one reading, the different words of all."""
+    parts = _SPLIT.split(run)
+    narrow = min(map(len, parts[1::2]))
+
+    def lattice(first: list[str], later: list[str]) -> list[list[tuple[str, float]]]:
+        out = readings(parts[0])
+        for i in range(1, len(parts), 2):
+            open_ = first if i == 1 else later
+            out += [[(x, BREAK if x else 0.0) for x in open_] if len(parts[i]) == narrow else [("", WIDE), (" ", 0.0)], *readings(parts[i + 1])]
+        return out
+
+    texts = likeliest(lattice(["", " "], ["", " "]), model, most)
+    if most == 1:
+        return " ".join(texts[0].split())
+    texts += likeliest(lattice([""], [""]), model) + likeliest(lattice([" "], [""]), model)
+    return " ".join(dict.fromkeys(w for x in texts for w in x.split()))
 
 
 def restored(token: str, model: LetterModel) -> str:
@@ -141,9 +189,9 @@ def restored(token: str, model: LetterModel) -> str:
     return decode(core, model)
 
 
-def joined(text: str) -> str:
-    """Lower-case text with spaced-out words (`a b c d`) put together."""
-    return _SPACED.sub(lambda m: re.sub(r"[ .\-_*]", "", m[0]), text.lower())
+def joined(text: str, model: LetterModel | None = None, most: int = 1) -> str:
+    """Lower-case text with spaced-out words (`a b c d`) put together; the model chooses where words end."""
+    return _SPACED.sub(lambda m: respaced(m[0], model, most) if model else _SPLIT.sub("", m[0]), text.lower())
 
 
 def features_of(word: str) -> list[int]:
@@ -176,7 +224,7 @@ class Scorer:
     def score(self, text: str) -> float:
         present: set[int] = set()
         known, full = self.known, self.hits
-        for token in set(joined(text).split()):
+        for token in set(joined(text, self.letters, READINGS).split()):
             if (got := known.get(token)) is None:
                 got = full(token)
             if got:
@@ -205,7 +253,7 @@ def _fit(rows: list[tuple[str, int]], share: float, letters: LetterModel) -> Sco
     # Features are kept as arrays of numbers, a few kB a text; strings and sets would cost the driver far more.
     bags = []
     for text, _ in rows:
-        words = {restored(t, letters) for t in set(joined(text).split())}
+        words = {restored(t, letters) for t in set(joined(text, letters, READINGS).split())}
         bags.append(np.unique(np.fromiter((f for w in words if w for f in features_of(w)), np.uint32)))
     n1, n0 = labels.sum(), len(labels) - labels.sum()
     counts = [np.unique(np.concatenate([b for b, y in zip(bags, labels, strict=True) if y == side]), return_counts=True) for side in (1, 0)]
@@ -265,7 +313,7 @@ def restored_texts(docs: DataFrame, model: Scorer) -> DataFrame:
 
     def run(batch: pa.RecordBatch) -> dict:
         letters = shared.value.letters
-        return {"doc_id": batch.column("doc_id"), "text": [" ".join(restored(t, letters) for t in joined(x or "").split()) for x in batch.column("text").to_pylist()]}
+        return {"doc_id": batch.column("doc_id"), "text": [" ".join(restored(t, letters) for t in joined(x or "", letters).split()) for x in batch.column("text").to_pylist()]}
 
     return map_text(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, "doc_id long, text string")
 

@@ -186,6 +186,27 @@ def test_deobfuscation():
     assert toxicity.joined("an I D I O T here") == "an idiot here" and toxicity.joined("a b") == "a b"
 
 
+def letters_of(sf_dir):
+    import pyarrow.parquet as pq
+
+    table, total = toxicity._table(), np.zeros(toxicity.SIGNS**3, np.int64)
+    for t in pq.read_table(f"{sf_dir}/documents.parquet", columns=["text"]).column("text").to_pylist():
+        s = table[np.frombuffer(f"\n{(t or '').lower()}\n".encode("utf-32-le"), np.uint32)].astype(np.int64)
+        total += np.bincount((s[:-2] * toxicity.SIGNS + s[1:-1]) * toxicity.SIGNS + s[2:], minlength=toxicity.SIGNS**3)
+    return toxicity.LetterModel([(int(i), int(total[i])) for i in np.flatnonzero(total)])
+
+
+def test_spaced_words():
+    """The lattice holds the gaps: breaks between spaced words, one-letter words before them, signs for letters."""
+    model = letters_of("/root/testdata/sf0.01")
+    for text, words in [("such a m o r o n", "moron"), ("what a l o s e r", "loser"), ("he is a s c u m", "scum"), ("i d i o t m o r o n", "idiot moron"), ("$ c u m", "scum"), ("(m 0 r 0 n )", "(moron"), ("i d i o t   m o r o n", "idiot moron"), ("a s s h o l e", "asshole")]:
+        assert set(words.split()) <= set(toxicity.joined(text, model, toxicity.READINGS).split()), text
+    assert toxicity.joined("i d i o t m o r o n", model) == "idiot moron" and toxicity.joined("a b", model) == "a b"
+    weights = {toxicity.features_of("scum")[0]: 5.0}
+    scorer = toxicity.Scorer(model, weights, -2.0)
+    assert scorer.score("he is a s c u m") == scorer.score("he is a scum") > 0.9
+
+
 def test_toxicity_held_out(spark):
     rows = {r["doc_id"]: r for r in queries.QUERIES["op6_toxicity"](spark, "/root/testdata/sf0.1").collect()}
     labels = {r["doc_id"]: r["toxic"] for r in spark.read.parquet("/root/testdata/sf0.1/labels.parquet").collect()}
