@@ -48,10 +48,18 @@ _SPLIT = re.compile(rf"({_GAP})")
 BREAK, WIDE = 2.0, 4.0
 #: Readings of a run that are scored at most, and how much less likely than the best (in log) they may be: letters alone
 #: don't always tell where a word ends. The one word, and it after a one-letter word, are scored as well.
-READINGS, CLOSE = 16, 6.0
+READINGS, CLOSE = 16, 10.0
 _PLAIN = re.compile(r"[^\W\d_]+")
 _TRIPLE = re.compile(r"(.)\1\1")
-_EDGE = re.compile(r"^[^\w$@|!]+|[^\w]+$")
+_EDGE = re.compile(r"^[^\w@$!|+*€£]+|[^\w@$!|+*€£]+$")
+#: Where letters alone don't tell: signs at an edge that are hardly punctuation, doubled digits and signs.
+_OPEN = re.compile(r"^[@$!|€£]|[@$|€£]$|([013457-9@$!|€£])\1")
+_SIGNS_AT_EDGE = re.compile(r"^[@$!|+*€£]+|[@$!|+*€£]+$")
+#: What a token is cut at: signs and digits that stand for no letter.
+_CUT = re.compile(r"[^\w@$!|+*€£.\-~']+|[^\D0134-57-9]+")
+#: What signs cost as nothing at the start and at the end of a token (others ONLY), and what they cost more as letters at
+#: its end.
+START, END, ONLY, MORE = {"*": 0.0, "+": 1.0, "|": 1.0}, {"!": 0.0, "*": 0.0, "+": 1.0, "|": 1.0}, 6.0, {"!": 3.0, "*": 3.0}
 
 
 def _table() -> np.ndarray:
@@ -177,16 +185,37 @@ def respaced(run: str, model: LetterModel, most: int = 1) -> str:
     return " ".join(dict.fromkeys(w for x in texts for w in x.split()))
 
 
-def restored(token: str, model: LetterModel) -> str:
-    """A lower-case token as plain letters: as it is, stripped of signs at its edges, or decoded if it looks disguised."""
-    if len(token) > 40:
-        return _EDGE.sub("", token)
+def decoded(part: str, model: LetterModel, most: int = 1) -> list[str]:
+    """Readings of a part of a token, decoded if it looks disguised; signs at its edges are letters or nothing. Only where
+    letters alone don't tell, there are more than one."""
+    part = part.strip(".-_~'")
+    if _PLAIN.fullmatch(part) and not _TRIPLE.search(part):
+        return [part]
+    if not any(c.isalpha() for c in part):
+        # Without a letter: a number, punctuation, or signs of several kinds that may spell a word.
+        if any(c.isalnum() for c in part) or len(set(part) & set("@$€£")) < 2:
+            return []
+    lattice, at = readings(part), 0
+    for i, options in enumerate(lattice):
+        c = part[at]
+        while at < len(part) and part[at] == c:
+            at += 1
+        if i in (0, len(lattice) - 1) and c in LEET and not c.isdigit():
+            more, none = (MORE.get(c, 0.0), END.get(c, ONLY)) if i else (0.0, START.get(c, ONLY))
+            lattice[i] = [(x, cost + more) for x, cost in options if x] + [("", none)]
+    return likeliest(lattice, model, most if _OPEN.search(part) else 1)
+
+
+def restored(token: str, model: LetterModel, most: int = 1) -> str:
+    """A lower-case token as plain letters: as it is, stripped of signs at its edges, or decoded if it looks disguised. Other
+    characters cut it into words, each decoded on its own; for more than one reading, the words of all."""
     core = _EDGE.sub("", token)
     if not core or (_PLAIN.fullmatch(core) and not _TRIPLE.search(core)):
         return core
-    if sum(c in _CODE for c in core) < 2 or not all(c in _CODE or c in LEET or c in JOINTS for c in core):
-        return core
-    return decode(core, model)
+    words = [w for x in _CUT.split(core) if x for w in decoded(x, model, most) if w]
+    if words or not any(c.isalnum() for c in core):
+        return " ".join(words)
+    return _SIGNS_AT_EDGE.sub("", core)
 
 
 def joined(text: str, model: LetterModel | None = None, most: int = 1) -> str:
@@ -214,8 +243,8 @@ class Scorer:
 
     def hits(self, token: str) -> tuple[int, ...]:
         if (got := self.known.get(token)) is None:
-            word = restored(token, self.letters)
-            got = tuple(i for x in features_of(word) if (i := self.number.get(x)) is not None) if word else ()
+            word = restored(token, self.letters, READINGS)
+            got = tuple(i for w in word.split() for x in features_of(w) if (i := self.number.get(x)) is not None)
             if len(self.known) >= REMEMBERED:
                 self.known.clear()
             self.known[token] = got
@@ -253,8 +282,8 @@ def _fit(rows: list[tuple[str, int]], share: float, letters: LetterModel) -> Sco
     # Features are kept as arrays of numbers, a few kB a text; strings and sets would cost the driver far more.
     bags = []
     for text, _ in rows:
-        words = {restored(t, letters) for t in set(joined(text, letters, READINGS).split())}
-        bags.append(np.unique(np.fromiter((f for w in words if w for f in features_of(w)), np.uint32)))
+        words = {w for t in set(joined(text, letters, READINGS).split()) for w in restored(t, letters, READINGS).split()}
+        bags.append(np.unique(np.fromiter((f for w in words for f in features_of(w)), np.uint32)))
     n1, n0 = labels.sum(), len(labels) - labels.sum()
     counts = [np.unique(np.concatenate([b for b, y in zip(bags, labels, strict=True) if y == side]), return_counts=True) for side in (1, 0)]
     often = np.union1d(counts[0][0], counts[1][0])

@@ -207,6 +207,18 @@ def test_spaced_words():
     assert scorer.score("he is a s c u m") == scorer.score("he is a scum") > 0.9
 
 
+def test_disguises_of_any_length_and_sign():
+    """No cap on length, few plain letters, other characters inside, signs at the edges."""
+    model = letters_of("/root/testdata/sf0.01")
+    long = "1d10t" * 12
+    for bad, good in [("mo" + "o" * 40 + "ron", "moron"), ("1053r", "loser"), ("a55", "ass"), ("a$$", "ass"), ("@$$", "ass"), ("m0r0n/1d10t", "moron idiot"), ("m0r0n2", "moron"), (long, "idiot" * 12), ("!diot", "idiot"), ("$cum", "scum")]:
+        assert set(good.split()) <= set(toxicity.restored(bad, model, toxicity.READINGS).split()), bad
+    for same in ("2024", "12.158.146.200", "идиот", "plain"):
+        assert toxicity.restored(same, model, toxicity.READINGS) == same
+    scorer = toxicity.Scorer(model, {toxicity.features_of("idiot")[0]: 5.0}, -2.0)
+    assert scorer.score("you m0r0n/1d10t") > 0.9 > 0.5 > scorer.score("you 2024")
+
+
 def test_toxicity_held_out(spark):
     rows = {r["doc_id"]: r for r in queries.QUERIES["op6_toxicity"](spark, "/root/testdata/sf0.1").collect()}
     labels = {r["doc_id"]: r["toxic"] for r in spark.read.parquet("/root/testdata/sf0.1/labels.parquet").collect()}
