@@ -72,10 +72,26 @@ def _names(attributes: str) -> tuple[bool, bool, bool]:
     return bad, good, unseen
 
 
+@dataclass(slots=True)
+class Open:
+    """An open element with what holds for it and all that encloses it; `block` is the place of the nearest block element."""
+
+    name: str
+    block: int = -1
+    content: bool = False
+    furniture: bool = False
+    bad: bool = False
+    good: bool = False
+    unseen: bool = False
+    mark: str = ""
+
+
 def blocks_of(page: str) -> list[Block]:
-    """The text blocks of a page in order."""
+    """The text blocks of a page in order. Every open element is kept; depth costs constant work a block and a tag."""
     out: list[Block] = []
-    open_: list[tuple[str, bool, bool, bool, str]] = []
+    open_: list[Open] = []
+    places: dict[str, list[int]] = {}
+    outside = Open("")
     pieces: list[tuple[str, bool]] = []
     link, at = False, 0
 
@@ -83,15 +99,16 @@ def blocks_of(page: str) -> list[Block]:
         text = " ".join("".join(t for t, _ in pieces).split())
         if text:
             linked = sum(len(t.split()) for t, x in pieces if x)
-            names = [x[0] for x in open_]
-            words = len(text.split())
-            tag = next((t for t in reversed(names) if t in BLOCK), "")
-            content = any(t in CONTENT for t in names)
-            first = names.index(next(t for t in names if t in CONTENT)) if content else len(names)
-            furniture = any(t in FURNITURE or t == "header" and i < first for i, t in enumerate(names))
-            out.append(Block(text, words, min(1.0, linked / words), tag, content, furniture, any(x[1] for x in open_), any(x[2] for x in open_), any(x[3] for x in open_), next((x[4] for x in reversed(open_) if x[4]), "")))
+            words, top = len(text.split()), open_[-1] if open_ else outside
+            tag = open_[top.block].name if top.block >= 0 else ""
+            out.append(Block(text, words, min(1.0, linked / words), tag, top.content, top.furniture, top.bad, top.good, top.unseen, top.mark))
         pieces.clear()
 
+    def close(place: int) -> None:
+        for x in reversed(open_[place:]):
+            places[x.name].pop()
+        del open_[place:]
+
     while at < len(page):
         m = _TOKEN.match(page, at)
         at = m.end()
@@ -115,23 +132,18 @@ def blocks_of(page: str) -> list[Block]:
         if name == "a":
             link = not closing and "href" in m[3].lower()
         if closing:
-            for i in range(len(open_) - 1, -1, -1):
-                if open_[i][0] == name:
-                    del open_[i:]
-                    break
+            if places.get(name):
+                close(places[name][-1])
             continue
-        if name in BLOCK:
-            for i in range(len(open_) - 1, -1, -1):
-                if open_[i][0] == "p" or open_[i][0] == name == "li":
-                    del open_[i:]
-                    break
-                if open_[i][0] in BLOCK:
-                    break
+        if name in BLOCK and open_ and (i := open_[-1].block) >= 0 and (open_[i].name == "p" or open_[i].name == name == "li"):
+            close(i)
         bad, good, unseen = _names(m[3]) if m[3] else (False, False, False)
         mark = re.search(r'data-keep="(\w)"', m[3])
-        open_.append((name, bad and name not in ("html", "body"), good, unseen, mark[1] if mark else ""))
-        if len(open_) > 2000:
-            del open_[1000:1500]
+        up = open_[-1] if open_ else outside
+        places.setdefault(name, []).append(len(open_))
+        furniture = up.furniture or name in FURNITURE or name == "header" and not up.content
+        own = bad and name not in ("html", "body")
+        open_.append(Open(name, len(open_) if name in BLOCK else up.block, up.content or name in CONTENT, furniture, up.bad or own, up.good or good, up.unseen or unseen, mark[1] if mark else up.mark))
     flush()
     return out
 

@@ -128,6 +128,16 @@ def test_html():
     assert wrong <= 0.03 * total
 
 
+def test_html_of_any_depth():
+    """Elements stay open however many are: comments below 2,000 unclosed spans, and balanced nesting, keep their containers."""
+    words = "plain words that make a long enough paragraph of prose for the article to keep it here. " * 3
+    page = f"<html><body><article><p>{words}</p>" + "<span>" * 1100 + '<div class="comments">' + "<span>" * 950 + f"<p>{words}</p></div></article></body></html>"
+    first, last = html_extraction.blocks_of(page)
+    assert (first.content, first.bad) == (True, False) and (last.content, last.bad) == (True, True)
+    deep = "<article>" + "<div>" * 3000 + f"<p>{words}</p>" + "</div>" * 3000 + f"<p>{words}</p></article><p>{words}</p>"
+    assert [b.content for b in html_extraction.blocks_of(deep)] == [True, True, False]
+
+
 def test_html_query(spark, sf_dir):
     from html import unescape
 
