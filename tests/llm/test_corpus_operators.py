@@ -116,6 +116,12 @@ def test_substring_dedup_common_line(spark):
     assert sum(got.values()) > 0
 
 
+def test_media_stores_filtered_rows(docs):
+    for r in media.store_media(docs).collect():
+        data = b"".join(body for kind, body in media.chunks_of(bytes(r["media"])) if kind == b"IDAT")
+        assert set(zlib.decompress(data)[:: media.UNIT + 1]) == {2}
+
+
 def test_html():
     page = '<html><head><title>No</title><script>if (a<b) "</p>"</script></head><body><nav><a href="/">Home</a></nav><div class="cookie-notice"><p>We use cookies on this site.</p></div><article><h1>Big &amp; small</h1><p>First <b>bold<br>line&nbsp;here.<p>Second.</p><div class="ad">Buy now</div></article><aside>Side words</aside><section id="comments"><p>Nice post!</p></section><footer>&copy; us</footer></body></html>'
     assert html_extraction.main_text(page) == "Big & small\nFirst bold line here.\nSecond."
