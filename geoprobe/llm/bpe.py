@@ -1,8 +1,10 @@
 """Byte-pair encoding and decoding with a given vocabulary, merged through a segment tree.
 
-A word's symbols are the leaves of a segment tree over the ranks of its adjacent pairs. The root holds the
+The pairs of a word's adjacent symbols are the leaves of a segment tree over their ranks. The root holds the
 leftmost lowest rank; a merge changes two leaves and switches one off, each a logarithmic update, and the word is done
-when the root is infinite. Text outside special tokens is composed (NFC), lower-cased character by character and cut
+when the root is infinite. The new words of a batch are merged side by side: words whose trees have one size are the columns of
+an array whose rows are the tree's nodes (`forest`); a size with a few words only is merged word by word (`merge`). Text outside special
+tokens is composed (NFC), lower-cased character by character and cut
 into contractions, letter runs, single digits and other runs; white space is dropped.
 
 Null text is the empty text: no ids, empty decoded text. Very long words stay logarithmic per merge; repeated rows stay;
@@ -16,6 +18,7 @@ import json
 import re
 import unicodedata
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -25,10 +28,10 @@ from .common import map_text
 
 VOCABULARY = "word_bpe_49k.json"
 NEVER = 1 << 62
-#: Words of at most so many symbols fit one node of the tree.
-WIDE = 32
 #: Distinct runs between white space that each of two generations remembers.
 REMEMBERED = 250_000
+#: Trees of one size are merged side by side if there are so many; an array of them holds about so many leaves.
+SIDE_BY_SIDE, LEAVES = 16, 1 << 19
 
 
 def default_path() -> str:
@@ -85,6 +88,10 @@ class Encoder:
         self.names |= {v: k for k, v in self.special.items()}
         letters = byte_letters()
         self.inner, self.last = [self.ids[x] for x in letters], [self.ids[x + self.end] for x in letters]
+        self.pairs = np.array(sorted(self.ranks), np.int64)
+        self.pair_ranks = np.array([self.ranks[x] for x in self.pairs.tolist()], np.int64)
+        self.made = np.array(self.products, np.int64)
+        self.inner_ids, self.last_ids = np.array(self.inner, np.int64), np.array(self.last, np.int64)
         #: Runs come without white space, which Python's own class would extend by four control characters.
         self.pieces = regex.compile(spec["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"].replace(r"[^\s", "[^"))
         self.cut = regex.compile("(" + "|".join(regex.escape(t) for t in sorted(self.special, key=len, reverse=True)) + ")")
@@ -94,25 +101,11 @@ class Encoder:
 
     def merge(self, live: list[int]) -> list[int]:
         """Merge the symbols of one word (the list is used up). A leaf holds its pair's rank above its position, so the
-        root of the tree is the leftmost pair of the lowest rank. A word of few pairs is a tree of one wide node."""
+        root of the tree is the leftmost pair of the lowest rank."""
         n = len(live)
         if n < 2:
             return live
         ranks, products = self.ranks, self.products
-        if n <= WIDE:
-            find = ranks.get
-            node = [find(a << 20 | b, NEVER) for a, b in zip(live, live[1:], strict=False)]
-            while (top := min(node)) != NEVER:
-                i = node.index(top)
-                live[i] = products[top]
-                del live[i + 1], node[i]
-                if not node:
-                    break
-                if i < len(node):
-                    node[i] = find(live[i] << 20 | live[i + 1], NEVER)
-                if i:
-                    node[i - 1] = find(live[i - 1] << 20 | live[i], NEVER)
-            return live
         size = 1 << (n - 2).bit_length()
         low = [NEVER] * (2 * size)
         for i in range(n - 1):
@@ -141,16 +134,82 @@ class Encoder:
                 put(low, size + h, NEVER if rank is None else rank << 32 | h)
         return [s for s in live if s >= 0]
 
+    def ranked(self, left: np.ndarray, right: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """Leaves: the rank of each pair above its position, or NEVER."""
+        wanted = left << 20 | right
+        place = np.minimum(np.searchsorted(self.pairs, wanted), len(self.pairs) - 1)
+        return np.where(self.pairs[place] == wanted, self.pair_ranks[place] << 32 | at, NEVER)
+
+    def forest(self, words: list[bytes], size: int) -> list[list[int]]:
+        """Merge many words of at most size + 1 bytes, a segment tree of `size` leaves for each: row k of `low` holds node k
+        of all trees. Every turn makes one merge in each word that isn't done."""
+        count, lengths = len(words), np.array([len(w) for w in words])
+        flat = np.frombuffer(b"".join(words), np.uint8)
+        ends = np.cumsum(lengths)
+        word, at = np.repeat(np.arange(count), lengths), np.arange(len(flat)) - np.repeat(ends - lengths, lengths)
+        live = np.full((size + 2, count), -1, np.int64)
+        live[at, word] = self.inner_ids[flat]
+        live[lengths - 1, np.arange(count)] = self.last_ids[flat[ends - 1]]
+        low = np.full((2 * size, count), NEVER, np.int64)
+        low[size:] = np.where(live[1 : size + 1] >= 0, self.ranked(live[:size], live[1 : size + 1], np.arange(size)[:, None]), NEVER)
+        for i in range(size - 1, 0, -1):
+            np.minimum(low[2 * i], low[2 * i + 1], out=low[i])
+        after, before = (np.repeat(np.arange(size + 2)[:, None] + d, count, axis=1) for d in (1, -1))
+        w = np.flatnonzero(low[1] != NEVER)
+        while len(w):
+            top = low[1, w]
+            i = top & 0xFFFFFFFF
+            j = after[i, w]
+            k = after[j, w]
+            live[i, w], live[j, w], after[i, w] = self.made[top >> 32], -1, k
+            more = k < lengths[w]
+            before[k[more], w[more]] = i[more]
+            own, right = live[i, w], live[np.minimum(k, size + 1), w]
+            h = before[i, w]
+            low[size + np.minimum(j, size - 1), w] = NEVER
+            low[size + i, w] = np.where(more, self.ranked(own, right, i), NEVER)
+            first = h >= 0
+            low[size + h[first], w[first]] = self.ranked(live[h[first], w[first]], own[first], h[first])
+            nodes = [(size + i, w), (size + np.minimum(j, size - 1), w), (size + h[first], w[first])]
+            for _ in range(size.bit_length() - 1):
+                nodes = [(n >> 1, c) for n, c in nodes]
+                for n, c in nodes:
+                    low[n, c] = np.minimum(low[2 * n, c], low[2 * n + 1, c])
+            w = w[low[1, w] != NEVER]
+        done = live.T
+        kept = done >= 0
+        ids, cuts = done[kept].tolist(), np.cumsum(kept.sum(axis=1)).tolist()
+        return [ids[a:b] for a, b in zip([0, *cuts], cuts, strict=False)]
+
+    def merged_words(self, words: list[bytes]) -> list[list[int]]:
+        """The ids of each word."""
+        out: list[list[int]] = [[]] * len(words)
+        sizes: dict[int, list[int]] = {}
+        for n, word in enumerate(words):
+            sizes.setdefault(1 << max(0, len(word) - 2).bit_length(), []).append(n)
+        for size, places in sizes.items():
+            if len(places) < SIDE_BY_SIDE or size >= LEAVES:
+                for n in places:
+                    data = words[n]
+                    out[n] = self.merge([*map(self.inner.__getitem__, data[:-1]), self.last[data[-1]]])
+                continue
+            step = max(SIDE_BY_SIDE, LEAVES // size)
+            for a in range(0, len(places), step):
+                for n, ids in zip(places[a : a + step], self.forest([words[n] for n in places[a : a + step]], size), strict=True):
+                    out[n] = ids
+        return out
+
     def word_ids(self, piece: str) -> list[int]:
-        data = piece.encode()
-        return self.merge([*map(self.inner.__getitem__, data[:-1]), self.last[data[-1]]])
+        return self.merged_words([piece.encode()])[0]
 
     def pieces_of(self, chunk: str) -> list[str]:
         """Pieces of a run without white space; composing and lower-casing can be done run by run."""
         if chunk.isascii():
-            return self.pieces.findall(chunk.lower())
-        text = unicodedata.normalize("NFC", chunk)
-        return self.pieces.findall("".join(map(str.lower, text)) if "Σ" in text else text.lower())
+            text = chunk.lower()
+        else:
+            text = unicodedata.normalize("NFC", chunk)
+            text = "".join(map(str.lower, text)) if "Σ" in text else text.lower()
+        return [text] if text.isalpha() else self.pieces.findall(text)
 
     def chunk_ids(self, chunk: str) -> list[int]:
         return [i for piece in self.pieces_of(chunk) for i in self.word_ids(piece)]
@@ -169,43 +228,53 @@ class Encoder:
         """Token strings joined by spaces: the vocabulary file names no decoder, special tokens are kept."""
         return " ".join(self.names[i] for i in ids)
 
-    def remember(self, key: str, value: bytes) -> bytes:
-        if len(key) <= 64:
-            if len(self.known) >= REMEMBERED:
-                self.older, self.known = self.known, {}
-            self.known[key] = value
-        return value
-
-    def rendered(self, chunk: str) -> bytes:
-        """The decimal ids of a run. Runs and their pieces (which are runs themselves) are remembered in two generations:
-        when the younger is full it becomes the older, from which what comes again is taken over, so frequent ones stay."""
-        if (got := self.older.get(chunk)) is not None:
-            return self.remember(chunk, got)
+    def remember(self, fresh: dict[str, bytes]) -> None:
+        """Keep ids in two generations: when the younger is full it becomes the older, from which what comes again is taken
+        over, so frequent runs stay."""
+        if len(self.known) >= REMEMBERED:
+            self.older, self.known = self.known, {}
+        self.known.update({k: v for k, v in fresh.items() if len(k) <= 64})
+
+    def rendered(self, chunks: list[str]) -> dict[str, bytes]:
+        """The decimal ids of runs that the younger generation doesn't know; pieces are runs themselves."""
+        known, older = self.known, self.older
+        fresh = {x: got for x in chunks if (got := older.get(x)) is not None}
+        cut = {x: self.pieces_of(x) for x in chunks if x not in fresh}
+        pieces = [p for p in {p: None for own in cut.values() for p in own} if p not in known and p not in older and p not in fresh]
+        fresh.update(zip(pieces, (" ".join(map(str, ids)).encode() for ids in self.merged_words([p.encode() for p in pieces])), strict=True))
+        for x, own in cut.items():
+            if x not in fresh:
+                fresh[x] = b" ".join([fresh[p] if p in fresh else known[p] if p in known else older[p] for p in own])
+        self.remember(fresh)
+        return fresh
+
+    def summaries(self, texts: list[str]) -> list[tuple[int, str, str]]:
+        """Token count, digest of the decimal ids and digest of the decoded text of each text; what the texts of a batch
+        bring that is new is merged together."""
+        cut, found, new = [], [], {}
+        find = self.known.get
+        for text in texts:
+            if "<|" in text:
+                parts = [x for part in self.cut.split(text) for x in ([part] if part in self.special else runs(part))]
+            else:
+                parts = runs(text)
+            ids = list(map(find, parts))
+            if None in ids:
+                new.update((x, None) for x, got in zip(parts, ids, strict=True) if got is None)
+            cut.append(parts)
+            found.append(ids)
+        fresh = {x: str(i).encode() for x, i in self.special.items() if x in new}
+        fresh |= self.rendered([x for x in new if x not in fresh])
         out = []
-        for piece in self.pieces_of(chunk):
-            if (got := self.known.get(piece)) is None:
-                if (got := self.older.get(piece)) is None:
-                    got = " ".join(map(str, self.word_ids(piece))).encode()
-                self.remember(piece, got)
-            out.append(got)
-        return out[0] if len(out) == 1 and out[0] is self.known.get(chunk) else self.remember(chunk, b" ".join(out))
+        for parts, ids in zip(cut, found, strict=True):
+            joined = b" ".join([x for x in (fresh[p] if got is None else got for p, got in zip(parts, ids, strict=True)) if x])
+            tokens = joined.split()
+            decoded = " ".join(map(self.by_number.__getitem__, tokens))
+            out.append((len(tokens), hashlib.sha256(joined).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest()))
+        return out
 
     def summary(self, text: str) -> tuple[int, str, str]:
-        """Token count, digest of the decimal ids, digest of the decoded text."""
-        ids: list[bytes] = []
-        for part in self.cut.split(text) if "<|" in text else (text,):
-            if part in self.special:
-                ids.append(str(self.special[part]).encode())
-            else:
-                for chunk in runs(part):
-                    if (got := self.known.get(chunk)) is None:
-                        got = self.rendered(chunk)
-                    if got:
-                        ids.append(got)
-        joined = b" ".join(ids)
-        tokens = joined.split()
-        decoded = " ".join(map(self.by_number.__getitem__, tokens))
-        return len(tokens), hashlib.sha256(joined).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest()
+        return self.summaries([text])[0]
 
 
 _LOADED: dict[str, Encoder] = {}
@@ -233,7 +302,7 @@ def token_digests(docs: DataFrame, path: str | None = None) -> DataFrame:
     place = path or default_path()
 
     def run(batch: pa.RecordBatch) -> dict:
-        made = [encoder(place).summary(t or "") for t in batch.column("text").to_pylist()]
+        made = encoder(place).summaries([t or "" for t in batch.column("text").to_pylist()])
         return {"doc_id": batch.column("doc_id"), "n_tokens": [m[0] for m in made], "ids_sha256": [m[1] for m in made], "decoded_sha256": [m[2] for m in made]}
 
     return map_text(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -53,15 +53,34 @@ def test_stretch_hash_is_of_content(tokens, size):
 _ENCODER: list[bpe.Encoder] = []
 
 
+def repeated_scans(own, data):
+    """Merging by the rule itself: the leftmost pair of the lowest rank, until none is left."""
+    live = [*(own.inner[b] for b in data[:-1]), own.last[data[-1]]]
+    while True:
+        ranks = [own.ranks.get(a << 20 | b, bpe.NEVER) for a, b in zip(live, live[1:], strict=False)]
+        if not ranks or min(ranks) == bpe.NEVER:
+            return live
+        i = ranks.index(min(ranks))
+        live[i : i + 2] = [own.products[ranks[i]]]
+
+
 @settings(deadline=None, max_examples=60)
-@given(st.text(alphabet="abcdefghijklmnopqrstuvwxyz", min_size=33, max_size=90))
-def test_wide_node_and_tree_agree(word):
+@given(st.lists(st.text(alphabet="abcdeinorst'é漢", min_size=1, max_size=70), min_size=1, max_size=60))
+def test_trees_merge_as_repeated_scans(words):
+    """One tree for a word and many side by side, at every length."""
     if not _ENCODER:
         _ENCODER.append(bpe.Encoder(bpe.default_path()))
-    own = _ENCODER[0]
-    tree = own.word_ids(word)
-    wide, bpe.WIDE = bpe.WIDE, 1 << 20
-    try:
-        assert own.word_ids(word) == tree
-    finally:
-        bpe.WIDE = wide
+    own, data = _ENCODER[0], [w.encode() for w in words]
+    wanted = [repeated_scans(own, d) for d in data]
+    assert own.merged_words(data) == wanted
+    for d, ids in zip(data, wanted, strict=True):
+        size = 1 << max(0, len(d) - 2).bit_length()
+        assert own.forest([d], size) == [ids] == [own.merge([*(own.inner[b] for b in d[:-1]), own.last[d[-1]]])]
+
+
+def test_generations_keep_what_comes_again(monkeypatch):
+    monkeypatch.setattr(bpe, "REMEMBERED", 20)
+    own = bpe.Encoder(bpe.default_path())
+    texts = [f"alpha beta{i} gamma, delta{i % 7}!" for i in range(60)]
+    once = [own.summary(t) for t in texts]
+    assert own.summaries(texts) == once == bpe.Encoder(bpe.default_path()).summaries(texts)
