@@ -1,11 +1,15 @@
 """Main text of web pages: flat text blocks classified by a decision tree.
 
-A tolerant scanner cuts a page into text blocks at block-level tags and notes for each its word count, link
-density, tag and what encloses it; every block also sees the word counts and link densities of its neighbours. A
-decision tree, grown once per process on the small labelled table below, says which blocks belong to the article.
-
-Null html, and pages without kept blocks, give the empty text; malformed or unclosed markup is read as far as it goes;
-repeated rows are treated alike; other columns are ignored.
+A tolerant scanner cuts a page into text blocks at block-level tags, in one pass and in linear time whatever the markup. Each
+block has its word count and link density, those of the blocks before and after it, its kind (heading, list item,
+paragraph), and whether its innermost landmarks are content or furniture: navigation, forms, asides, footers and hidden parts count from the
+outermost article inwards, what encloses the article counts apart. A decision tree, grown once on the driver from the small labelled table
+below and broadcast, says which blocks belong to the article. In that table half of the pages carry neither landmarks nor telling class names, so that words, links and
+neighbours must tell.
+
+Null html, and pages without kept blocks, give the empty text; malformed or unclosed markup is read as far as it goes (an
+unclosed quote is an ordinary character; an unclosed tag, comment, script or style runs to the end of the page); repeated rows are treated alike; other columns
+are ignored.
 """
 
 from __future__ import annotations
@@ -23,85 +27,117 @@ from .common import map_text
 
 #: Element names and the class, id and role words that mark page furniture or content.
 BLOCK = set("address article aside blockquote body button caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html label legend li main menu nav ol p pre search section summary table tbody td tfoot th thead title tr ul".split())
-SILENT = set("script style title textarea template noscript iframe object svg math select datalist canvas audio video head".split())
 RAW = set("script style title textarea iframe noscript template select svg math".split())
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
 HEADINGS = {"h1", "h2", "h3", "h4", "h5", "h6"}
-FURNITURE = {"nav", "footer", "aside", "form", "menu", "button", "dialog", "label", "fieldset", "search"}
+FORMS = {"form", "fieldset", "label", "button", "legend"}
+FURNITURE = {"nav", "footer", "aside", "menu", "dialog", "search"} | FORMS
 CONTENT = {"article", "main"}
+ROLES = {"navigation": "nav", "complementary": "aside", "contentinfo": "footer", "search": "search", "form": "form", "dialog": "dialog", "banner": "header", "main": "main", "article": "article"}
 BAD_WORDS = set(
     "ad ads adv advert advertisement advertising banner promo promotion sponsor sponsored cookie cookies consent gdpr notice alert sidebar aside menu nav navbar navigation breadcrumb breadcrumbs footer header masthead topbar toolbar comment comments reply replies "
     "discussion respond share sharing social related recommended recommendations newsletter subscribe subscription signup login popup modal overlay widget pagination pager tags tagcloud meta-nav toc copyright disclaimer legal hidden noprint complementary contentinfo search".split()
 )
 GOOD_WORDS = set("article content post entry story main body text maincontent".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>|<(?=[^a-zA-Z/!?])|[^<]+|<", re.S)
-_NOTED = re.compile(r"\b(class|id|role|hidden|style|aria-hidden)\b(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?", re.I)
+_TAG = re.compile(r"(/?)([a-zA-Z][a-zA-Z0-9:-]*)")
+_STOP = re.compile(r">|=[ \t\r\n\f]*[\"']")
+_ATTRIBUTE = re.compile(r"""([^\s=/>"']+)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>]*))?""")
+_RAW_END = {name: re.compile(rf"</{name}(?=[\s/>])", re.I) for name in RAW}
+_HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden")
 _NAME = re.compile(r"[A-Za-z]+")
+_LONG = re.compile(r"&#(?:0*([0-9]+)|[xX]0*([0-9a-fA-F]+));?")
 
-FIELDS = ("words", "links", "before", "before_links", "after", "after_links", "heading", "item", "paragraph", "in_content", "in_furniture", "bad_name", "good_name", "unseen")
-
-
-@dataclass
-class Block:
-    text: str
-    words: int
-    links: float
-    tag: str
-    content: bool
-    furniture: bool
-    bad: bool
-    good: bool
-    unseen: bool
-    mark: str = ""
-
-
-def _names(attributes: str) -> tuple[bool, bool, bool]:
-    """Whether class, id or role name furniture or content, and whether the element is hidden."""
-    bad = good = unseen = False
-    for key, value in _NOTED.findall(attributes):
-        key, value = key.lower(), value.strip("\"'").lower()
-        if key == "style":
-            unseen |= bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value))
-        elif key in ("hidden", "aria-hidden"):
-            unseen |= value != "false"
-        else:
-            parts = {w for x in re.split(r"[\s]+", value) for w in (x, *_NAME.findall(x))}
-            bad |= bool(parts & BAD_WORDS)
-            good |= bool(parts & GOOD_WORDS)
-    return bad, good, unseen
+#: The first of equally good features is split on.
+FIELDS = ("in_content", "inner_furniture", "outer_furniture", "unseen", "bad_name", "good_name", "heading", "item", "paragraph", "words", "links", "before", "before_links", "after", "after_links")
 
 
 @dataclass(slots=True)
 class Open:
-    """An open element with what holds for it and all that encloses it; `block` is the place of the nearest block element."""
+    """An open element with what holds for it and all that encloses it; `block` is the place of the nearest block element.
+    Furniture and bad names count from the outermost content element inwards, `outer` is what encloses that."""
 
-    name: str
+    name: str = ""
     block: int = -1
     content: bool = False
     furniture: bool = False
+    outer: bool = False
     bad: bool = False
     good: bool = False
     unseen: bool = False
+    linked: bool = False
     mark: str = ""
 
 
+@dataclass(slots=True)
+class Block:
+    text: str
+    words: int
+    links: float
+    tag: str
+    inside: Open
+
+    @property
+    def mark(self) -> str:
+        return self.inside.mark
+
+
+def attributes_of(text: str) -> dict[str, str]:
+    return {key.lower(): value.strip("\"'").lower() for key, value in _ATTRIBUTE.findall(text)}
+
+
+def decoded(text: str) -> str:
+    """Text with its character references replaced; numbers beyond all characters give U+FFFD at any length."""
+    if "&#" in text:
+        text = _LONG.sub(lambda m: m[0] if len(m[1] or m[2]) <= 7 else "\ufffd", text)
+    return unescape(text)
+
+
+def opened(name: str, attributes: dict[str, str], up: Open, place: int) -> Open:
+    """The marks of an element from its tag and those of what encloses it."""
+    kind = ROLES.get(attributes.get("role", ""), name)
+    names = {w for key in ("class", "id") for x in attributes.get(key, "").split() for w in (x, *_NAME.findall(x))}
+    bad = bool(names & BAD_WORDS) and name not in ("html", "body")
+    enters = kind in CONTENT and not up.content
+    furniture = kind in FURNITURE or kind == "header" and not up.content
+    unseen = "hidden" in attributes or attributes.get("aria-hidden") == "true" or bool(_HIDDEN.search(attributes.get("style", "")))
+    return Open(
+        name, place if name in BLOCK else up.block, up.content or kind in CONTENT, not enters and (up.furniture or furniture), up.outer or furniture and not up.content and kind not in FORMS, not enters and (up.bad or bad),
+        up.good or bool(names & GOOD_WORDS), up.unseen or unseen, up.linked or name == "a" and "href" in attributes, attributes.get("data-keep") or up.mark,
+    )
+
+
+def tag_end(page: str, at: int) -> int:
+    """The place of the `>` that ends a tag, quoted values left out; the page's length if there is none."""
+    while True:
+        m = _STOP.search(page, at)
+        if m is None:
+            return len(page)
+        if m[0] == ">":
+            return m.start()
+        close = page.find(m[0][-1], m.end())
+        if close < 0:
+            # No such quote follows any more: it is an ordinary character.
+            end = page.find(">", m.end())
+            return end if end >= 0 else len(page)
+        at = close + 1
+
+
 def blocks_of(page: str) -> list[Block]:
     """The text blocks of a page in order. Every open element is kept; depth costs constant work a block and a tag."""
     out: list[Block] = []
     open_: list[Open] = []
     places: dict[str, list[int]] = {}
-    outside = Open("")
+    outside = Open()
     pieces: list[tuple[str, bool]] = []
-    link, at = False, 0
+    at, size = 0, len(page)
 
     def flush() -> None:
         text = " ".join("".join(t for t, _ in pieces).split())
         if text:
             linked = sum(len(t.split()) for t, x in pieces if x)
             words, top = len(text.split()), open_[-1] if open_ else outside
-            tag = open_[top.block].name if top.block >= 0 else ""
-            out.append(Block(text, words, min(1.0, linked / words), tag, top.content, top.furniture, top.bad, top.good, top.unseen, top.mark))
+            out.append(Block(text, words, min(1.0, linked / words), open_[top.block].name if top.block >= 0 else "", top))
         pieces.clear()
 
     def close(place: int) -> None:
@@ -109,41 +145,54 @@ def blocks_of(page: str) -> list[Block]:
             places[x.name].pop()
         del open_[place:]
 
-    while at < len(page):
-        m = _TOKEN.match(page, at)
-        at = m.end()
-        name = m[2]
-        if name is None:
-            if m[0][0] != "<" or m[0] == "<":
-                pieces.append((unescape(m[0]), link))
+    while at < size:
+        start = page.find("<", at)
+        start = size if start < 0 else start
+        if start > at:
+            pieces.append((decoded(page[at:start]), bool(open_) and open_[-1].linked))
+        if start == size:
+            break
+        m = _TAG.match(page, start + 1)
+        if m is None:
+            if page.startswith("<!--", start):
+                end = page.find("-->", start + 2) + 2
+            elif page.startswith(("<!", "<?", "</"), start):
+                end = page.find(">", start)
+            else:
+                pieces.append(("<", bool(open_) and open_[-1].linked))
+                at = start + 1
+                continue
+            at = end + 1 if end > start else size
             continue
-        name, closing = name.lower(), bool(m[1])
-        if not closing and name in RAW and not m[3].endswith("/"):
-            end = re.compile(rf"</{name}\b[^>]*>", re.I).search(page, at)
-            at = end.end() if end else len(page)
-            continue
-        if name == "br":
-            pieces.append((" ", link))
+        closing, name = bool(m[1]), m[2].lower()
+        end = tag_end(page, m.end())
+        if end == size:
+            break
+        at = end + 1
         if name in BLOCK:
             flush()
-            link = False
+        elif name == "br":
+            pieces.append((" ", False))
         if name in VOID:
             continue
-        if name == "a":
-            link = not closing and "href" in m[3].lower()
+        top = open_[-1].block if open_ else -1
         if closing:
-            if places.get(name):
+            # An inline end tag doesn't close blocks.
+            if places.get(name) and (name in BLOCK or places[name][-1] > top):
                 close(places[name][-1])
             continue
-        if name in BLOCK and open_ and (i := open_[-1].block) >= 0 and (open_[i].name == "p" or open_[i].name == name == "li"):
-            close(i)
-        bad, good, unseen = _names(m[3]) if m[3] else (False, False, False)
-        mark = re.search(r'data-keep="(\w)"', m[3])
-        up = open_[-1] if open_ else outside
+        text = page[m.end() : end]
+        if name in RAW and not text.endswith("/"):
+            found = _RAW_END[name].search(page, at)
+            end = page.find(">", found.end()) if found else -1
+            at = end + 1 if end >= 0 else size
+            continue
+        if name in BLOCK and top >= 0 and (open_[top].name == "p" or open_[top].name == name == "li"):
+            close(top)
+        if name == "a" and places.get("a") and places["a"][-1] > top:
+            close(places["a"][-1])
         places.setdefault(name, []).append(len(open_))
-        furniture = up.furniture or name in FURNITURE or name == "header" and not up.content
-        own = bad and name not in ("html", "body")
-        open_.append(Open(name, len(open_) if name in BLOCK else up.block, up.content or name in CONTENT, furniture, up.bad or own, up.good or good, up.unseen or unseen, mark[1] if mark else up.mark))
+        open_.append(opened(name, attributes_of(text) if text else {}, open_[-1] if open_ else outside, len(open_)))
     flush()
     return out
 
@@ -152,15 +201,15 @@ def features(blocks: list[Block]) -> np.ndarray:
     own = [(b.words, b.links) for b in blocks]
     rows = []
     for i, b in enumerate(blocks):
-        before, after = own[i - 1] if i else (0, 0.0), own[i + 1] if i + 1 < len(own) else (0, 0.0)
-        rows.append((b.words, b.links, *before, *after, b.tag in HEADINGS, b.tag == "li", b.tag == "p", b.content, b.furniture, b.bad, b.good, b.unseen))
+        before, after, x = own[i - 1] if i else (0, 0.0), own[i + 1] if i + 1 < len(own) else (0, 0.0), b.inside
+        rows.append((x.content, x.furniture, x.outer, x.unseen, x.bad, x.good, b.tag in HEADINGS, b.tag == "li", b.tag == "p", b.words, b.links, *before, *after))
     return np.array(rows, np.float64).reshape(len(blocks), len(FIELDS))
 
 
 class Tree:
     """A binary classification tree by Gini impurity."""
 
-    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 8, least: int = 3):
+    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 12, least: int = 1):
         self.value, self.field = float(y.mean()), -1
         if depth == 0 or len(y) < 2 * least or y.min() == y.max():
             return
@@ -189,45 +238,109 @@ class Tree:
         return node.value > 0.5
 
 
-def _prose(rng, low: int, high: int) -> str:
-    size = int(rng.integers(low, high + 1))
-    return " ".join("".join(rng.choice(list("aeilnorst"), int(rng.integers(2, 8)))) for _ in range(size)) + "."
-
-
-def labelled_pages(seed: int = 7, pages: int = 300) -> list[str]:
-    """The labelled table: small pages of several layouts whose containers carry data-keep="y" or "n"."""
-    rng = np.random.default_rng(seed)
+    def used(self) -> set[str]:
+        """Names of the features that the tree splits on."""
+        return set() if self.field < 0 else {FIELDS[self.field]} | self.low.used() | self.high.used()
+
+
+class _Pages:
+    """A generator of labelled pages: containers carry data-keep="y" or "n"."""
+
+    def __init__(self, seed: int):
+        self.rng = np.random.default_rng(seed)
+        letters = np.array(list("aeilnorst"))
+        self.words = ["".join(self.rng.choice(letters, int(n))) for n in self.rng.integers(2, 8, 400)]
+
+    def number(self, low: int, high: int) -> int:
+        return int(self.rng.integers(low, high + 1))
+
+    def chance(self, p: float) -> bool:
+        return self.rng.random() < p
+
+    def prose(self, low: int, high: int) -> str:
+        return " ".join(self.words[i] for i in self.rng.integers(0, len(self.words), self.number(low, high))) + "."
+
+    def opaque(self) -> str:
+        """Attributes that tell nothing."""
+        return [f' class="c{self.number(1, 99)}"', ' class="row"', f' id="x{self.number(1, 99)}"', ""][self.number(0, 3)]
+
+    def links(self, low: int, high: int, tag: str = "li") -> str:
+        made = "".join(f'<{tag}><a href="/{i}">{self.prose(1, 5)}</a></{tag}>' for i in range(self.number(low, high)))
+        return f"<ul>{made}</ul>" if tag == "li" else made
+
+    def paragraph(self, low: int, high: int) -> str:
+        """Prose, now and then with a link inside."""
+        text = self.prose(low, high)
+        return f"{text} <a href='/y'>{self.prose(1, 3)}</a> {self.prose(8, 20)}" if self.chance(0.25) else text
+
+    def body(self, plain: bool) -> str:
+        """The blocks of an article. Where nothing else tells, they are prose of some length."""
+        kinds = ["p", "p", "p", "p", "h2", "blockquote"] + ([] if plain else ["li", "td", "p"])
+        made = []
+        for _ in range(self.number(2 if plain else 1, 8)):
+            t = kinds[self.number(0, len(kinds) - 1)]
+            made.append(f"<{t}>{self.paragraph(*((2, 9) if t == 'h2' else (16, 90) if plain else (1, 90)))}</{t}>")
+        return f"<h1>{self.prose(3, 14)}</h1>" + "".join(made) + (f"<p>{self.prose(16, 60)}</p>" if plain else "")
+
+    def box(self, tag: str, name: str, inner: str, known: bool) -> str:
+        """A piece of furniture under its own tag or name, or without either."""
+        if not known:
+            return f'<div{self.opaque()} data-keep="n">{inner}</div>'
+        return f'<{tag}{self.opaque()} data-keep="n">{inner}</{tag}>' if tag != "div" else f'<div class="{name}" data-keep="n">{inner}</div>'
+
+    def named(self) -> str:
+        """Furniture that its tag or name tells, whatever its text is."""
+        some = "".join(f"<p>{self.paragraph(1, 100)}</p>" for _ in range(self.number(1, 3)))
+        tag, name = [("nav", ""), ("aside", ""), ("form", ""), ("footer", ""), ("div", "ad"), ("div", "cookie-notice"), ("div", "sidebar"), ("section", "comments"), ("div", "share"), ("div", "related")][self.number(0, 9)]
+        inner = self.links(2, 6) if tag == "nav" and self.chance(0.7) else f"<label>{self.prose(1, 6)}</label>{some}" if tag == "form" else some + (self.links(1, 3) if self.chance(0.4) else "")
+        if tag == "section":
+            return f'<section class="{name}" data-keep="n">{some}{some}</section>'
+        return self.box(tag, name, inner, True)
+
+    def unnamed(self) -> str:
+        """Furniture that only its words, links and neighbours tell: menus, teasers between links, lines of small print."""
+        kind = self.number(0, 3)
+        inner = self.links(3, 8) if kind == 0 else self.links(2, 6, "p") if kind == 1 else f'<p><a href="/t">{self.prose(2, 8)}</a></p><p>{self.prose(4, 12)}</p><p><a href="/u">{self.prose(2, 8)}</a></p>' if kind == 2 else "".join(f"<{t}>{self.prose(2, 7)}</{t}>" for t in self.rng.choice(["p", "span", "td", "li", "dd"], self.number(1, 3)))
+        return self.box("div", "", inner, False)
+
+    def hidden(self) -> str:
+        return f'<div{[" style=" + chr(34) + "display:none" + chr(34), " hidden", " aria-hidden=true"][self.number(0, 2)]} data-keep="n"><p>{self.prose(1, 90)}</p></div>'
+
+    def page(self, i: int) -> str:
+        plain = i % 2 == 1
+        inside = self.body(plain)
+        if not plain:
+            # Furniture stands inside articles as well.
+            for _ in range(self.number(0, 3)):
+                made = self.named() if self.chance(0.7) else self.hidden() if self.chance(0.4) else f'<div data-keep="n">{self.links(2, 7)}</div>'
+                inside = inside + made + f"<p>{self.paragraph(1, 60)}</p>" if self.chance(0.5) else inside + made
+        kind = i // 2 % 4
+        if plain:
+            article = [f'<div{self.opaque()} data-keep="y">{inside}</div>', f'<div{self.opaque()}><section{self.opaque()} data-keep="y">{inside}</section></div>', f'<div class="post-content" data-keep="y">{inside}</div>', f'<div id="main" data-keep="y">{inside}</div>'][kind]
+        else:
+            article = [
+                f'<article{self.opaque()} data-keep="y">{inside}</article>', f'<main data-keep="y"><article><header><p>{self.prose(2, 8)}</p></header>{inside}</article></main>',
+                f'<div class="with-sidebar"><article data-keep="y">{inside}</article></div>', f'<form><div role="main" data-keep="y">{inside}</div></form>',
+            ][kind]
+        around = [self.unnamed() if plain and self.chance(0.75) else self.hidden() if self.chance(0.1) else f'<header data-keep="n"><p>{self.prose(1, 60)}</p></header>' if self.chance(0.1) else f'<aside data-keep="n"><article><p>{self.prose(5, 60)}</p></article></aside>' if self.chance(0.1) else self.named() for _ in range(self.number(2, 7))]
+        cut = self.number(0, len(around))
+        return "<html><body>" + "".join(around[:cut]) + article + "".join(around[cut:]) + "</body></html>"
 
-    def linked(n):
-        return "".join(f'<li><a href="/{i}">{_prose(rng, 1, 3)}</a></li>' for i in range(n))
 
-    out = []
-    for i in range(pages):
-        heading, text = f"<h1>{_prose(rng, 3, 14)}</h1>", "".join(f"<{t}>{_prose(rng, 1, 90)}</{t}>" for t in rng.choice(["p", "p", "p", "p", "h2", "li", "blockquote"], int(rng.integers(1, 8))))
-        aside_text = "".join(f"<p>{_prose(rng, 1, 110)}</p>" for _ in range(int(rng.integers(1, 3))))
-        article = [f'<article data-keep="y">{heading}{text}</article>', f'<main data-keep="y"><article>{heading}<header><p>{_prose(rng, 2, 8)}</p></header>{text}</article></main>', f'<div class="post-content" data-keep="y">{heading}{text}</div>', f'<article data-keep="y">{heading}{text}<div class="ad" data-keep="n">{_prose(rng, 2, 120)}</div></article>', f'<div id="main" data-keep="y">{heading}{text}</div>', f'<div data-keep="y">{heading}{"".join(f"<p>{_prose(rng, 25, 90)}</p>" for _ in range(3))}</div>'][i % 6]
-        furniture = [
-            f'<nav data-keep="n"><ul>{linked(int(rng.integers(2, 7)))}</ul></nav>', f'<header data-keep="n"><p>{_prose(rng, 1, 60)}</p></header>', f'<div class="ad" data-keep="n">{_prose(rng, 2, 120)}</div>', f'<div class="cookie-notice" data-keep="n">{aside_text}</div>',
-            f'<aside data-keep="n">{aside_text}<ul>{linked(2)}</ul></aside>', f'<div class="sidebar" data-keep="n">{aside_text}</div>', f'<form data-keep="n"><label>{_prose(rng, 1, 6)}</label><p>{_prose(rng, 1, 80)}</p></form>', f'<section class="comments" data-keep="n">{aside_text}{aside_text}</section>',
-            f'<footer data-keep="n">{_prose(rng, 2, 120)}</footer>', f'<div data-keep="n"><ul>{linked(5)}</ul></div>', f'<div data-keep="n"><p><a href="/x">{_prose(rng, 1, 12)}</a></p></div>', f'<div style="display:none" data-keep="n"><p>{_prose(rng, 1, 60)}</p></div>',
-        ]
-        pick = rng.permutation(len(furniture))[: int(rng.integers(3, 8))]
-        cut = int(rng.integers(0, len(pick) + 1))
-        out.append("<html><body>" + "".join(furniture[j] for j in pick[:cut]) + article + "".join(furniture[j] for j in pick[cut:]) + "</body></html>")
-    return out
+def labelled_pages(seed: int = 7, pages: int = 1000) -> list[str]:
+    """The labelled table: small pages, by turns with landmarks or names and without."""
+    made = _Pages(seed)
+    return [made.page(i) for i in range(pages)]
 
 
 _TREE: list[Tree] = []
 
 
 def trained() -> Tree:
+    """The tree, grown once per process; `extracted` grows it on the driver and ships it."""
     if not _TREE:
-        x, y = [], []
-        for page in labelled_pages():
-            found = blocks_of(page)
-            x.append(features(found))
-            y += [b.mark == "y" for b in found]
-        _TREE.append(Tree(np.vstack(x), np.array(y, np.float64)))
+        found = [blocks_of(page) for page in labelled_pages()]
+        _TREE.append(Tree(np.vstack([features(f) for f in found]), np.array([b.mark == "y" for f in found for b in f], np.float64)))
     return _TREE[0]
 
 
@@ -239,9 +352,10 @@ def main_text(page: str, tree: Tree | None = None) -> str:
 
 def extracted(pages: DataFrame) -> DataFrame:
     """page_id, url, text (main text, blocks joined by line feeds), n_chars."""
+    shared = pages.sparkSession.sparkContext.broadcast(trained())
 
     def run(batch: pa.RecordBatch) -> dict:
-        texts = [main_text(h or "") for h in batch.column("html").to_pylist()]
+        texts = [main_text(h or "", shared.value) for h in batch.column("html").to_pylist()]
         return {"page_id": batch.column("page_id"), "url": batch.column("url"), "text": texts, "n_chars": [len(t) for t in texts]}
 
     return map_text(pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")), run, "page_id long, url string, text string, n_chars long", column="html")

@@ -139,9 +139,60 @@ def test_html_of_any_depth():
     words = "plain words that make a long enough paragraph of prose for the article to keep it here. " * 3
     page = f"<html><body><article><p>{words}</p>" + "<span>" * 1100 + '<div class="comments">' + "<span>" * 950 + f"<p>{words}</p></div></article></body></html>"
     first, last = html_extraction.blocks_of(page)
-    assert (first.content, first.bad) == (True, False) and (last.content, last.bad) == (True, True)
+    assert (first.inside.content, first.inside.bad) == (True, False) and (last.inside.content, last.inside.bad) == (True, True)
     deep = "<article>" + "<div>" * 3000 + f"<p>{words}</p>" + "</div>" * 3000 + f"<p>{words}</p></article><p>{words}</p>"
-    assert [b.content for b in html_extraction.blocks_of(deep)] == [True, True, False]
+    assert [b.inside.content for b in html_extraction.blocks_of(deep)] == [True, True, False]
+
+
+PROSE = "plain words that make a long enough paragraph of prose for the article to keep it here. " * 3
+
+
+@pytest.mark.parametrize(
+    "inner",
+    [
+        "<nav><a href=/>Home page</a></nav>", f"<aside><p>{PROSE}</p></aside>", f"<form><p>{PROSE}</p><input></form>", "<footer>small print</footer>", "<ul><li><a href=/1>one two</a></li><li><a href=/2>three</a></li></ul>", f'<div style="display:none"><p>{PROSE}</p></div>',
+        f"<div hidden>{PROSE}</div>", f'<section id="comments"><article><p>{PROSE}</p></article></section>', f"<div role=navigation><p>{PROSE}</p></div>", f"<script>{PROSE}</script><style>{PROSE}</style><!-- {PROSE} -->", f"<div><form><div><p>{PROSE}</p></div></form></div>", "<nav><ul><li>one<li>two</ul></nav>",
+    ],
+)
+def test_html_furniture_inside_articles(inner):
+    for before, after in (("<article>", "</article>"), ("<main><div class=c1>", "</div></main>"), ("<form><div role=main>", "</div></form>"), ("<div class=x-sidebar><article>", "</article></div>")):
+        page = f"<html><body>{before}<h1>Title here</h1><p>{PROSE}</p>{inner}<p>Short.</p><p>{PROSE}</p>{after}</body></html>"
+        assert html_extraction.main_text(page) == "\n".join(["Title here", PROSE.strip(), "Short.", PROSE.strip()])
+
+
+def test_html_tree_uses_links_and_neighbours():
+    """Without landmarks or names, words, links and neighbours tell; the labels don't follow the class names."""
+    used = html_extraction.trained().used()
+    assert {"links", "words"} <= used and used & {"before", "before_links", "after", "after_links"}
+    menu = "".join(f"<li><a href=/{i}>entry {i}</a></li>" for i in range(6))
+    page = f"<body><div class=c7><ul>{menu}</ul></div><div class=c8><h1>Title of some words</h1><p>{PROSE}</p><p>{PROSE}</p></div><div class=c9><p><a href=/a>More of this</a></p><p>short teaser words</p><p><a href=/b>And that</a></p></div></body>"
+    assert html_extraction.main_text(page) == "\n".join(["Title of some words", PROSE.strip(), PROSE.strip()])
+    bare = [p for p in html_extraction.labelled_pages(99, 200) if not re.search("<(article|main|nav|aside|footer)|role=", p)]
+    blocks = [(b, f) for p in bare for x in [html_extraction.blocks_of(p)] for b, f in zip(x, html_extraction.features(x).tolist(), strict=True)]
+    assert len(blocks) > 100 and sum(html_extraction.trained().keep(f) != (b.mark == "y") for b, f in blocks) <= 0.03 * len(blocks)
+
+
+@pytest.mark.parametrize("junk", ["<a ", '<a href="', "<a b='", "<!--", "<script>", "<script </script ", "</", "<p>", "<b>", "&#", 'a=" >', "<a href=x><div>", "<"])
+def test_html_is_linear(junk):
+    import time
+
+    html_extraction.trained()
+    took = []
+    for size in (100_000, 400_000):
+        page, began = junk * (size // len(junk)), time.process_time()
+        html_extraction.main_text(page)
+        took.append(time.process_time() - began)
+    assert took[1] <= 8 * took[0] + 0.5
+
+
+def test_html_odd_markup():
+    for page, text in [
+        (f"<article><p>&#{'9' * 5000}; &#0000065; &amp;amp; x</p></article>", "\ufffd A &amp; x"), ("<article><p title='a > b'>in <i>line</p></i> after</article>", "in line\nafter"), ("<article><p>one<p>two<div>three</article><footer>no</footer>", "one\ntwo\nthree"),
+        ("<ARTICLE><P>Up<BR>per 1 < 2</P></ARTICLE>", "Up per 1 < 2"), ("<article><a href=/x>in</a> a sentence of many words with one <a href=/y>link</a></article>", "in a sentence of many words with one link"),
+    ]:
+        assert html_extraction.main_text(page) == text
+    long = "word " * 200_000
+    assert html_extraction.main_text(f"<article><p>{long}</p></article>") == long.strip()
 
 
 def test_html_query(spark, sf_dir):
