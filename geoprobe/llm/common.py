@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..session import checkpointed, shared_folder, spread, workers_can_import
 
-__all__ = ["as_binary", "checkpointed", "digest_of", "held_out", "load", "map_text", "shared_folder", "slices", "spread", "workers_can_import"]
+__all__ = ["as_binary", "checkpointed", "digest_of", "held_out", "load", "map_text", "shared_folder", "slices", "spread", "unused", "workers_can_import"]
 
 #: A Python worker handles about this many text bytes at a time, whatever the Arrow batch size.
 SLICE_BYTES = 2 << 20
@@ -60,6 +60,18 @@ def load(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFram
     return spread(df) if {"text", "html"} & set(columns) and name in ("documents", "pages") else df
 
 
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """The names, lengthened until no column of `df` has them."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def digest_of(ids) -> F.Column:
     """Lowercase SHA-256 of an array of strings joined by commas."""
     return F.sha2(F.concat_ws(",", ids), 256)

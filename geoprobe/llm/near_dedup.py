@@ -9,8 +9,9 @@ Documents with equal sets are one class, found by aggregation. Between classes,
 not paired all with all: in each of a few rounds every document of a bucket is compared with one pivot of its bucket,
 verified links are merged into components, and only buckets that still span several components go on. What is left
 (near copies of one text that are mostly just under the threshold) is compared block by block: documents that hang
-together through such buckets are dealt into blocks, a task gets two blocks with their whole sets and compares, in memory,
-the documents of different components that share a band value. Pairs are never rows, and no link is lost.
+together through such buckets are dealt into blocks of bounded bytes, a task gets two blocks with their whole sets and compares, in memory,
+the documents of different components that share a band value; a link found there joins its components for the rest of the task. A set is copied once for each block of its
+group: BLOCKS times, or once for every BLOCK_BYTES of the group if that is more. Pairs are never rows, and no link is lost.
 A comparison first estimates the similarity from both sketches by maximum likelihood and skips pairs more than
 `SLACK` under the threshold (five standard errors); the rest is decided on the whole sets.
 
@@ -25,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_binary, checkpointed, map_text
+from .common import as_binary, checkpointed, map_text, unused
 from .words import Powers, hashed, mix, odd_constants, runs_of, split_words
 
 SHINGLE, THRESHOLD = 5, 75
@@ -36,8 +37,8 @@ BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
 SLACK = 0.2
 #: Partners that are compared with one copy of a pivot's set; rounds of pivots before the comparison in blocks.
 BATCH, PIVOT_ROUNDS = 64, 2
-#: A group is dealt into BLOCKS blocks, of at least and at most so many documents.
-BLOCKS, BLOCK_LEAST, BLOCK_MOST = 20, 64, 1024
+#: A group is dealt into BLOCKS blocks, of at least and at most so many bytes of sets.
+BLOCKS, BLOCK_LEAST, BLOCK_BYTES = 20, 128 << 10, 16 << 20
 
 _SHINGLE = odd_constants(SHINGLE, 5)
 _TIMES, _PLUS = odd_constants(REGISTERS, 7), odd_constants(REGISTERS, 11)
@@ -159,17 +160,28 @@ def verified(pairs: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
     return filled.repartition("pivot", "part").sortWithinPartitions("pivot", "part", "kind").mapInArrow(run, "a long, b long")
 
 
+def _rooted(hooks: DataFrame) -> DataFrame:
+    """hooks (node, up), every up at or below its node, with ups replaced by the roots of their trees: each turn doubles the
+    length of the way that is skipped."""
+    while True:
+        over = hooks.select(F.col("node").alias("at"), F.col("up").alias("further")).where("further < at")
+        hooks = checkpointed(hooks.join(over, F.col("up") == F.col("at"), "left").select("node", F.coalesce("further", "up").alias("up"), F.col("further").isNotNull().alias("moved")))
+        if hooks.where("moved").isEmpty():
+            return hooks.select("node", "up")
+
+
 def connected(links: DataFrame) -> DataFrame:
     """(node, label): the smallest node that each node of the links (a, b) reaches.
 
-    Each round hooks every node to its smallest neighbour, carries the edges over to the hooks and drops those that have
-    become loops or repeats, so the graph shrinks until no edge is left; each round is materialised."""
+    Each round hooks every node to its smallest neighbour (or to itself), replaces hooks by the roots of the trees that they form, carries the
+    edges over to the roots and drops those that have become loops or repeats, so the graph shrinks until no edge is left.
+    A chain of any order takes rounds in the logarithm of its length; each round is materialised."""
     canonical = lambda a, b: (F.least(a, b).alias("a"), F.greatest(a, b).alias("b"))
     edges = checkpointed(links.select(*canonical("a", "b")).where("a < b").distinct())
     labels = None
     while not edges.isEmpty():
         near = edges.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("up")).unionByName(edges.groupBy(F.col("a").alias("node")).agg(F.min("a").alias("up")))
-        hooks = checkpointed(near.groupBy("node").agg(F.min("up").alias("up")))
+        hooks = _rooted(checkpointed(near.groupBy("node").agg(F.min("up").alias("up"))))
         if labels is None:
             labels = hooks.select("node", F.col("up").alias("label"))
         else:
@@ -184,25 +196,43 @@ def connected(links: DataFrame) -> DataFrame:
 
 
 def links_in_blocks(left: list[tuple], right: list[tuple], threshold: int) -> list[tuple[int, int]]:
-    """Links between two blocks of (doc_id, label, registers, set), each pair of different labels that shares a band value
-    compared once. One document is compared with all its candidates at a time."""
+    """Links between two blocks of (doc_id, label, registers, set) that join all labels which links between documents sharing
+    a band value join. One document is compared with the documents of other labels at a time: first with the likeliest of each
+    label, then with the rest of the labels that are still apart."""
     if not left or not right:
         return []
-    labels, ids = np.array([r[1] for r in right]), np.array([r[0] for r in right])
+    names = {label: i for i, label in enumerate(dict.fromkeys(r[1] for r in left + right))}
+    here, labels, ids = np.array([names[r[1]] for r in left]), np.array([names[r[1]] for r in right]), np.array([r[0] for r in right])
     bands, own = band_values(np.stack([r[2] for r in right])), band_values(np.stack([r[2] for r in left]))
-    sizes = np.array([len(r[3]) for r in right])
+    registers, sizes = np.stack([r[2] for r in right]), np.array([len(r[3]) for r in right])
     out = []
-    for (doc, label, registers, shingles), values in zip(left, own, strict=True):
-        possible = np.flatnonzero((labels != label) & (bands == values).any(axis=1) & (100 * np.minimum(sizes, len(shingles)) >= threshold * np.maximum(sizes, len(shingles))))
-        possible = [j for j in possible.tolist() if left is not right or ids[j] > doc]
-        same = [int((right[j][2] == registers).sum()) for j in possible]
+
+    def verified_ones(one: tuple, some: np.ndarray) -> np.ndarray:
+        flat = np.concatenate([right[j][3] for j in some])
+        at = np.minimum(np.searchsorted(one[3], flat), len(one[3]) - 1)
+        common = np.add.reduceat((one[3][at] == flat).astype(np.int64), np.cumsum([0, *sizes[some[:-1]]]))
+        return some[100 * common >= threshold * (len(one[3]) + sizes[some] - common)]
+
+    for i, (one, values) in enumerate(zip(left, own, strict=True)):
+        size = len(one[3])
+        possible = np.flatnonzero((labels != here[i]) & (100 * np.minimum(sizes, size) >= threshold * np.maximum(sizes, size)))
+        possible = possible[(bands[possible] == values).any(axis=1)]
+        if left is right:
+            possible = possible[ids[possible] > one[0]]
+        same = (registers[possible] == one[2]).sum(axis=1)
         # The exact likelihood is only worked out where the plain share of equal registers is low.
-        possible = [j for j, n in zip(possible, same, strict=True) if n >= 0.7 * REGISTERS or likely((registers, shingles), right[j][2:], threshold)]
-        if possible:
-            flat = np.concatenate([right[j][3] for j in possible])
-            at = np.minimum(np.searchsorted(shingles, flat), len(shingles) - 1)
-            common = np.add.reduceat((shingles[at] == flat).astype(np.int64), np.cumsum([0, *(sizes[j] for j in possible[:-1])]))
-            out += [(doc, right[j][0]) for j, n in zip(possible, common.tolist(), strict=True) if 100 * n >= threshold * (len(shingles) + sizes[j] - n)]
+        fit = np.array([n >= 0.7 * REGISTERS or likely(one[2:], right[j][2:], threshold) for j, n in zip(possible.tolist(), same.tolist(), strict=True)], bool)
+        possible, same = possible[fit], same[fit]
+        order = np.argsort(-same, kind="stable")
+        possible = possible[order]
+        best = np.unique(labels[possible], return_index=True)[1]
+        for some in (possible[np.sort(best)], np.delete(possible, best)):
+            some = some[labels[some] != here[i]]
+            for j in verified_ones(one, some).tolist() if len(some) else ():
+                if (old := labels[j]) != here[i]:
+                    out.append((one[0], right[j][0]))
+                    labels[labels == old] = here[i]
+                    here[here == old] = here[i]
     return out
 
 
@@ -210,8 +240,9 @@ def _block_links(here: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
     """Verified links between documents of different labels that share a bucket of `here` (bucket, doc_id, label)."""
     first = checkpointed(here.groupBy(F.col("bucket").alias("bk")).agg(F.min("doc_id").alias("a")))
     groups = connected(here.join(first, F.col("bucket") == F.col("bk")).where("a < doc_id").select("a", F.col("doc_id").alias("b")).distinct())
-    sizes = groups.groupBy(F.col("label").alias("of")).agg(F.count("*").alias("n"))
-    width = F.least(F.greatest(F.col("n") / BLOCKS, F.lit(BLOCK_LEAST)), F.lit(BLOCK_MOST))
+    weights = sets.select(F.col("doc_id").alias("weighed"), (F.octet_length("shingles") + 2 * REGISTERS).alias("bytes"))
+    sizes = groups.join(weights, F.col("node") == F.col("weighed")).groupBy(F.col("label").alias("of")).agg(F.sum("bytes").alias("n"))
+    width = F.least(F.greatest(F.col("n") / BLOCKS, F.lit(BLOCK_LEAST)), F.lit(BLOCK_BYTES))
     sizes = checkpointed(sizes.select("of", F.greatest(F.lit(1), F.ceil(F.col("n") / width)).cast("int").alias("blocks")))
     labels = here.select(F.col("doc_id").alias("owner"), F.col("label").alias("own_label")).distinct()
     dealt = checkpointed(groups.join(sizes, F.col("label") == F.col("of")).select(F.col("label").alias("group"), "blocks", F.col("node").alias("member"), F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block")))
@@ -287,5 +318,6 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
 
 def deduplicated(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     """The documents, with all their columns, that represent their group (rows without an id stay)."""
-    gone = near_duplicates(docs, threshold).where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    (name,) = unused(docs, "gone")
+    gone = near_duplicates(docs, threshold).where("not kept").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(gone, F.col("doc_id").cast("long") == F.col(name), "left_anti")
