@@ -7,15 +7,16 @@ document only is done. The others are settled in two steps:
 1. equal super-k-mers (same minimiser, same word sequence) are reduced to their smallest document by a combining
    aggregation; all windows of later occurrences are repeats;
 2. where one minimiser has several different super-k-mers, those of the smallest documents travel as one packed
-   string each to the minimiser's bucket, where sorting brings a bucket together and its windows are compared word for
-   word. Super-k-mers of a minimiser with more than `HOT` occurrences (a very common line) are not gathered in one
+   string each to the minimiser's bucket, where sorting the bucket's windows word for word brings equal ones together and counts
+   them. Super-k-mers of a minimiser with more than `HOT` occurrences (a very common line) are not gathered in one
    bucket: they are cut again by a minimiser of another order, up to `ORDERS` times; of what is common even then, single
    windows are dealt out under a 128-bit hash and reduced by aggregation.
 
 A word is removed if a window that covers it also starts in a document with a smaller doc_id.
 
 Null or short texts have no window and keep all words; a document never removes its own repeats; rows with a null
-doc_id take no part and keep their words; equal rows (same doc_id) don't affect each other; other columns are ignored.
+doc_id take no part and keep their words; rows that share a doc_id don't affect each other and are judged each on its own text (a row is known by
+doc_id and a 64-bit hash of its text); other columns are ignored.
 """
 
 from __future__ import annotations
@@ -58,28 +59,33 @@ def super_kmers(flat: np.ndarray, ends: np.ndarray, window: int = WINDOW, order:
 
 def _occurrences(docs: DataFrame, window: int) -> DataFrame:
     def run(batch: pa.RecordBatch) -> dict:
-        ids = np.array(batch.column("doc_id").to_pylist(), np.int64)
+        ids, rows = _numbers(batch, "doc_id", "row")
         doc, start, count, low, sequence = super_kmers(*hashed(split_words(as_binary(batch.column("text")))), window)
-        return {"key": low.view(np.int64), "sequence": sequence.view(np.int64), "doc_id": ids[doc], "place": (start << 32) | count}
+        return {"key": low.view(np.int64), "sequence": sequence.view(np.int64), "doc_id": ids[doc], "row": rows[doc], "place": (start << 32) | count}
 
-    return map_text(docs, run, "key long, sequence long, doc_id long, place long")
+    return map_text(docs, run, "key long, sequence long, doc_id long, row long, place long")
+
+
+def _numbers(batch: pa.RecordBatch, *columns: str) -> list[np.ndarray]:
+    return [np.array(batch.column(c).to_pylist(), np.int64) for c in columns]
 
 
 def _with_places(docs: DataFrame, wanted: DataFrame, fn, schema: str) -> DataFrame:
-    """fn(batch of doc_id, text, places) for documents that have wanted super-k-mers (a left join, so that the same
+    """fn(batch of doc_id, row, text, places) for documents that have wanted super-k-mers (a left join, so that the same
     exchange of the documents serves every use)."""
-    places = wanted.groupBy("doc_id").agg(F.collect_list(F.struct("key", "place")).alias("places")).withColumnRenamed("doc_id", "wanted_id")
-    return map_text(docs.join(places, F.col("doc_id") == F.col("wanted_id"), "left").select("doc_id", "text", "places"), fn, schema)
+    places = wanted.groupBy(F.col("doc_id").alias("wanted_id"), F.col("row").alias("wanted_row")).agg(F.collect_list(F.struct("key", "place")).alias("places"))
+    return map_text(docs.join(places, (F.col("doc_id") == F.col("wanted_id")) & (F.col("row") == F.col("wanted_row")), "left").select("doc_id", "row", "text", "places"), fn, schema)
 
 
 def _packed(batch: pa.RecordBatch, window: int) -> dict:
-    out: dict[str, list] = {"key": [], "doc_id": [], "start": [], "packed": []}
-    for doc, text, places in zip(batch.column("doc_id").to_pylist(), as_binary(batch.column("text")), batch.column("places").to_pylist(), strict=True):
+    out: dict[str, list] = {"key": [], "doc_id": [], "row": [], "start": [], "packed": []}
+    for doc, row, text, places in zip(batch.column("doc_id").to_pylist(), batch.column("row").to_pylist(), as_binary(batch.column("text")), batch.column("places").to_pylist(), strict=True):
         words = text.split() if places else []
         for p in places or ():
             start, count = p["place"] >> 32, p["place"] & 0xFFFFFFFF
             out["key"].append(p["key"])
             out["doc_id"].append(doc)
+            out["row"].append(row)
             out["start"].append(start)
             out["packed"].append(b" ".join(words[start : start + count + window - 1]))
     return out
@@ -89,68 +95,70 @@ def _cut_again(batch: pa.RecordBatch, window: int, order: int) -> dict:
     """Packed super-k-mers cut at changes of another order's minimiser; the key tells both minimisers."""
     texts = as_binary(batch.column("packed"))
     words = split_words(texts)
-    row, start, count, low, sequence = super_kmers(*hashed(words), window, order)
-    keys, ids, firsts = (np.array(batch.column(c).to_pylist(), np.int64) for c in ("key", "doc_id", "start"))
+    own, start, count, low, sequence = super_kmers(*hashed(words), window, order)
+    keys, ids, rows, firsts = _numbers(batch, "key", "doc_id", "row", "start")
     return {
-        "key": mix(low ^ mix(keys.view(np.uint64)[row] + np.uint64(order))).view(np.int64), "sequence": sequence.view(np.int64), "doc_id": ids[row], "start": firsts[row] + start, "windows": count,
-        "packed": [b" ".join(words[r][s : s + n + window - 1]) for r, s, n in zip(row.tolist(), start.tolist(), count.tolist(), strict=True)],
+        "key": mix(low ^ mix(keys.view(np.uint64)[own] + np.uint64(order))).view(np.int64), "sequence": sequence.view(np.int64), "doc_id": ids[own], "row": rows[own], "start": firsts[own] + start, "windows": count,
+        "packed": [b" ".join(words[r][s : s + n + window - 1]) for r, s, n in zip(own.tolist(), start.tolist(), count.tolist(), strict=True)],
     }
 
 
 def _single(batch: pa.RecordBatch, window: int) -> dict:
     """Every window of packed super-k-mers under two 64-bit hashes."""
     flat, ends = hashed(split_words(as_binary(batch.column("packed"))))
-    ids, firsts = (np.array(batch.column(c).to_pylist(), np.int64) for c in ("doc_id", "start"))
+    ids, rows, firsts = _numbers(batch, "doc_id", "row", "start")
     sizes = np.maximum(0, np.diff(ends) - window + 1)
-    row = np.repeat(np.arange(len(sizes)), sizes)
-    at = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-    first = ends[row] + at
-    return {"a": _SEQUENCE.stretches(flat, first, first + window).view(np.int64), "b": _OTHER.stretches(mix(flat), first, first + window).view(np.int64), "doc_id": ids[row], "start": firsts[row] + at}
-
-
-def repeats_in_bucket(rows: list[tuple[int, int, bytes]], window: int) -> list[tuple[int, int, int]]:
-    """(document, first word, windows) of the windows that also start in a smaller document of the same bucket."""
-    cut, least = [], {}
-    for doc, start, packed in rows:
-        edges = np.flatnonzero(np.frombuffer(b" " + packed + b" ", np.uint8) == 32)
-        own = [packed[edges[i] : edges[i + window] - 1] for i in range(len(edges) - window)]
-        cut.append(own)
-        for w in own:
-            if (known := least.get(w)) is None or doc < known:
-                least[w] = doc
+    own = np.repeat(np.arange(len(sizes)), sizes)
+    at = np.arange(len(own)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    first = ends[own] + at
+    return {"a": _SEQUENCE.stretches(flat, first, first + window).view(np.int64), "b": _OTHER.stretches(mix(flat), first, first + window).view(np.int64), "doc_id": ids[own], "row": rows[own], "start": firsts[own] + at}
+
+
+def repeats_in_bucket(rows: list[tuple[int, int, int, bytes]], window: int) -> list[tuple[int, int, int, int]]:
+    """(document, row, first word, windows) of the windows that also start in a smaller document of the same bucket: windows
+    are sorted word for word, and each run of equal ones has its smallest document."""
+    windows, owner, firsts = [], [], [0]
+    for n, (_, _, _, packed) in enumerate(rows):
+        edges = np.flatnonzero(np.frombuffer(b" " + packed + b" ", np.uint8) == 32).tolist()
+        windows += [packed[a : b - 1] for a, b in zip(edges, edges[window:], strict=False)]
+        owner += [n] * (len(windows) - firsts[-1])
+        firsts.append(len(windows))
+    docs = np.array([r[0] for r in rows], np.int64)[owner]
+    order = sorted(range(len(windows)), key=windows.__getitem__)
+    run = np.cumsum([0, *(windows[a] != windows[b] for a, b in zip(order, order[1:], strict=False))])
+    starts = np.flatnonzero(np.diff(run, prepend=-1))
+    again = np.zeros(len(windows) + 1, bool)
+    again[order] = docs[order] > np.minimum.reduceat(docs[order], starts)[run]
     out = []
-    for (doc, start, _), own in zip(rows, cut, strict=True):
-        i = 0
-        while i < len(own):
-            j = i
-            while j < len(own) and least[own[j]] < doc:
-                j += 1
-            if j > i:
-                out.append((doc, start + i, j - i))
-            i = j + 1
+    for (doc, row, start, _), a, b in zip(rows, firsts[:-1], firsts[1:], strict=True):
+        edges = np.flatnonzero(np.diff(np.concatenate([[0], again[a:b].astype(np.int8), [0]])))
+        out += [(doc, row, start + int(i), int(j - i)) for i, j in zip(edges[::2], edges[1::2], strict=True)]
     return out
 
 
+_REPEATS = "doc_id long, row long, start long, windows long"
+
+
 def _bucket_repeats(packed: DataFrame, window: int) -> DataFrame:
-    schema = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("windows", pa.int64())])
+    schema = pa.schema([(n, pa.int64()) for n in ("doc_id", "row", "start", "windows")])
 
     def run(batches):
         key, rows = None, []
 
         def settled():
             found = repeats_in_bucket(rows, window) if len(rows) > 1 else []
-            return [pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(3)], schema=schema)] if found else []
+            return [pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(4)], schema=schema)] if found else []
 
         for batch in batches:
-            for k, doc, start, text in zip(*(batch.column(c).to_pylist() for c in ("key", "doc_id", "start", "packed")), strict=True):
+            for k, *row in zip(*(batch.column(c).to_pylist() for c in ("key", "doc_id", "row", "start", "packed")), strict=True):
                 if k != key:
                     yield from settled()
                     key, rows = k, []
-                rows.append((doc, start, text))
+                rows.append(tuple(row))
         yield from settled()
 
     dealt = packed.repartition("key").sortWithinPartitions("key")
-    return dealt.mapInArrow(run, "doc_id long, start long, windows long")
+    return dealt.mapInArrow(run, _REPEATS)
 
 
 def _told(found: DataFrame, hot: int) -> DataFrame:
@@ -164,29 +172,34 @@ def _told(found: DataFrame, hot: int) -> DataFrame:
     return checkpointed(some.join(least, (F.col("key") == F.col("k")) & (F.col("sequence") == F.col("s"))).select("key", *rest, "mixed", "hot", "least"))
 
 
+def _known(docs: DataFrame) -> DataFrame:
+    text = F.col("text").cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("row"), text.alias("text"))
+
+
 def repeated_windows(docs: DataFrame, window: int = WINDOW, hot: int = HOT, orders: int = ORDERS) -> DataFrame:
-    """doc_id, start, windows: runs of windows that also start in a document with a smaller doc_id (they may overlap)."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    """doc_id, row (hash of the text), start, windows: runs of windows that also start in a document with a smaller doc_id (they may overlap)."""
+    docs = _known(docs)
     told = _told(_occurrences(docs.where("doc_id is not null"), window), hot)
-    out = told.where("least < doc_id").select("doc_id", F.shiftright("place", 32).alias("start"), F.col("place").bitwiseAND(0xFFFFFFFF).alias("windows"))
-    strings = "key long, doc_id long, start long, packed binary"
+    out = told.where("least < doc_id").select("doc_id", "row", F.shiftright("place", 32).alias("start"), F.col("place").bitwiseAND(0xFFFFFFFF).alias("windows"))
+    strings = "key long, doc_id long, row long, start long, packed binary"
     pack = lambda b: _packed(b, window)
-    out = out.unionByName(_bucket_repeats(_with_places(docs, told.where("least = doc_id and mixed and not hot").select("key", "doc_id", "place"), pack, strings), window))
-    common = told.where("least = doc_id and mixed and hot").select("key", "doc_id", "place")
+    out = out.unionByName(_bucket_repeats(_with_places(docs, told.where("least = doc_id and mixed and not hot").select("key", "doc_id", "row", "place"), pack, strings), window))
+    common = told.where("least = doc_id and mixed and hot").select("key", "doc_id", "row", "place")
     if common.isEmpty():
         return out
     left = checkpointed(_with_places(docs, common, pack, strings))
     for order in range(1, orders + 1):
-        cut = checkpointed(map_text(left, lambda b, order=order: _cut_again(b, window, order), "key long, sequence long, doc_id long, start long, windows long, packed binary", column="packed"))
+        cut = checkpointed(map_text(left, lambda b, order=order: _cut_again(b, window, order), "key long, sequence long, doc_id long, row long, start long, windows long, packed binary", column="packed"))
         told = _told(cut, hot)
-        out = out.unionByName(told.where("least < doc_id").select("doc_id", "start", "windows"))
-        out = out.unionByName(_bucket_repeats(told.where("least = doc_id and mixed and not hot").select("key", "doc_id", "start", "packed"), window))
-        left = told.where("least = doc_id and mixed and hot").select("key", "doc_id", "start", "packed")
+        out = out.unionByName(told.where("least < doc_id").select("doc_id", "row", "start", "windows"))
+        out = out.unionByName(_bucket_repeats(told.where("least = doc_id and mixed and not hot").select("key", "doc_id", "row", "start", "packed"), window))
+        left = told.where("least = doc_id and mixed and hot").select("key", "doc_id", "row", "start", "packed")
         if left.isEmpty():
             return out
-    single = checkpointed(map_text(left, lambda b: _single(b, window), "a long, b long, doc_id long, start long", column="packed"))
+    single = checkpointed(map_text(left, lambda b: _single(b, window), "a long, b long, doc_id long, row long, start long", column="packed"))
     first = checkpointed(single.groupBy("a", "b").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("z")).where("least < z").select(F.col("a").alias("c"), F.col("b").alias("d"), "least"))
-    return out.unionByName(single.join(first, (F.col("a") == F.col("c")) & (F.col("b") == F.col("d"))).where("doc_id > least").select("doc_id", "start", F.lit(1).cast("long").alias("windows")))
+    return out.unionByName(single.join(first, (F.col("a") == F.col("c")) & (F.col("b") == F.col("d"))).where("doc_id > least").select("doc_id", "row", "start", F.lit(1).cast("long").alias("windows")))
 
 
 def _kept(words: list[bytes], spans, window: int) -> list[bytes]:
@@ -200,8 +213,8 @@ def _kept(words: list[bytes], spans, window: int) -> list[bytes]:
 
 def without_repeats(docs: DataFrame, window: int = WINDOW, hot: int = HOT, texts: bool = True) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 and, if wanted, the kept words joined by one space."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    spans = repeated_windows(docs, window, hot).groupBy("doc_id").agg(F.collect_list(F.struct("start", "windows")).alias("spans")).withColumnRenamed("doc_id", "span_id")
+    spans = repeated_windows(docs, window, hot).groupBy(F.col("doc_id").alias("span_id"), F.col("row").alias("span_row")).agg(F.collect_list(F.struct("start", "windows")).alias("spans"))
+    docs = _known(docs)
 
     def run(batch: pa.RecordBatch) -> dict:
         out: dict[str, list] = {"n_words": [], "n_removed": [], "kept_sha256": [], "kept": []}
@@ -215,5 +228,5 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, hot: int = HOT, texts
             out["kept"].append(joined.decode() if texts else None)
         return {"doc_id": batch.column("doc_id")} | out
 
-    made = map_text(docs.join(spans, F.col("doc_id") == F.col("span_id"), "left").select("doc_id", "text", "spans"), run, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
+    made = map_text(docs.join(spans, (F.col("doc_id") == F.col("span_id")) & (F.col("row") == F.col("span_row")), "left").select("doc_id", "text", "spans"), run, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
     return made if texts else made.drop("kept")

@@ -369,7 +369,9 @@ def test_language(spark, docs, rows):
     assert {got[i]["lang_pred"] for i in (900001, 900002, 900003)} == {"und"} and all(0 <= r["score"] <= 1 for r in got.values())
 
 
-def test_line_dedup(docs, rows):
+@pytest.mark.parametrize("parts", [line_dedup.PARTS, 3])
+def test_line_dedup(docs, rows, monkeypatch, parts):
+    monkeypatch.setattr(line_dedup, "PARTS", parts)
     lines = collections.defaultdict(lambda: (set(), []))
     for i, text, _, source, _ in rows:
         for x in (text.split("\n") if text is not None else []):
@@ -450,6 +452,91 @@ def test_components(spark):
     assert all(got[names[n]] == (low if n <= 31 or n == 200 else min(names[100], names[103], names[105])) for n in names)
 
 
+def test_components_of_long_chains(spark, monkeypatch):
+    """Rising ids, as versions of one page have: rounds grow with the logarithm of the chain."""
+    written = []
+    monkeypatch.setattr(near_dedup, "checkpointed", lambda df, keep=near_dedup.checkpointed: written.append(1) or keep(df))
+    for edges in ([(i, i + 1) for i in range(200)], [(i, i + 1) for i in range(200, 0, -1)], [(min(i, 199 - i), i + 1000) for i in range(200)]):
+        written.clear()
+        got = near_dedup.connected(spark.createDataFrame(edges, "a long, b long")).collect()
+        label = {n: n for e in edges for n in e}
+        for _ in range(len(edges)):
+            for a, b in edges:
+                label[a] = label[b] = min(label[a], label[b])
+        assert {r["node"]: r["label"] for r in got} == label and len(written) <= 16
+
+
+def test_links_in_blocks():
+    """What a block pair joins is what all its similar pairs join."""
+    rnd = np.random.default_rng(4)
+    sets = []
+    for family in range(6):
+        base = rnd.integers(1, 2**62, 120).astype(np.uint64)
+        for _ in range(12):
+            own = base.copy()
+            own[rnd.permutation(120)[: int(rnd.integers(2, 16))]] = rnd.integers(1, 2**62, 1).astype(np.uint64)
+            sets.append(np.unique(own))
+    registers = near_dedup.sketches(sets)
+    rows = [(i, i, registers[i], s) for i, s in enumerate(sets)]
+    bands = near_dedup.band_values(registers)
+
+    def joined(links):
+        parent = list(range(len(sets)))
+        for a, b in links:
+            x, y = sorted((parent[a], parent[b]))
+            parent = [x if p == y else p for p in parent]
+        return parent
+
+    for left, right in ((rows, rows), (rows[::2], rows[1::2])):
+        every = [(a[0], b[0]) for a in left for b in right if a[0] != b[0] and (bands[a[0]] == bands[b[0]]).any() and near_dedup.linked(a[3], b[3], 75)]
+        found = near_dedup.links_in_blocks(left, right, 75)
+        assert joined(found) == joined(every) and len(found) < len(every) and set(found) <= set(every) | {(b, a) for a, b in every}
+
+
+def test_near_dedup_recall():
+    """Ten thousand documents: links from sketches and bands against all pairs by an exact prefix filter."""
+    import pyarrow.parquet as pq
+
+    texts = [(t or "").encode() for t in pq.read_table("/root/testdata/sf0.1/documents.parquet", columns=["text"]).column("text").to_pylist()]
+    sets = list({s.tobytes(): s for i in range(0, len(texts), 500) for s in near_dedup.shingle_sets(texts[i : i + 500]) if len(s)}.values())
+    flat = np.concatenate(sets)
+    values, number, counts = np.unique(flat, return_inverse=True, return_counts=True)
+    place = np.argsort(np.argsort(counts, kind="stable"))[number]
+    cuts, holders, candidates = np.cumsum([len(s) for s in sets])[:-1], collections.defaultdict(list), set()
+    for i, own in enumerate(np.split(place, cuts)):
+        for x in np.sort(own)[: len(own) - -(-75 * len(own) // 100) + 1].tolist():
+            candidates.update((j, i) for j in holders[x] if 4 * min(len(sets[i]), len(sets[j])) >= 3 * max(len(sets[i]), len(sets[j])))
+            holders[x].append(i)
+    exact = [(a, b) for a, b in candidates if near_dedup.linked(sets[a], sets[b], 75)]
+    bands = np.vstack([near_dedup.band_values(near_dedup.sketches(sets[i : i + 500])) for i in range(0, len(sets), 500)])
+    registers = np.vstack([near_dedup.sketches(sets[i : i + 500]) for i in range(0, len(sets), 500)])
+    found = [(a, b) for a, b in exact if (bands[a] == bands[b]).any() and near_dedup.likely((registers[a], sets[a]), (registers[b], sets[b]), 75)]
+    assert len(exact) > 100 and len(found) >= 0.99 * len(exact)
+
+
+def test_clashing_columns(spark):
+    """Columns named as operators name their own come through."""
+    text = " ".join(f"w{i}" for i in range(30))
+    rows = [(i, f"same line here\n{text if i < 2 else f'other {i}'}", "en", f"s{i}", 1) for i in range(4)] + [(9, None, None, None, None)]
+    docs = spark.createDataFrame(rows, DOCS)
+    clash = "gone gone_ _gone own_id gone_id gone_at n_lines n_removed bad_key first_doc key site at line doc rep label kept hot".split()
+    wide = docs.select("*", *(F.lit(f"<{c}>").alias(c) for c in clash))
+    for made in (near_dedup.deduplicated(wide), decontamination.decontaminated(wide, spark.createDataFrame([], "item_id long, text string")), line_dedup.without_boilerplate(wide, min_sites=2)):
+        got = made.select(*wide.columns).collect()
+        assert got and all(r[c] == f"<{c}>" for r in got for c in clash if c not in ("n_lines", "n_removed"))
+    plain, wider = (sorted(map(tuple, line_dedup.without_boilerplate(d, min_sites=2).select("doc_id", "text").collect())) for d in (docs, wide))
+    assert plain == wider and sum("same line" in (t or "") for _, t in plain) == 1
+    assert near_dedup.deduplicated(wide).count() == near_dedup.deduplicated(docs).count() == 4
+
+
+def test_substring_dedup_rows_of_one_id(spark):
+    """Rows that share a doc_id are judged each on its own text."""
+    a, b = (" ".join(f"{x}{i}" for i in range(90)) for x in "ab")
+    rows = [(1, a), (2, f"{b} {a}"), (2, f"z {a}"), (2, "short"), (2, f"{b} {a}"), (3, f"{b} tail")]
+    got = sorted((r["doc_id"], r["n_words"], r["n_removed"]) for r in substring_dedup.without_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == [(1, 90, 0), (2, 1, 0), (2, 91, 90), (2, 180, 90), (2, 180, 90), (3, 91, 90)]
+
+
 def test_empty_tables(spark, empty, sf_dir):
     bench = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     labels = spark.createDataFrame([], "doc_id long, toxic int")
