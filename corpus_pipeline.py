@@ -6,12 +6,10 @@ stays; documents that hold a benchmark passage go; the rest is encoded and decod
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 
 from geoprobe.llm import bpe, decontamination, line_dedup, near_dedup, toxicity
-from geoprobe.llm.common import load, shared_folder
+from geoprobe.llm.common import checkpointed, load, swept, tables_written
 
 
 def toxic_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,12 +44,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in order over the documents of `sf_dir`; the rows between stages go to the shared checkpoint folder."""
-    docs = load(spark, sf_dir, "documents")
-    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
-    for name, stage in STAGES[:-1]:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
-        docs = spark.read.parquet(f"{folder}/{name}")
+    """All stages in order over the documents of `sf_dir`; the rows between stages are Parquet tables in the shared checkpoint
+    folder, each of which goes once the next is written."""
+    docs, mark = load(spark, sf_dir, "documents"), tables_written()
+    for _, stage in STAGES[:-1]:
+        docs = swept(checkpointed(stage(spark, docs, sf_dir)), mark)
     return STAGES[-1][1](spark, docs, sf_dir)
 
 

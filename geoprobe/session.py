@@ -39,33 +39,56 @@ def spread(scan: DataFrame) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir; only where that is unset (tests on one machine) a local temporary folder."""
+    """The session's spark.checkpoint.dir; where that is unset a local temporary folder, on one machine only."""
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+        wanted = spark.conf.get("spark.checkpoint.dir", None)
+        if not wanted and not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        context.setCheckpointDir(wanted or tempfile.mkdtemp(prefix="checkpoint-"))
     return context._jsc.sc().getCheckpointDir().get()
 
 
 _WRITTEN: list[tuple[SparkSession, str]] = []
 
 
-def _remove_written() -> None:
-    for spark, path in _WRITTEN:
+def _remove(tables: list[tuple[SparkSession, str]]) -> None:
+    for spark, path in tables:
         with contextlib.suppress(Exception):  # the session may have ended before
             where = spark._jvm.org.apache.hadoop.fs.Path(path)
             where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def scratch(spark: SparkSession) -> str:
+    """A new path in the shared folder; what is written there goes when Python exits, if not before."""
+    if not _WRITTEN:
+        atexit.register(lambda: _remove(_WRITTEN))
+    path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
+    _WRITTEN.append((spark, path))
+    return path
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """Write `df` as a table in the shared checkpoint folder and read it again, which cuts its lineage.
 
     A table is taken rather than Dataset.checkpoint() because the latter carries the planner's size estimates along:
     joined from round to round they grow without bound, and planning an iterative job comes to take minutes. The
-    tables go when Python exits; until then every lazily derived result can read them."""
+    tables go when Python exits, or before if `swept`; until then every lazily derived result can read them."""
     spark = df.sparkSession
-    path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
-    if not _WRITTEN:
-        atexit.register(_remove_written)
-    _WRITTEN.append((spark, path))
+    path = scratch(spark)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def tables_written() -> int:
+    """A mark for `swept`."""
+    return len(_WRITTEN)
+
+
+def swept(result: DataFrame | None, since: int) -> DataFrame | None:
+    """The result, after the tables that were written since a mark and that it doesn't read have been removed."""
+    read = {path.rstrip("/").rsplit("/", 1)[0].rsplit("/", 1)[-1] for path in result.inputFiles()} if result is not None else set()
+    gone = [t for t in _WRITTEN[since:] if t[1].rsplit("/", 1)[-1] not in read]
+    _remove(gone)
+    _WRITTEN[since:] = [t for t in _WRITTEN[since:] if t not in gone]
+    return result
