@@ -9,9 +9,9 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import checkpointed, shared_folder, spread, workers_can_import
+from ..session import checkpointed, shared_folder, spread, swept, tables_written, workers_can_import
 
-__all__ = ["as_binary", "checkpointed", "digest_of", "held_out", "load", "map_text", "shared_folder", "slices", "spread", "unused", "workers_can_import"]
+__all__ = ["as_binary", "checkpointed", "digest_of", "held_out", "load", "map_text", "shared_folder", "slices", "spread", "swept", "tables_written", "unused", "workers_can_import"]
 
 #: A Python worker handles about this many text bytes at a time, whatever the Arrow batch size.
 SLICE_BYTES = 2 << 20

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_binary, checkpointed, map_text, unused
+from .common import as_binary, checkpointed, map_text, swept, tables_written, unused
 from .words import Powers, hashed, mix, odd_constants, runs_of, split_words
 
 SHINGLE, THRESHOLD = 5, 75
@@ -295,6 +295,7 @@ def _class_links(buckets: DataFrame, sets: DataFrame, threshold: int) -> DataFra
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links), kept (it is the smallest itself)."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    mark = tables_written()
     signed = checkpointed(_signatures(docs))
     full = signed.where("doc_id is not null and n_shingles > 0")
     classes = checkpointed(full.groupBy("set_a", "set_b").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")).where("n > 1").select(F.col("set_a").alias("a"), F.col("set_b").alias("b"), "least"))
@@ -313,7 +314,7 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     reach = reach.select(F.col("doc_id").alias("d"), F.col("rep").alias("component")).distinct()
     out = signed.join(reach, F.col("doc_id") == F.col("d"), "left")
     component = F.coalesce("component", "doc_id")
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+    return swept(out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept")), mark)
 
 
 def deduplicated(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
