@@ -131,15 +131,20 @@ def _scan_block(docs: DataFrame, rows, window: int) -> DataFrame:
 
 
 def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """doc_id, n_words, hits (disjoint spans in words and code points), items (ids of the test items found)."""
-    blocks = list(_blocks(benchmark, block_bytes))
-    if len(blocks) == 1:
-        return _scan_block(docs, blocks[0], window)
-    keyed = checkpointed(docs.select("doc_id", "text", F.monotonically_increasing_id().alias("_row")))
-    made = None
-    for rows in blocks:
-        part = _scan_block(keyed.select(F.col("_row").alias("doc_id"), "text"), rows, window)
-        made = part if made is None else made.unionByName(part)
+    """doc_id, n_words, hits (disjoint spans in words and code points), items (ids of the test items found).
+
+    A benchmark of several blocks is worked through block by block: one is on the driver at a time, its scan is written before the
+    next begins, and of all but the first only the documents with hits are written."""
+    blocks = _blocks(benchmark, block_bytes)
+    block, more = next(blocks), next(blocks, None)
+    if more is None:
+        return _scan_block(docs, block, window)
+    keyed = checkpointed(docs.select("doc_id", "text", F.monotonically_increasing_id().alias("row")))
+    numbered = keyed.select(F.col("row").alias("doc_id"), "text")
+    made = checkpointed(_scan_block(numbered, block, window))
+    while more is not None:
+        made = made.unionByName(checkpointed(_scan_block(numbered, more, window).where("size(hits) > 0")))
+        more = next(blocks, None)
     joined = made.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("hits")).alias("hits"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
 
     def union(batch: pa.RecordBatch) -> dict:
@@ -150,7 +155,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WIND
         return {k: batch.column(k) for k in ("doc_id", "n_words", "items")} | {"hits": out}
 
     whole = map_text(joined.withColumn("text", F.lit("")), union, SCHEMA)
-    return keyed.select("_row", F.col("doc_id").cast("long").alias("own_id")).join(whole.withColumnRenamed("doc_id", "_row"), "_row").select(F.col("own_id").alias("doc_id"), "n_words", "hits", "items")
+    return keyed.select("row", F.col("doc_id").cast("long").alias("own_id")).join(whole.withColumnRenamed("doc_id", "row"), "row").select(F.col("own_id").alias("doc_id"), "n_words", "hits", "items")
 
 
 def _free_of(shared):
