@@ -2,7 +2,7 @@
 
 For each kind a regular expression proposes spans, leftmost and non-overlapping; the text between them (`split` by the
 same pattern) gives their places in code points. Validators confirm: octets of at most 255, Luhn, digit counts, the
-mod-97 rule of account numbers. Words within 40 characters before or after adjust a score. The four base kinds
+mod-97 rule of account numbers. Whole words within 40 characters before or after adjust a score. The four base kinds
 (email, ip, card, phone) stay whatever their score; the added kinds (iban, ssn) need a score of 0.5.
 
 The patterns carry possessive quantifiers and a "not inside a run" test, which leave their matches as they are but
@@ -56,12 +56,12 @@ def _mod97(match: Column) -> Column:
 
 #: Kind: pattern, necessary test on the text, validator, score, context words, words that speak against.
 _RULES = {
-    "email": (EMAIL, lambda t: F.contains(t, F.lit("@")), None, 0.9, "mail|contact|write|correo|courriel", None),
-    "ip": (IP, lambda t: t.rlike(r"[0-9]\.[0-9]++\.[0-9]"), _octets, 0.6, "ip|address|server|host|login", "version|release|section"),
-    "card": (CARD, lambda t: t.rlike(r"[0-9](?:[\x20-]?[0-9]){15}"), _luhn, 0.8, "card|visa|credit|payment|karte|tarjeta|carte", "isbn|serial"),
-    "phone": (PHONE, lambda t: F.contains(t, F.lit("+")), lambda m: F.length(_digits(m)).between(8, 15), 0.6, "phone|tel|call|mobile|fax", None),
-    "iban": (IBAN, lambda t: t.rlike(r"[A-Z]{2}[0-9]{2}"), _mod97, 0.7, "iban|bank|account|konto|cuenta|compte", None),
-    "ssn": (SSN, lambda t: t.rlike(r"[0-9]{3}-[0-9]{2}-[0-9]{4}"), lambda m: ~m.rlike("^(?:000|666|9..)-|-00-|-0000$"), 0.3, "ssn|social|security", "order|part"),
+    "email": (EMAIL, lambda t: F.contains(t, F.lit("@")), None, 0.9, "e?-?mails?|contact|write|correo|courriel", None),
+    "ip": (IP, lambda t: t.rlike(r"[0-9]\.[0-9]++\.[0-9]"), _octets, 0.6, "ip|address(?:es)?|servers?|hosts?|login", "versions?|releases?|sections?"),
+    "card": (CARD, lambda t: t.rlike(r"[0-9](?:[\x20-]?[0-9]){15}"), _luhn, 0.8, "cards?|visa|credit|payment|karte|tarjeta|carte", "isbn|serial"),
+    "phone": (PHONE, lambda t: F.contains(t, F.lit("+")), lambda m: F.length(_digits(m)).between(8, 15), 0.6, "(?:tele)?phone|tel|call|mobile|fax", None),
+    "iban": (IBAN, lambda t: t.rlike(r"[A-Z]{2}[0-9]{2}"), _mod97, 0.7, "iban|bank|accounts?|konto|cuenta|compte", None),
+    "ssn": (SSN, lambda t: t.rlike(r"[0-9]{3}-[0-9]{2}-[0-9]{4}"), lambda m: ~m.rlike("^(?:000|666|9..)-|-00-|-0000$"), 0.3, "ssn|social|security", "orders?|parts?"),
 }
 
 
@@ -69,8 +69,9 @@ def _near(rule: tuple, before: Column, after: Column) -> Column:
     """The kind's own score, raised by context words and lowered by words that speak against."""
     _, _, _, score, words, against = rule
     around = F.concat_ws(" ", F.lower(F.right(before, F.lit(REACH))), F.lower(F.left(after, F.lit(REACH))))
-    out = F.lit(score) + F.when(around.rlike(words), 0.3).otherwise(0.0)
-    return F.least(F.lit(1.0), out - F.when(around.rlike(against), 0.3).otherwise(0.0) if against else out)
+    whole = lambda some: around.rlike(rf"(?<![\p{{L}}\p{{N}}])(?:{some})(?![\p{{L}}\p{{N}}])")
+    out = F.lit(score) + F.when(whole(words), 0.3).otherwise(0.0)
+    return F.least(F.lit(1.0), out - F.when(whole(against), 0.3).otherwise(0.0) if against else out)
 
 
 def _spans(number: int, kind: str) -> Column:
