@@ -21,12 +21,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SLICE_BYTES, held_out, map_text, slices, workers_can_import
+from .common import SLICE_BYTES, checkpointed, held_out, map_text, slices, swept, tables_written, workers_can_import
 
 #: At most about so many labelled rows of each class are learned from, chosen by a hash of their id.
 SAMPLE_PER_CLASS = 2000
-#: Features kept at most, documents that must hold one, and the log-likelihood gain that it must bring.
-FEATURES, LEAST_SUPPORT, LEAST_GAIN = 1500, 3, 6.0
+#: Sample documents that must hold a feature, and the log-likelihood gain that it must bring.
+LEAST_SUPPORT, LEAST_GAIN = 3, 6.0
 BEGINNINGS = (3, 4, 5, 6, 7)
 CUTOFF, PENALTY, STEPS = 0.3, 1e-4, 600
 #: Distinct tokens whose restored form and features a worker remembers.
@@ -272,58 +272,69 @@ def _largest(x: np.ndarray) -> float:
     return size * 1.05
 
 
-def _fit(rows: list[tuple[str, int]], share: float, letters: LetterModel) -> Scorer:
-    """Logistic regression on the features that tell the classes apart best; its intercept is moved from the sample's
-    share of toxic rows to the labels' own."""
+def _solved(x: np.ndarray, labels: np.ndarray, share: float) -> tuple[np.ndarray, float]:
+    """Weights and intercept of a logistic regression; the intercept is moved from the sample's share of toxic rows to the
+    labels' own."""
     base = math.log((share + 1e-6) / (1 - share + 1e-6))
-    labels = np.array([y for _, y in rows], np.float64)
-    if not len(rows) or labels.min() == labels.max():
-        return Scorer(letters, {}, base)
-    # Features are kept as arrays of numbers, a few kB a text; strings and sets would cost the driver far more.
-    bags = []
-    for text, _ in rows:
-        words = {w for t in set(joined(text, letters, READINGS).split()) for w in restored(t, letters, READINGS).split()}
-        bags.append(np.unique(np.fromiter((f for w in words for f in features_of(w)), np.uint32)))
-    n1, n0 = labels.sum(), len(labels) - labels.sum()
-    counts = [np.unique(np.concatenate([b for b, y in zip(bags, labels, strict=True) if y == side]), return_counts=True) for side in (1, 0)]
-    often = np.union1d(counts[0][0], counts[1][0])
-    a, b = (np.zeros(len(often)) for _ in range(2))
-    a[np.searchsorted(often, counts[0][0])], b[np.searchsorted(often, counts[1][0])] = counts[0][1], counts[1][1]
-    often, a, b = (v[a + b >= LEAST_SUPPORT] for v in (often, a, b))
-    p, q, r = (a + 0.5) / (n1 + 1), (b + 0.5) / (n0 + 1), (a + b + 0.5) / (n1 + n0 + 1)
-    gain = a * np.log(p / r) + b * np.log(q / r) + (n1 - a) * np.log((1 - p) / (1 - r)) + (n0 - b) * np.log((1 - q) / (1 - r))
-    order = np.lexsort((often, -gain))
-    chosen = np.sort(often[order[: min(FEATURES, int((gain >= LEAST_GAIN).sum()))]])
-    x = np.zeros((len(rows), len(chosen)), np.float32)
-    for i, bag in enumerate(bags):
-        x[i, np.searchsorted(chosen, np.intersect1d(bag, chosen, assume_unique=True))] = 1
-    bags = counts = None
-    w = np.zeros(len(chosen) + 1)
-    x = np.hstack([x, np.ones((len(rows), 1), np.float32)])
-    step = 1 / (0.25 * _largest(x) / len(rows) + PENALTY)
+    if not len(labels) or labels.min() == labels.max():
+        return np.zeros(x.shape[1]), base
+    w = np.zeros(x.shape[1] + 1)
+    x = np.hstack([x, np.ones((len(x), 1), np.float32)])
+    step = 1 / (0.25 * _largest(x) / len(x) + PENALTY)
     ahead, was = w.copy(), w
     for turn in range(STEPS):
         p = 1 / (1 + np.exp(-np.clip(x @ ahead.astype(np.float32), -30, 30)))
-        slope = x.T @ ((p - labels) / len(rows)).astype(np.float32) + PENALTY * np.append(ahead[:-1], 0)
+        slope = x.T @ ((p - labels) / len(x)).astype(np.float32) + PENALTY * np.append(ahead[:-1], 0)
         was, w = w, ahead - step * slope
         ahead = w + turn / (turn + 3) * (w - was)
-    w, b = w[:-1], w[-1]
-    return Scorer(letters, dict(zip(chosen.tolist(), w.tolist(), strict=True)), float(b) + base - math.log(n1 / n0))
+    return w[:-1], float(w[-1]) + base - math.log(labels.sum() / (len(labels) - labels.sum()))
+
+
+def _gain(with_one, with_zero, ones: int, zeros: int):
+    """Log-likelihood that knowing a feature brings, from the toxic and the other sample rows that hold it."""
+    p, q, r = (with_one + 0.5) / (ones + 1), (with_zero + 0.5) / (zeros + 1), (with_one + with_zero + 0.5) / (ones + zeros + 1)
+    return with_one * F.log(p / r) + with_zero * F.log(q / r) + (ones - with_one) * F.log((1 - p) / (1 - r)) + (zeros - with_zero) * F.log((1 - q) / (1 - r))
 
 
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS) -> Scorer:
-    """Learn from labelled rows outside the test fold; the letter model counts every document."""
+    """Learn from labelled rows outside the test fold; the letter model counts every document. The sample's texts become
+    numbers of features where they are; the driver gets the features that tell the classes apart and which rows hold them."""
+    spark = docs.sparkSession
     letters = LetterModel([tuple(r) for r in trigram_counts(docs).collect()])
     told = labels.where("toxic is not null").select(F.col("doc_id").alias("label_id"), F.col("toxic").cast("int").alias("toxic")).where(~held_out(F.col("label_id")))
     sizes = {r["toxic"]: r["n"] for r in told.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    share = sizes.get(1, 0) / max(1, sum(sizes.values()))
     chance = F.pmod(F.xxhash64("label_id"), F.lit(1 << 30)) / float(1 << 30)
     some = told.where(chance < F.when(F.col("toxic") == 1, per_class / max(1, sizes.get(1, 0))).otherwise(per_class / max(1, sizes.get(0, 0))))
     # The sample has about 2 x per_class rows whatever the input, so it is broadcast and the documents stay where they are.
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = texts.join(F.broadcast(some), F.col("label_id") == F.col("doc_id")).select("doc_id", "text", "toxic").collect()
-    rows = sorted((r[0], r[1] or "", r[2]) for r in rows)
-    share = sizes.get(1, 0) / max(1, sum(sizes.values()))
-    return _fit([(r[1], r[2]) for r in rows], share, letters)
+    rows = texts.join(F.broadcast(some), F.col("label_id") == F.col("doc_id")).select("doc_id", "text", "toxic")
+    shared = spark.sparkContext.broadcast(letters)
+
+    def bags(batch: pa.RecordBatch) -> dict:
+        out = []
+        for text in batch.column("text").to_pylist():
+            words = {w for t in set(joined(text or "", shared.value, READINGS).split()) for w in restored(t, shared.value, READINGS).split()}
+            out.append(sorted({f for w in words for f in features_of(w)}))
+        return {"doc_id": batch.column("doc_id"), "toxic": batch.column("toxic"), "held": out}
+
+    mark = tables_written()
+    held = checkpointed(map_text(rows.repartition(spark.sparkContext.defaultParallelism), bags, "doc_id long, toxic int, held array<long>"))
+    ones, zeros = held.agg(F.count_if(F.col("toxic") == 1), F.count_if(F.col("toxic") != 1)).first()
+    scorer = Scorer(letters, {}, _solved(np.zeros((0, 0), np.float32), np.zeros(0), share)[1])
+    if ones and zeros:
+        each = held.select(F.explode("held").alias("feature"), (F.col("toxic") == 1).alias("one")).groupBy("feature").agg(F.count_if("one").alias("with_one"), F.count_if(~F.col("one")).alias("with_zero"))
+        telling = each.where((F.col("with_one") + F.col("with_zero") >= LEAST_SUPPORT) & (_gain(F.col("with_one"), F.col("with_zero"), ones, zeros) >= LEAST_GAIN))
+        chosen = np.array(sorted(r["feature"] for r in telling.select("feature").collect()), np.int64)
+        kept = F.array_intersect("held", F.lit(chosen.tolist()) if len(chosen) else F.array().cast("array<long>"))
+        found = sorted((r["doc_id"], r["toxic"], tuple(sorted(r["held"]))) for r in held.select("doc_id", "toxic", kept.alias("held")).collect())
+        x = np.zeros((len(found), len(chosen)), np.float32)
+        for row, (_, _, own) in zip(x, found, strict=True):
+            row[np.searchsorted(chosen, np.array(own, np.int64))] = 1
+        weights, intercept = _solved(x, np.array([float(y == 1) for _, y, _ in found]), share)
+        scorer = Scorer(letters, dict(zip(chosen.tolist(), weights.tolist(), strict=True)), intercept)
+    swept(None, mark)
+    return scorer
 
 
 def scored(docs: DataFrame, model: Scorer) -> DataFrame:

@@ -286,6 +286,8 @@ def test_pii(spark, tmp_path, rows):
     extra = spark.createDataFrame([(1, "IBAN GB82 WEST 1234 5698 7654 32, not GB83 WEST 1234 5698 7654 32; ssn 123-45-6789 or 123-45-6780 far away from any of those words that would matter here")], "doc_id long, text string")
     kinds = collections.Counter(s["kind"] for s in pii.find_personal_data(extra).first()["spans"])
     assert kinds[4] == 1 and kinds[5] >= 1
+    context = spark.createDataFrame([(1, "her ssn 123-45-6789"), (2, "lessnote 123-45-6789"), (3, "ssn of order 123-45-6789"), (4, "antisocially 123-45-6789"), (5, "123-45-6789 Social security")], "doc_id long, text string")
+    assert {r["doc_id"]: len(r["spans"]) for r in pii.find_personal_data(context).collect()} == {1: 1, 2: 0, 3: 0, 4: 0, 5: 1}
     assert pii.redacted(extra).first()["text"].startswith("IBAN <iban>, not GB83")
 
 
@@ -339,6 +341,47 @@ def test_disguises_of_any_length_and_sign():
     assert scorer.score("you m0r0n/1d10t") > 0.9 > 0.5 > scorer.score("you 2024")
 
 
+def test_viterbi_against_all_paths():
+    """The decoder's best reading scores as well as the best of all paths through the lattice."""
+    import itertools
+
+    model = letters_of("/root/testdata/sf0.001")
+
+    def value(path):
+        x = y = 0
+        out = 0.0
+        for text, cost in path:
+            out -= cost
+            for c in text:
+                z = 0 if c == " " else toxicity._CODE.get(c, toxicity._OTHER)
+                out += model.log[x][y][z]
+                x, y = y, z
+        return out + model.log[x][y][0]
+
+    rnd = random.Random(6)
+    tokens = ["1d10t", "m0r0n", "st*pid", "a$$", "100ser", "l.0.s", "*|!", "öß3e"] + ["".join(rnd.choice("abe013@$|*.!ee") for _ in range(rnd.randint(1, 7))) for _ in range(40)]
+    spaces = [("", 0.0), (" ", toxicity.BREAK)]
+    for lattice in [toxicity.readings(t) for t in tokens] + [[x for c in t for x in (toxicity.readings(c)[0], spaces)][:-1] for t in tokens[:8]]:
+        paths = list(itertools.product(*lattice))
+        best = max(value(p) for p in paths)
+        got = toxicity.likeliest(lattice, model)[0]
+        assert max(value(p) for p in paths if "".join(t for t, _ in p) == got) == pytest.approx(best)
+        several = toxicity.likeliest(lattice, model, 4)
+        assert several[0] == got and len(several) <= 4
+
+
+def test_toxicity_of_long_texts(spark):
+    """A toxic word counts wherever it stands; very long tokens and texts are decoded whole."""
+    rows = [(i, f"plain words number{i % 9} and {'you idiot' if i % 2 else f'a{i}'} here") for i in range(80)]
+    docs = spark.createDataFrame(rows + [(900, "calm words " * 100_000 + "1d10t"), (901, "calm words " * 100_000), (902, "id" + "i" * 100_000 + "ot"), (903, None), (904, "")], "doc_id long, text string").withColumn("held", F.lit(1)).withColumn("label_id", F.lit(2)).withColumn("feature", F.lit("x"))
+    labels = spark.createDataFrame([(i, i % 2) for i in range(80)] + [(5, None)], "doc_id long, toxic int")
+    model = toxicity.fit(docs, labels)
+    got = {r["doc_id"]: r["score"] for r in toxicity.scored(docs, model).collect()}
+    assert model.weights and got[900] > 0.5 > got[901] and got[902] > 0.5 and got[903] == got[904]
+    kept = toxicity.without_toxic(docs, labels)
+    assert kept.columns == docs.columns and {900, 902}.isdisjoint(r["doc_id"] for r in kept.select("doc_id").collect())
+
+
 def test_toxicity_held_out(spark):
     rows = {r["doc_id"]: r for r in queries.QUERIES["op6_toxicity"](spark, "/root/testdata/sf0.1").collect()}
     labels = {r["doc_id"]: r["toxic"] for r in spark.read.parquet("/root/testdata/sf0.1/labels.parquet").collect()}
@@ -361,8 +404,36 @@ def test_bpe_against_library():
         assert own.summary(t) == (len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(text.encode()).hexdigest())
 
 
+def test_language_kernel_and_weights_against_definition(spark):
+    """The kernel is the blended presence kernel of exact n-grams; the sums give the ridge solution of all sample rows."""
+    texts = ["the cat sat on the mat", "der Hund lief über das Feld", "x", "the dog", "日本語の文 and more"]
+
+    def grams(t, n):
+        signs = [0, *(ord(c) if c.isalpha() else 0 for c in t.lower()), 0]
+        return {tuple(signs[i : i + n]) for i in range(len(signs) - n + 1)}
+
+    def kernel(a, b):
+        return sum(len(grams(a, n) & grams(b, n)) / (len(grams(a, n)) * len(grams(b, n))) ** 0.5 for n in (1, 2, 3))
+
+    marks = language_id.Landmarks([language_id.gram_sets(t) for t in texts[:3]])
+    rows, known = marks.kernel([*texts, "", "12 34"])
+    assert known.tolist() == [True] * 5 + [False] * 2
+    assert np.allclose(rows[:5], [[kernel(a, b) for b in texts[:3]] for a in texts], atol=1e-5) and not rows[5:].any()
+    rnd = random.Random(8)
+    words = {"a": ["the", "cat", "dog"], "b": ["der", "hund", "feld"], "c": ["le", "chat", "champ"]}
+    made = [(i, " ".join(rnd.choices(words[x], k=6)), x) for i, x in enumerate("abc" * 20)]
+    model = language_id.fit(spark.createDataFrame(made, "doc_id long, text string, lang string").repartition(3))
+    learned = [(t, x) for i, t, x in made if zlib.crc32(str(i).encode()) % 4 != 2]
+    k = model.landmarks.kernel([t for t, _ in learned])[0]
+    weight = np.array([1 / [y for _, y in learned].count(x) for _, x in learned])[:, None]
+    goal = np.array([[1.0 if x == y else -1.0 for y in "abc"] for _, x in learned])
+    among = (model.landmarks.matrix @ model.landmarks.matrix.T).astype(float)
+    value = k @ np.linalg.lstsq(k.T @ (k * weight) + language_id.RIDGE * among + 1e-8 * np.eye(len(among)), k.T @ (goal * weight), rcond=None)[0]
+    assert model.languages == ["a", "b", "c"] and np.allclose(k @ model.weights, value, atol=1e-3)
+
+
 def test_language(spark, docs, rows):
-    model = language_id.fit(docs.drop("label"))
+    model = language_id.fit(docs)
     got = {r["doc_id"]: r for r in language_id.identified(docs, model).collect()}
     out = [(got[i]["lang_pred"], lang) for i, t, lang, *_ in rows if lang and zlib.crc32(str(i).encode()) % 4 == 2]
     assert sum(a == b for a, b in out) >= 0.95 * len(out)
