@@ -1,25 +1,33 @@
 """Alignment of the surrogate encoder, the adaptation strategies over Spark, and fused intervention probing.
 
-Data never leaves the executors: a training epoch is one job in which each partition takes seeded local steps from the
-shared weights and hands back its trainable tensors, which are averaged (`local`), or returns gradient sums for one
-step of the driver (`sync`). Only trainable tensors travel, over at most `WORKERS` partitions, so what the driver receives is bounded."""
+Rasters are written once (`rasterised`). Training has three modes:
+
+- `exact`: steps over global batches in a seeded order of the whole epoch, as with one accelerator. All strategies are fitted by one
+  job, a task each, on features or images that the task holds in memory, so it is for a bounded training sample (the study draws
+  one); the result doesn't depend on partitions. What no step changes (features of frozen encoders, what the last block or the adapters' first block reads) is worked out once.
+- `local`: for data of any size. An epoch is one job; each partition takes seeded local steps from the shared weights in the order of its rows' hashes and hands
+  back its trainable tensors, which are averaged.
+- `sync`: an epoch is one job and one step of the driver on the gradient of all rows (a full-batch step, not one per batch).
+
+In the last two only trainable tensors travel, summed in groups of tasks before they reach the driver."""
 
 from __future__ import annotations
 
 import math
 import pickle
-from dataclasses import dataclass
+import time
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..session import workers_can_import
+from ..session import checkpointed, workers_can_import
 from . import encoder as enc
 from . import rasters
 
-WORKERS = 64
 #: Published rates, and a preset that moves the small surrogate encoder in ten epochs.
 PUBLISHED_RATES = {"zero_shot": 0.0, "text_score": 1e-4, "linear": 1e-4, "last_block": 1e-5, "low_rank": 1e-4, "full": 1e-5}
 SURROGATE_RATES = {"zero_shot": 0.0, "text_score": 3e-2, "linear": 3e-2, "last_block": 3e-3, "low_rank": 3e-3, "full": 3e-3}
@@ -32,7 +40,7 @@ class Config:
     decay: float = 0.01
     seed: int = 42
     dropout: float = 0.1
-    mode: str = "local"
+    mode: str = "exact"
     precision: str = "full"
     rates: dict | None = None
 
@@ -46,21 +54,24 @@ def cosine_rate(start: float, epoch: int, t_max: int = 10) -> float:
 
 
 class AdamW:
-    """Decoupled weight decay."""
+    """Decoupled weight decay; the tensors are stepped as one flat vector."""
 
     def __init__(self, decay: float = 0.01, beta1: float = 0.9, beta2: float = 0.999, eps: float = 1e-8):
         self.decay, self.b1, self.b2, self.eps, self.t = decay, beta1, beta2, eps, 0
-        self.m: dict = {}
-        self.v: dict = {}
+        self.m = self.v = 0.0
 
     def step(self, tensors: dict, grads: dict, rate: float) -> dict:
+        """The stepped tensors of those that have a gradient, always the same ones."""
         self.t += 1
-        out = {}
-        for k, g in grads.items():
-            self.m[k] = self.b1 * self.m.get(k, 0) + (1 - self.b1) * g
-            self.v[k] = self.b2 * self.v.get(k, 0) + (1 - self.b2) * g * g
-            m, v = self.m[k] / (1 - self.b1**self.t), self.v[k] / (1 - self.b2**self.t)
-            out[k] = (tensors[k] * (1 - rate * self.decay) - rate * m / (np.sqrt(v) + self.eps)).astype(np.float32)
+        g = np.concatenate([np.ravel(x) for x in grads.values()])
+        self.m = self.b1 * self.m + (1 - self.b1) * g
+        self.v = self.b2 * self.v + (1 - self.b2) * g * g
+        move = rate * (self.m / (1 - self.b1**self.t)) / (np.sqrt(self.v / (1 - self.b2**self.t)) + self.eps)
+        flat = (np.concatenate([np.ravel(tensors[k]) for k in grads]) * (1 - rate * self.decay) - move).astype(np.float32)
+        out, at = {}, 0
+        for k, x in grads.items():
+            out[k] = flat[at : at + x.size].reshape(x.shape)
+            at += x.size
         return out
 
 
@@ -83,13 +94,13 @@ class LossScale:
 def halved(model: enc.Model) -> enc.Model:
     """The model with every tensor rounded to half precision, as a mixed-precision forward pass sees it."""
     half = lambda d: {k: v.astype(np.float16).astype(np.float32) for k, v in d.items()}
-    return enc.Model(model.strategy, half(model.encoder), model.texts, half(model.extra), model.rank, model.alpha)
+    return replace(model, encoder=half(model.encoder), extra=half(model.extra))
 
 
-def mixed_gradients(model: enc.Model, images, y, scale: LossScale, dropout: float = 0.0, rng=None):
+def mixed_gradients(model: enc.Model, inputs, y, scale: LossScale, dropout: float = 0.0, rng=None):
     """Loss and gradients through half precision: gradients are scaled before they are rounded and unscaled after; None
     if they overflow, which also lowers the scale."""
-    loss, grads = halved(model).gradients(images, y, dropout, rng)
+    loss, grads = halved(model).gradients_prepared(inputs, y, dropout, rng)
     with np.errstate(over="ignore"):
         small = {k: (g * scale.scale).astype(np.float16) for k, g in grads.items()}
     if not scale.update(all(np.isfinite(g).all() for g in small.values())):
@@ -133,51 +144,167 @@ def _pack(tensors: dict) -> bytes:
     return pickle.dumps({k: v.astype(np.float32) for k, v in tensors.items()})
 
 
-def _batches(batches, size: int):
-    for batch in batches:
-        rows = list(zip(*(batch.column(c).to_pylist() for c in ("doc_id", "text", "y", "split")), strict=True))
-        for i in range(0, len(rows), size):
-            yield rows[i : i + size]
+def rasterised(rows: DataFrame) -> DataFrame:
+    """The rows (doc_id, text, y, split) with their 8-bit rasters (column pixels), written once."""
+    workers_can_import(rows.sparkSession)
+
+    def run(batches):
+        for batch in batches:
+            made = [rasters.to_bytes(rasters.of_text(t or "")) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(made, pa.binary())], names=[*batch.schema.names, "pixels"])
+
+    plain = rows.select("doc_id", "text", "y", "split")
+    return checkpointed(plain.mapInArrow(run, "doc_id long, text string, y int, split string, pixels binary"))
+
+
+def _with_pixels(rows: DataFrame) -> DataFrame:
+    return rows if "pixels" in rows.columns else rasterised(rows)
+
+
+def _images(batch: pa.RecordBatch) -> np.ndarray:
+    return np.stack([rasters.from_bytes(b) for b in batch.column("pixels").to_pylist()])
+
+
+def epoch_order(ids: np.ndarray, seed: int, epoch: int) -> np.ndarray:
+    """Positions of the ids in the seeded order of an epoch (equal ids by position)."""
+    score = np.array([xxhash.xxh3_64_intdigest(f"{seed}|epoch:{epoch}|{i}") for i in ids.tolist()], np.uint64)
+    return np.argsort(score, kind="stable")
+
+
+class Steps:
+    """An optimiser with what a step of either precision needs."""
+
+    def __init__(self, config: Config):
+        self.config, self.adam, self.scale = config, AdamW(config.decay), LossScale(1024.0)
+
+    def take(self, model: enc.Model, inputs, y, rate: float, rng) -> tuple[enc.Model, float]:
+        if self.config.precision == "mixed":
+            loss, grads = mixed_gradients(model, inputs, y, self.scale, self.config.dropout, rng)
+        else:
+            loss, grads = model.gradients_prepared(inputs, y, self.config.dropout, rng)
+        return (model if grads is None else model.replaced(self.adam.step({k: model.tensor(k) for k in grads}, grads, rate))), loss
+
+
+def fit_exact(model: enc.Model, ids: np.ndarray, y: np.ndarray, train: np.ndarray, inputs: np.ndarray, config: Config) -> tuple[enc.Model, list[dict]]:
+    """Adapt a model to prepared inputs held in memory: global batches in the seeded order of each epoch; the epoch with the best
+    accuracy on the rows that aren't trained on is kept (the earliest of equals)."""
+    steps, history, best = Steps(config), [], None
+    own, rest = np.flatnonzero(train), np.flatnonzero(~train)
+    for epoch in range(config.epochs if len(own) else 0):
+        rate, loss, rng = cosine_rate(config.rate(model.strategy), epoch, config.epochs), 0.0, np.random.default_rng([config.seed, epoch])
+        order = own[epoch_order(ids[own], config.seed, epoch)]
+        for i in range(0, len(order), config.batch):
+            some = order[i : i + config.batch]
+            model, one = steps.take(model, inputs[some], y[some], rate, rng)
+            loss += one * len(some)
+        hits = sum(int((model.predict_prepared(inputs[rest[i : i + 256]]) == y[rest[i : i + 256]]).sum()) for i in range(0, len(rest), 256))
+        history.append({"strategy": model.strategy, "epoch": epoch, "rate": rate, "train_loss": loss / len(own), "val_acc": hits / len(rest) if len(rest) else 0.0})
+        if best is None or history[-1]["val_acc"] > best[0]:
+            best = history[-1]["val_acc"], model
+    return (best[1] if best else model), history
+
+
+def trained_together(rows: DataFrame, models: dict[str, enc.Model], config: Config | None = None) -> dict[str, tuple[enc.Model, list[dict], float]]:
+    """Every model adapted to the training rows in exact mode: (model, history, seconds) by name. One job deals the rows to a task
+    for each model that trains; rows of a frozen encoder travel as features."""
+    config, spark = config or Config(), rows.sparkSession
+    workers_can_import(spark)
+    live = [name for name, m in models.items() if m.trainable()]
+    out: dict = {name: (m, [], 0.0) for name, m in models.items() if name not in live}
+    if not live:
+        return out
+    shared = spark.sparkContext.broadcast([models[name] for name in live])
+    probe = next((m for m in models.values() if m.strategy in enc.FROZEN), None)
+    frozen = [i for i, name in enumerate(live) if models[name].strategy in enc.FROZEN]
+
+    def dealt(batches):
+        for batch in batches:
+            images = _images(batch)
+            for start in range(0, len(images), 64):
+                part, cut = images[start : start + 64], batch.slice(start, 64)
+                ids, y, train = (cut.column(c).to_pylist() for c in ("doc_id", "y", "split"))
+                small = [f.tobytes() for f in probe.prepared(part).astype(np.float32)] if frozen else None
+                whole = cut.column("pixels").to_pylist()
+                for i in range(len(shared.value)):
+                    made = pa.array(small if i in frozen else whole, pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array([i] * len(ids), pa.int32()), pa.array(ids, pa.int64()), pa.array(y, pa.int32()), pa.array([t == "train" for t in train]), made], names=["number", "doc_id", "y", "train", "input"])
+
+    def run(batches):
+        held: dict[int, list] = {}
+        for batch in batches:
+            for number, *row in zip(*(batch.column(c).to_pylist() for c in ("number", "doc_id", "y", "train", "input")), strict=True):
+                held.setdefault(number, []).append(tuple(row))
+        for number, own in held.items():
+            began, model = time.time(), shared.value[number]
+            own.sort(key=lambda r: (r[0], r[3]))
+            ids, y, train = np.array([r[0] for r in own], np.int64), np.array([r[1] for r in own]), np.array([r[2] for r in own])
+            if number in frozen:
+                inputs = np.stack([np.frombuffer(r[3], np.float32) for r in own])
+            else:
+                pixels = np.stack([np.frombuffer(r[3], np.uint8).reshape(rasters.SIDE, rasters.SIDE, -1) for r in own])
+                inputs = pixels if model.strategy == "full" else np.concatenate([model.prepared(pixels[i : i + 64]) for i in range(0, len(pixels), 64)])
+            made, history = fit_exact(model, ids, y, train, inputs, config)
+            packed = pickle.dumps(({k: made.tensor(k) for k in made.trainable()}, history, time.time() - began))
+            yield pa.RecordBatch.from_arrays([pa.array([number], pa.int32()), pa.array([packed], pa.binary())], names=["number", "packed"])
+
+    given = _with_pixels(rows).where("split in ('train', 'val')").select("doc_id", "y", "split", "pixels")
+    each = given.mapInArrow(dealt, "number int, doc_id long, y int, train boolean, input binary").repartitionById(len(live), F.col("number"))
+    for r in each.mapInArrow(run, "number int, packed binary").collect():
+        tensors, history, seconds = pickle.loads(r["packed"])
+        out[live[r["number"]]] = models[live[r["number"]]].replaced(tensors), history, seconds
+    return {name: out.get(name, (m, [], 0.0)) for name, m in models.items()}
 
 
 def _epoch(rows: DataFrame, model: enc.Model, config: Config, epoch: int) -> list:
-    """One job over training and validation rows: each partition's (steps, loss, gradients or tensors, validation hits)."""
+    """One job over training and validation rows: (steps, loss, gradients or tensors, validation hits), summed over groups of
+    about the root of the number of tasks."""
     spark = rows.sparkSession
     workers_can_import(spark)
     shared = spark.sparkContext.broadcast(model)
     rate = cosine_rate(config.rate(model.strategy), epoch, config.epochs)
+    schema = "part int, count long, loss double, tensors binary, seen long, hits long"
 
     def run(batches):
         start = shared.value
-        here, adam, scale = start, AdamW(config.decay), LossScale(1024.0)
-        count, loss, sums, seen, hits, held = 0, 0.0, {}, 0, 0, []
+        here, steps = start, Steps(config)
+        count, loss, sums, seen, hits, first = 0, 0.0, {}, 0, 0, None
         rng = np.random.default_rng([config.seed, epoch])
-        for rows_ in _batches(batches, 512):
-            val = [r for r in rows_ if r[3] == "val"]
-            if val:
-                hits += int((start.predict(np.stack([rasters.of_text(r[1] or "") for r in val])) == np.array([r[2] for r in val])).sum())
-                seen += len(val)
-            held = sorted((r for r in rows_ if r[3] == "train"), key=lambda r: rasters.generator(config.seed, r[0], f"epoch:{epoch}").random())
-            if epoch >= config.epochs or not held:
+        for batch in batches:
+            ids, y, split = (np.array(batch.column(c).to_pylist()) for c in ("doc_id", "y", "split"))
+            first = int(ids[0]) if first is None and len(ids) else first
+            inputs = start.prepared(_images(batch)) if len(ids) else None
+            val, own = np.flatnonzero(split == "val"), np.flatnonzero(split == "train")
+            if len(val):
+                hits, seen = hits + int((start.predict_prepared(inputs[val]) == y[val]).sum()), seen + len(val)
+            if epoch >= config.epochs or not len(own):
                 continue
-            images, y = np.stack([rasters.of_text(r[1] or "") for r in held]), np.array([r[2] for r in held])
-            for i in range(0, len(held), config.batch):
-                if config.precision == "mixed":
-                    one, grads = mixed_gradients(here, images[i : i + config.batch], y[i : i + config.batch], scale, config.dropout, rng)
-                    if grads is None:
-                        continue
-                else:
-                    one, grads = here.gradients(images[i : i + config.batch], y[i : i + config.batch], config.dropout, rng)
-                size = len(y[i : i + config.batch])
-                loss, count = loss + one * size, count + size
+            order = own[epoch_order(ids[own], config.seed, epoch)]
+            for i in range(0, len(order), config.batch):
+                some = order[i : i + config.batch]
                 if config.mode == "local":
-                    here = here.replaced(adam.step({k: here.tensor(k) for k in grads}, grads, rate))
+                    here, one = steps.take(here, inputs[some], y[some], rate, rng)
                 else:
-                    sums = {k: sums.get(k, 0) + g * size for k, g in grads.items()}
+                    one, grads = here.gradients_prepared(inputs[some], y[some], config.dropout, rng)
+                    sums = {k: sums.get(k, 0) + g * len(some) for k, g in grads.items()}
+                loss, count = loss + one * len(some), count + len(some)
         out = {k: here.tensor(k) * count for k in start.trainable()} if config.mode == "local" else sums
-        yield pa.RecordBatch.from_arrays([pa.array([count]), pa.array([loss]), pa.array([_pack(out) if count else None], pa.binary()), pa.array([seen]), pa.array([hits])], names=["count", "loss", "tensors", "seen", "hits"])
+        yield pa.RecordBatch.from_arrays([pa.array([(first or 0) & 0x7FFFFFFF], pa.int32()), pa.array([count]), pa.array([loss]), pa.array([_pack(out) if count else None], pa.binary()), pa.array([seen]), pa.array([hits])], names=["part", "count", "loss", "tensors", "seen", "hits"])
+
+    def added(batches):
+        numbers, total = [0, 0.0, 0, 0], {}
+        for batch in batches:
+            for r in batch.to_pylist():
+                numbers = [a + b for a, b in zip(numbers, (r["count"], r["loss"], r["seen"], r["hits"]), strict=True)]
+                for k, v in pickle.loads(r["tensors"]).items() if r["tensors"] else ():
+                    total[k] = total.get(k, 0) + v
+        count, loss, seen, hits = numbers
+        yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([count]), pa.array([float(loss)]), pa.array([_pack(total) if total else None], pa.binary()), pa.array([seen]), pa.array([hits])], names=["part", "count", "loss", "tensors", "seen", "hits"])
 
-    return rows.select("doc_id", "text", "y", "split").coalesce(WORKERS).mapInArrow(run, "count long, loss double, tensors binary, seen long, hits long").collect()
+    parts = rows.select("doc_id", "y", "split", "pixels").mapInArrow(run, schema)
+    tasks = rows.rdd.getNumPartitions()
+    if tasks > 16:
+        parts = parts.repartition(math.isqrt(tasks), "part").mapInArrow(added, schema)
+    return parts.collect()
 
 
 def trained(rows: DataFrame, model: enc.Model, config: Config | None = None) -> tuple[enc.Model, list[dict]]:
@@ -186,6 +313,10 @@ def trained(rows: DataFrame, model: enc.Model, config: Config | None = None) ->
     config = config or Config()
     if not model.trainable():
         return model, []
+    rows = _with_pixels(rows)
+    if config.mode == "exact":
+        return trained_together(rows, {"one": model}, config)["one"][:2]
+    rows = rows.where("split in ('train', 'val')")
     adam, history, best, waiting = AdamW(config.decay), [], None, None
     for epoch in range(config.epochs + 1):
         parts = _epoch(rows, model, config, epoch)
@@ -210,25 +341,49 @@ def trained(rows: DataFrame, model: enc.Model, config: Config | None = None) ->
     return (best[1] if best else model), history
 
 
+def predicted(models: dict[str, enc.Model], images: np.ndarray) -> dict[str, np.ndarray]:
+    """Predictions of every model. Models with the frozen encoder share its features, and a model whose last block alone was
+    changed reads what the frozen one's last block reads."""
+    tokens, base, out = enc.patches(images), next((m.encoder for m in models.values() if m.strategy in enc.FROZEN), None), {}
+    start, hidden, feature = None, None, None
+    for name, m in models.items():
+        shared = base is not None and (m.strategy in enc.FROZEN or m.strategy == "last_block")
+        if shared and hidden is None:
+            start = enc.embedded(base, tokens)
+            hidden, _ = enc.through(base, start, 0, enc.depth(base) - 1)
+        if m.strategy in enc.FROZEN:
+            feature = enc.forward(base, None, hidden, enc.depth(base) - 1)[0] if feature is None else feature
+            out[name] = m.scores(feature).argmax(axis=1)
+        elif shared:
+            out[name] = m.predict_prepared(hidden)
+        else:
+            out[name] = m.scores(enc.forward(m.merged(), tokens)[0]).argmax(axis=1)
+    return out
+
+
 def probed(rows: DataFrame, models: dict[str, enc.Model], transforms: tuple[str, ...] = rasters.TRANSFORMS, seed: int = 42, fill: str = "mean") -> DataFrame:
     """The prediction log: every model on every transform of every image, in one narrow pass that makes each raster and
-    each transform once."""
+    each transform once. Each row has pred0, the model's prediction on the untouched image, so measures of change need no join.
+    All frozen models of one call share one encoder."""
     spark = rows.sparkSession
     workers_can_import(spark)
     shared = spark.sparkContext.broadcast(models)
+    with_pixels = "pixels" in rows.columns
 
     def run(batches):
-        for part in _batches(batches, 32):
-            base = [rasters.of_text(r[1] or "") for r in part]
-            out: dict[str, list] = {"model": [], "transform": [], "image_id": [], "y": [], "pred": []}
-            for spec in transforms:
-                images = np.stack([rasters.apply(spec, r[1] or "", b, seed, r[0], fill) for r, b in zip(part, base, strict=True)])
-                for name, model in shared.value.items():
-                    out["model"] += [name] * len(part)
-                    out["transform"] += [spec] * len(part)
-                    out["image_id"] += [r[0] for r in part]
-                    out["y"] += [r[2] for r in part]
-                    out["pred"] += model.predict(images).tolist()
-            yield pa.RecordBatch.from_arrays([pa.array(out["model"]), pa.array(out["transform"]), pa.array(out["image_id"], pa.int64()), pa.array(out["y"], pa.int32()), pa.array(out["pred"], pa.int32())], names=list(out))
-
-    return rows.select("doc_id", "text", "y", "split").mapInArrow(run, "model string, transform string, image_id long, y int, pred int")
+        for whole in batches:
+            for at in range(0, whole.num_rows, 64):
+                batch = whole.slice(at, 64)
+                ids, texts, y = (batch.column(c).to_pylist() for c in ("doc_id", "text", "y"))
+                base = _images(batch) if with_pixels else np.stack([rasters.from_bytes(rasters.to_bytes(rasters.of_text(t or ""))) for t in texts])
+                before = predicted(shared.value, base)
+                for spec in transforms:
+                    after = before if spec == "identity" else predicted(shared.value, np.stack([rasters.apply(spec, t or "", b, seed, i, fill) for i, t, b in zip(ids, texts, base, strict=True)]))
+                    for name in shared.value:
+                        yield pa.RecordBatch.from_arrays(
+                            [pa.array([name] * len(ids)), pa.array([spec] * len(ids)), pa.array(ids, pa.int64()), pa.array(y, pa.int32()), pa.array(after[name].tolist(), pa.int32()), pa.array(before[name].tolist(), pa.int32())],
+                            names=["model", "transform", "image_id", "y", "pred", "pred0"],
+                        )
+
+    columns = ["doc_id", "text", "y", *(["pixels"] if with_pixels else [])]
+    return rows.select(*columns).mapInArrow(run, "model string, transform string, image_id long, y int, pred int, pred0 int")

@@ -25,8 +25,10 @@ def accuracy_with_total(log: DataFrame, by: str) -> DataFrame:
 
 
 def paired(log: DataFrame) -> DataFrame:
-    """Adds pred0, the same model's prediction on the untouched input: one exchange on (model, image), no self-join per
-    transform."""
+    """Adds pred0, the same model's prediction on the untouched input. A log that was written with pred0 stays as it is, without any exchange;
+    otherwise one exchange on (model, image), no self-join per transform."""
+    if "pred0" in log.columns:
+        return log
     image = Window.partitionBy("model", "image_id")
     first = F.max(F.when(F.col("transform") == "identity", F.struct(F.col("pred").alias("p")))).over(image)
     return log.withColumn("pred0", first["p"])

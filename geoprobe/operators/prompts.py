@@ -19,10 +19,21 @@ def alignment_corpus(pages: DataFrame, conversations: DataFrame) -> DataFrame:
     return half.select(visible(F.col("html")).alias("text"), F.regexp_extract("html", '<html[^>]*lang="([a-z]+)"', 1).alias("lang")).unionByName(conversations.select("text", F.lit(None).cast("string").alias("lang")))
 
 
-def control_set(pages: DataFrame, n: int = 2000, seed: int = 42) -> DataFrame:
-    """doc_id, text, lang: at most n pages of half B by seeded hash order (the control's stated size)."""
-    rest = pages.where(seeded(seed, "a", F.col("page_id")) >= 0.5).withColumn("_u", seeded(seed, "n", F.col("page_id")))
-    return rest.orderBy("_u", "page_id").limit(n).select(F.col("page_id").alias("doc_id"), visible(F.col("html")).alias("text"), F.regexp_extract("html", '<html[^>]*lang="([a-z]+)"', 1).alias("lang"))
+#: The text of the control's additional background label, and the control's stated size.
+BACKGROUND, CONTROL_SIZE = "an empty background without any text or words", 2000
+
+
+def control_ids(pages: DataFrame, n: int = CONTROL_SIZE, seed: int = 42) -> DataFrame:
+    """place, page_id: the recorded sample, at most n pages of half B in seeded hash order."""
+    rest = pages.where(seeded(seed, "a", F.col("page_id")) >= 0.5).select("page_id", seeded(seed, "n", F.col("page_id")).alias("u"))
+    order = Window.orderBy("u", "page_id")
+    return rest.orderBy("u", "page_id").limit(n).select(F.row_number().over(order).alias("place"), "page_id")
+
+
+def control_set(pages: DataFrame, n: int = CONTROL_SIZE, seed: int = 42) -> DataFrame:
+    """doc_id, text, lang of the recorded sample."""
+    drawn = F.broadcast(control_ids(pages, n, seed).select(F.col("page_id").alias("drawn")))
+    return pages.join(drawn, F.col("page_id") == F.col("drawn")).select(F.col("page_id").alias("doc_id"), visible(F.col("html")).alias("text"), F.regexp_extract("html", '<html[^>]*lang="([a-z]+)"', 1).alias("lang"))
 
 
 def visible(html):

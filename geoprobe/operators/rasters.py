@@ -53,6 +53,15 @@ def of_text(text: str, side: int = SIDE) -> np.ndarray:
     return _layout(_codes()[np.minimum(codes, 0x2FFF)], side)
 
 
+def to_bytes(raster: np.ndarray) -> bytes:
+    """A raster as 8-bit samples, row by row."""
+    return np.clip(np.round(raster), 0, 255).astype(np.uint8).tobytes()
+
+
+def from_bytes(data: bytes, side: int = SIDE) -> np.ndarray:
+    return np.frombuffer(data, np.uint8).reshape(side, side, -1).astype(np.float32)
+
+
 def cue_mask(text: str, cue: str, side: int = SIDE) -> np.ndarray:
     """Which pixels hold at least half cue characters (any share where the cue is sparse)."""
     mark = np.zeros((max(1, len(text)), 1), np.float32)

@@ -35,12 +35,24 @@ def with_boxes(region_dim: DataFrame) -> DataFrame:
     return region_dim.select("region", south.alias("south"), west.alias("west"), north.alias("north"), east.alias("east"), F.array(corner(west, south), corner(east, south), corner(east, north), corner(west, north)).alias("ring"))
 
 
-def assign_region(points: DataFrame, boxes: DataFrame) -> DataFrame:
-    """Adds `found`: the region whose polygon holds the point, null outside all. The box test stands before the polygon
-    test; the dimension of a few regions is broadcast."""
+#: Side of the cells (degrees) by which points meet regions.
+CELL = 0.01
+
+
+def assign_region(points: DataFrame, boxes: DataFrame, cell: float = CELL) -> DataFrame:
+    """Adds `found`: the region whose polygon holds the point, null outside all. Regions are dealt to the grid cells that their
+    boxes touch, so points meet them in an equi-join on cells; box and polygon are tested on what shares a cell. The cells are
+    broadcast only if the planner finds them small."""
+    reach = lambda low, high: F.sequence(F.floor(F.col(low) / cell).cast("long"), F.floor(F.col(high) / cell).cast("long"))
+    cells = boxes.withColumnRenamed("region", "found").withColumn("cell_y", F.explode(reach("south", "north"))).withColumn("cell_x", F.explode(reach("west", "east")))
+    same = (F.floor(F.col("lat") / cell).cast("long") == F.col("cell_y")) & (F.floor(F.col("lon") / cell).cast("long") == F.col("cell_x"))
     near = F.col("lat").between(F.col("south"), F.col("north")) & F.col("lon").between(F.col("west"), F.col("east"))
-    dim = boxes.withColumnRenamed("region", "found")
-    return points.join(F.broadcast(dim), near & inside_ring(F.col("lon"), F.col("lat"), F.col("ring")), "left").drop("south", "west", "north", "east", "ring")
+    return points.join(cells, same & near & inside_ring(F.col("lon"), F.col("lat"), F.col("ring")), "left").drop("south", "west", "north", "east", "ring", "cell_y", "cell_x")
+
+
+def eligible_points(points: DataFrame, boxes: DataFrame) -> DataFrame:
+    """The points inside some region's polygon: the filter that stands before sampling."""
+    return assign_region(points, boxes).where("found is not null").drop("found")
 
 
 def site_overlap(rows: DataFrame) -> DataFrame:
@@ -72,6 +84,19 @@ def near_training(rows: DataFrame, radius_km: float = 0.05) -> DataFrame:
     return test.join(spread, close, "left_semi").drop("cy", "cx")
 
 
+def near_pairs(points: DataFrame, key: str, radius_km: float) -> DataFrame:
+    """Pairs (a, b, distance) of different positions within the radius, each position known by its smallest key (views at one
+    position are no pairs): the same equi-join on cells."""
+    height = radius_km / DEGREE_KM
+    column = lambda lon, row: F.floor(lon / (height / F.cos(F.radians((row + 2) * height)))).cast("long")
+    places = points.groupBy("lat", "lon").agg(F.min(key).alias("id")).withColumn("cy", F.floor(F.col("lat") / height).cast("long"))
+    left = places.withColumn("cx", column(F.col("lon"), F.col("cy"))).select(F.col("id").alias("a"), F.col("lat").alias("lat1"), F.col("lon").alias("lon1"), "cy", "cx")
+    spread = places.withColumn("cy", F.explode(F.array(*(F.col("cy") + d for d in (-1, 0, 1))))).withColumn("cx", column(F.col("lon"), F.col("cy")))
+    spread = spread.withColumn("cx", F.explode(F.array(*(F.col("cx") + d for d in (-1, 0, 1))))).select(F.col("id").alias("b"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"), "cy", "cx")
+    distance = haversine_km(F.col("lat1"), F.col("lon1"), F.col("lat2"), F.col("lon2"))
+    return left.join(spread, ["cy", "cx"]).where("a < b").withColumn("distance", distance).where(F.col("distance") <= radius_km).select("a", "b", "distance")
+
+
 def overlap_audit(rows: DataFrame, radius_km: float = 0.05) -> DataFrame:
     """One row: test views, those at a training site, within the radius of one, and beyond."""
     same = site_overlap(rows).select("image_id", F.lit(1).alias("same"))
@@ -100,11 +125,30 @@ def centroids(rows: DataFrame, source: str = "train") -> DataFrame:
     return kept.groupBy("region").agg(F.avg("lat").alias("c_lat"), F.avg("lon").alias("c_lon"))
 
 
+def polygon_centroids(boxes: DataFrame) -> DataFrame:
+    """region, c_lat, c_lon: the centre of mass of each region's ring (weighted corners of its triangles with the origin)."""
+    ring, n = F.col("ring"), F.size("ring")
+    first = F.element_at(ring, 1)
+    # Corners relative to the first one, which keeps the products small.
+    at = lambda i: F.struct((F.element_at(ring, F.pmod(i, n) + 1)["lon"] - first["lon"]).alias("x"), (F.element_at(ring, F.pmod(i, n) + 1)["lat"] - first["lat"]).alias("y"))
+    zero = F.struct(F.lit(0.0).alias("area"), F.lit(0.0).alias("x"), F.lit(0.0).alias("y"))
+
+    def step(so_far, i):
+        p, q = at(i), at(i + 1)
+        cross = p["x"] * q["y"] - q["x"] * p["y"]
+        return F.struct((so_far["area"] + cross).alias("area"), (so_far["x"] + (p["x"] + q["x"]) * cross).alias("x"), (so_far["y"] + (p["y"] + q["y"]) * cross).alias("y"))
+
+    sums = F.aggregate(F.sequence(F.lit(0), n - 1), zero, step)
+    return boxes.select("region", first.alias("first"), sums.alias("s")).select("region", (F.col("first.lat") + F.col("s.y") / (3 * F.col("s.area"))).alias("c_lat"), (F.col("first.lon") + F.col("s.x") / (3 * F.col("s.area"))).alias("c_lon"))
+
+
 def centroid_error(predicted: DataFrame, centres: DataFrame, by: list[str]) -> DataFrame:
-    """Mean km from where a view was taken to the centre of the region that was predicted (column pred)."""
+    """n rows, how many of them are unplaced (their prediction, column pred, is null or has no centre), and the mean km from where a view was
+    taken to the centre of the region that was predicted, over the placed ones."""
     dim = centres.withColumnRenamed("region", "_r")
-    joined = predicted.join(F.broadcast(dim), F.col("pred") == F.col("_r"))
-    return joined.groupBy(*by).agg(F.count("*").alias("n"), F.avg(haversine_km(F.col("lat"), F.col("lon"), F.col("c_lat"), F.col("c_lon"))).alias("km"))
+    joined = predicted.join(F.broadcast(dim), F.col("pred") == F.col("_r"), "left")
+    km = F.when(F.col("_r").isNotNull(), haversine_km(F.col("lat"), F.col("lon"), F.col("c_lat"), F.col("c_lon")))
+    return joined.groupBy(*by).agg(F.count("*").alias("n"), F.count_if(F.col("_r").isNull()).alias("unplaced"), F.avg(km).alias("km"))
 
 
 def nearest_capture(rows: DataFrame) -> DataFrame:

@@ -60,6 +60,21 @@ def bright_mask(vectors: DataFrame) -> DataFrame:
     return vectors.withColumn("cue_mask", positions)
 
 
+def varied_mask(vectors: DataFrame, rows: int = 2) -> DataFrame:
+    """Adds cue_mask: the pixels of the band of `rows` rows whose values vary most (a stand-in for a textured cue), the upper one
+    of equals; variances are compared in whole millionths."""
+    width = rows * SIDE
+
+    def spread(b):
+        own = F.slice("embedding", b * width + 1, width)
+        total, squares = (F.aggregate(own, F.lit(0.0), lambda s, x, p=p: s + F.pow(x.cast("double"), F.lit(float(p)))) for p in (1, 2))
+        return F.floor((squares - total * total / width) * 1e6 + 0.5).cast("long")
+
+    bands = F.transform(F.sequence(F.lit(0), F.lit(SIDE // rows - 1)), lambda b: F.struct((-spread(b)).alias("less"), b.alias("b")))
+    best = F.array_min(bands)["b"]
+    return vectors.withColumn("cue_mask", F.sequence(best * width, best * width + width - 1))
+
+
 def random_mask(vectors: DataFrame, seed: int = 42) -> DataFrame:
     """Adds random_mask: as many positions as cue_mask, drawn over the whole raster by a hash of image and position."""
     ranked = F.array_sort(F.transform(F.sequence(F.lit(0), F.lit(SIDE * SIDE - 1)), lambda p: F.struct(F.md5(F.concat(F.lit(f"{seed}|m|"), F.col("vec_id").cast("string"), F.lit("|"), p.cast("string"))).alias("h"), p.alias("p"))))

@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.scalars import hash01_sql, haversine_sql, rounded, rounded_sql, seeded
-from ..operators import sampling, spatial
+from ..operators import duplicates, sampling, spatial
+from ..session import checkpointed
 from ..sources.tables import CAPTURES_SQL, captures, load, region_dim
 
 QUERIES: dict = {}
@@ -195,20 +196,29 @@ def region_centroids(spark, sf_dir):
     return spatial.centroids(split_rows(spark, sf_dir)).select("region", rounded(F.col("c_lat")).alias("c_lat"), rounded(F.col("c_lon")).alias("c_lon"))
 
 
-#: Reference predictors: right, always region 0, the next region.
-RULES = {"right": ("region", "region"), "always_first": ("0", "0"), "next": ("pmod(region + 1, 8)", "(region + 1) % 8")}
+_AREA_SIDE = "sqrt(area) / 111.195::DOUBLE"
+
+
+@register(f"WITH {CAPTURES_SQL} SELECT region, {rounded_sql(f'34.0::DOUBLE + 0.05::DOUBLE * (region // 4) + {_AREA_SIDE} / 2')} AS c_lat, {rounded_sql(f'-118.4::DOUBLE + 0.08::DOUBLE * (region % 4) + {_AREA_SIDE} / cos(radians(34.0::DOUBLE + 0.05::DOUBLE * (region // 4))) / 2')} AS c_lon FROM region_dim")
+def region_centroids_polygon(spark, sf_dir):
+    made = spatial.polygon_centroids(spatial.with_boxes(region_dim(spark)))
+    return made.select("region", rounded(F.col("c_lat")).alias("c_lat"), rounded(F.col("c_lon")).alias("c_lon"))
+
+
+#: Reference predictors: right, always region 0, the next region, right or nothing.
+RULES = {"right": ("region", "region"), "always_first": ("0", "0"), "next": ("pmod(region + 1, 8)", "(region + 1) % 8"), "every_other": ("CASE WHEN image_id % 2 = 0 THEN region END", "CASE WHEN image_id % 2 = 0 THEN region END")}
 
 
 def _rules_sql(names: list[str]) -> str:
     preds = " UNION ALL ".join(f"SELECT '{n}' AS rule, *, {RULES[n][1]} AS pred FROM rows WHERE split = 'test'" for n in names)
-    return chain() + f", p AS ({preds}) SELECT rule, count(*)::BIGINT AS n, {rounded_sql('avg(' + haversine_sql('lat', 'lon', 'c_lat', 'c_lon') + ')', 4)} AS km FROM p JOIN centres c ON p.pred = c.region GROUP BY rule"
+    return chain() + f", p AS ({preds}) SELECT rule, count(*)::BIGINT AS n, count(*) FILTER (WHERE c.region IS NULL)::BIGINT AS unplaced, {rounded_sql('avg(' + haversine_sql('lat', 'lon', 'c_lat', 'c_lon') + ')', 4)} AS km FROM p LEFT JOIN centres c ON p.pred = c.region GROUP BY rule"
 
 
 def _rules(spark, sf_dir, names):
     rows = split_rows(spark, sf_dir)
     options = F.array(*(F.struct(F.lit(n).alias("rule"), F.expr(RULES[n][0]).cast("int").alias("pred")) for n in names))
-    test = rows.where("split = 'test'").select("lat", "lon", "region", F.explode(options).alias("o")).select("lat", "lon", "o.rule", "o.pred")
-    return spatial.centroid_error(test, spatial.centroids(rows), ["rule"]).select("rule", "n", rounded(F.col("km"), 4).alias("km"))
+    test = rows.where("split = 'test'").select("lat", "lon", F.explode(options).alias("o")).select("lat", "lon", "o.rule", "o.pred")
+    return spatial.centroid_error(test, spatial.centroids(rows), ["rule"]).select("rule", "n", "unplaced", rounded(F.col("km"), 4).alias("km"))
 
 
 @register(_rules_sql(["right"]))
@@ -278,14 +288,47 @@ def content_grouped_split(spark, sf_dir):
 
 @register("SELECT item_id, count(*)::BIGINT AS n FROM benchmark b JOIN documents d ON contains(d.text, b.text) GROUP BY item_id")
 def contamination_lookup(spark, sf_dir):
-    """Which benchmark passages documents contain literally. The passages are broadcast in blocks of a checked size."""
-    items = load(spark, sf_dir, "benchmark").where("text <> ''").select("item_id", F.col("text").alias("passage"))
-    size = items.agg(F.coalesce(F.sum(F.octet_length("passage")), F.lit(0))).first()[0]
-    docs = load(spark, sf_dir, "documents").select("text")
-    blocks = max(1, -(-size // (4 << 20)))
-    made = None
-    for b in range(blocks):
-        block = items.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == b)
-        part = docs.join(F.broadcast(block), F.contains("text", F.col("passage"))).groupBy("item_id").agg(F.count("*").alias("n"))
-        made = part if made is None else made.unionByName(part)
-    return made
+    """Which benchmark passages documents contain literally."""
+    docs = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("doc"), "text")
+    return duplicates.containing(docs, load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("item"), F.col("text").alias("passage"))).groupBy(F.col("item").alias("item_id")).agg(F.count("*").alias("n"))
+
+
+@register(chain() + f""", places AS (SELECT lat, lon, min(image_id) AS id FROM rows GROUP BY lat, lon)
+SELECT p.id AS a, q.id AS b, {rounded_sql(haversine_sql('p.lat', 'p.lon', 'q.lat', 'q.lon'), 4)} AS distance FROM places p JOIN places q ON p.id < q.id AND abs(p.lat - q.lat) < 0.01 AND abs(p.lon - q.lon) < 0.01 WHERE {haversine_sql('p.lat', 'p.lon', 'q.lat', 'q.lon')} <= 0.1""")
+def near_duplicate_places(spark, sf_dir):
+    """Different positions of sampled views within 100 m: the duplicates that a geographic filter would look at."""
+    made = duplicates.near_duplicates(split_rows(spark, sf_dir), "geo", "image_id", 0.1)
+    return made.select("a", "b", rounded(F.col("distance"), 4).alias("distance"))
+
+
+_MOVED = "CASE WHEN image_id % 29 = 0 THEN lat + 10 ELSE lat END"
+
+
+@register(chain() + "SELECT region, count(*)::BIGINT AS n FROM captures WHERE image_id % 29 <> 0 GROUP BY region")
+def polygon_filter(spark, sf_dir):
+    """Captures inside the regions' polygons, before any sampling; every 29th one is moved far away to be filtered out."""
+    moved = captures(spark, sf_dir).withColumn("lat", F.expr(_MOVED))
+    return spatial.eligible_points(moved.select("image_id", "region", "lat", "lon"), spatial.with_boxes(region_dim(spark))).groupBy("region").agg(F.count("*").alias("n"))
+
+
+_WORD_SET = r"list_distinct(list_filter(string_split_regex(lower(coalesce(text, '')), '\s+'), lambda w: w <> ''))"
+
+
+@register(
+    f"""WITH d AS (SELECT doc_id, md5(text) AS h, {_WORD_SET} AS w, ('0x' || substr(md5('42|d|' || doc_id), 1, 8))::BIGINT / 4294967296.0::DOUBLE AS u FROM documents WHERE text IS NOT NULL), s AS (SELECT *, CASE WHEN u < 0.7 THEN 'train' WHEN u < 0.85 THEN 'val' ELSE 'test' END AS split FROM d),
+k AS (SELECT h, any_value(w) AS w FROM s GROUP BY h), x AS (SELECT h, unnest(w) AS word FROM k), p AS (SELECT a.h AS a, b.h AS b, count(*) AS c FROM x a JOIN x b ON a.word = b.word AND a.h <> b.h GROUP BY 1, 2),
+near AS (SELECT a, b FROM p JOIN k x ON p.a = x.h JOIN k y ON p.b = y.h WHERE c / (len(x.w) + len(y.w) - c)::DOUBLE > 0.8), train AS (SELECT DISTINCT h FROM s WHERE split = 'train'),
+hit AS (SELECT DISTINCT a FROM near JOIN train ON b = h)
+SELECT count(*)::BIGINT AS n_test, count(*) FILTER (WHERE h IN (SELECT h FROM train))::BIGINT AS same_text, count(*) FILTER (WHERE h IN (SELECT h FROM train) OR h IN (SELECT a FROM hit))::BIGINT AS same_or_near FROM s WHERE split = 'test'"""
+)
+def content_overlap_near(spark, sf_dir):
+    """Test documents whose text, or a near copy of it (word sets with a similarity over 0.8), is in training."""
+    u = seeded(42, "d", F.col("doc_id"))
+    docs = load(spark, sf_dir, "documents").where("text is not null").select("doc_id", "text", F.md5("text").alias("h"), F.when(u < 0.7, "train").when(u < 0.85, "val").otherwise("test").alias("split"))
+    sides = checkpointed(docs.groupBy("h").agg(F.min("doc_id").alias("rep"), F.max((F.col("split") == "train").cast("int")).alias("trained")))
+    pairs = checkpointed(duplicates.near_duplicates(duplicates.representatives(docs.select("doc_id", "text"), "doc_id", "text"), "text", "doc_id", 0.2).select("a", "b"))
+    both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    near = both.join(sides.where("trained = 1").select(F.col("rep").alias("b")), "b").select(F.col("a").alias("rep"), F.lit(1).alias("near")).distinct()
+    told = sides.join(near, "rep", "left").select(F.col("h").alias("hash"), "trained", "near")
+    test = docs.where("split = 'test'").join(told, F.col("h") == F.col("hash"))
+    return test.agg(F.count("*").alias("n_test"), F.count_if(F.col("trained") == 1).alias("same_text"), F.count_if((F.col("trained") == 1) | F.col("near").isNotNull()).alias("same_or_near"))

@@ -13,7 +13,7 @@ from ..functions.scalars import hash01_sql, haversine_km, rounded, rounded_sql
 from ..operators import cues, duplicates, measures, rasters, sampling, spatial
 from ..session import spread, workers_can_import
 from ..sources.tables import captures, load
-from . import geography, probing
+from . import geography
 
 QUERIES: dict = {}
 ORACLE_SQL: dict[str, str] = {}
@@ -101,7 +101,8 @@ def exact_copies(spark, sf_dir):
 
 @register()
 def near_duplicate_vectors(spark, sf_dir):
-    return duplicates.near_duplicates(load(spark, sf_dir, "embeddings"), "embedding", "vec_id", 0.9)
+    """The closest pairs of vectors (of length 1 and nearly at random, so that none is really near)."""
+    return duplicates.near_duplicates(load(spark, sf_dir, "embeddings"), "embedding", "vec_id", 1.1)
 
 
 @register()
@@ -160,18 +161,6 @@ def raster_blocks(spark, sf_dir):
     return tables.ExplodeBlocks(F.lit(56), F.lit(16)).withColumnRenamed("left", "left_")
 
 
-@register()
-def w4_centroid_error(spark, sf_dir):
-    """Centroid error of each strategy when test documents stand at captures and classes at the first regions' centroids.
-    Position and content are independent here: this exercises the arithmetic and says nothing about places."""
-    fitted = probing.study(spark, sf_dir)
-    docs = load(spark, sf_dir, "documents").agg(F.count("*").alias("n_docs"))
-    rows = geography.split_rows(spark, sf_dir)
-    placed = rows.crossJoin(docs).select((F.col("image_id") % F.col("n_docs")).alias("image_id"), "lat", "lon").groupBy("image_id").agg(F.min(F.struct("lat", "lon")).alias("at")).select("image_id", "at.lat", "at.lon")
-    log = fitted.log().where("transform = 'identity'").join(placed, "image_id")
-    return spatial.centroid_error(log, spatial.centroids(rows), ["model"])
-
-
 @register()
 def sampling_rounding(spark, sf_dir):
     """Quotas under the three roundings."""

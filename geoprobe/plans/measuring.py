@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..functions.scalars import rounded, rounded_sql
-from ..operators import cues, measures, statistics
+from ..operators import cues, duplicates, measures, statistics
 from ..session import spread
 from ..sources.tables import load
 from . import rule_logs
@@ -265,6 +265,25 @@ def coverage_cube(spark, sf_dir):
     return made.select(F.coalesce("cue", F.lit("all")).alias("cue"), F.coalesce("lang", F.lit("all")).alias("lang"), "n", "with_mask", "masked")
 
 
+@register(
+    r"""WITH l AS (SELECT doc_id, trim(line) AS line, count(*) AS n FROM (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line FROM documents) WHERE trim(line) <> '' GROUP BY ALL HAVING count(*) >= 3),
+r AS (SELECT doc_id, sum(n * length(line)) AS masked FROM l GROUP BY doc_id)
+SELECT doc_id, coalesce(list_sum(list_transform(regexp_extract_all(coalesce(text, ''), '[^\p{L}\s]{8,}'), lambda w: length(w))), 0)::BIGINT AS junk_run, coalesce(masked, 0)::BIGINT AS repeated_line FROM documents LEFT JOIN r USING (doc_id)"""
+)
+def extra_cues(spark, sf_dir):
+    """Characters under the two cues that no model is probed with."""
+    text = F.coalesce("text", F.lit(""))
+    return spread(load(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", *(cues.covered(text, c).cast("long").alias(c) for c in cues.EXTRA_CUES))
+
+
+@register("SELECT d.doc_id, sum(length(b.text))::BIGINT AS masked FROM documents d JOIN benchmark b ON b.text <> '' AND contains(d.text, b.text) GROUP BY d.doc_id")
+def benchmark_cue(spark, sf_dir):
+    """Characters of literal benchmark passages in each document that has some."""
+    passages = load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("item"), F.col("text").alias("passage"))
+    found = duplicates.containing(load(spark, sf_dir, "documents").select(F.col("doc_id").alias("doc"), "text"), passages)
+    return cues.benchmark_coverage(found, passages).withColumnRenamed("doc", "doc_id")
+
+
 def _cue_anova(group_sql: str, group):
     sql = " UNION ALL ".join("SELECT '" + c + "' AS cue, * FROM (" + _anova_sql("coverage", group_sql, f"(SELECT * FROM {_COVERED} WHERE cue = '{c}')") + ")" for c in cues.CUES)
 

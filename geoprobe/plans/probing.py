@@ -1,25 +1,30 @@
 """Queries that adapt the surrogate encoder on `documents` and probe it: strategies, interventions, prompts, control.
 
-One study is fitted per session and input folder and kept: alignment, six strategies, the prediction log (written once)
-and the class texts. The class is `lang`, which the alignment corpus knows only for pages."""
+One study is fitted per session and input folder and kept: alignment, rasters (written once), six strategies, the prediction log (written once)
+and the class texts. The class is `lang`, which the alignment corpus knows only for pages. Strategies are fitted on a bounded sample (SAMPLE documents of the training and
+validation splits, by a hash of the id, as the source samples its images); probing covers every test document."""
 
 from __future__ import annotations
 
 import time
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.scalars import seeded
+from ..functions.scalars import hash01, hash01_sql, haversine_km, seeded
 from ..operators import encoder as enc
-from ..operators import ladder, measures, prompts, rasters
-from ..session import checkpointed, spread
-from ..sources.tables import load
+from ..operators import ladder, measures, prompts, rasters, spatial
+from ..session import checkpointed, spread, workers_can_import
+from ..sources.tables import load, region_dim
 
 QUERIES: dict = {}
 ORACLE_SQL: dict[str, str] = {}
-FROZEN = ["zero_shot", "text_score", "linear"]
+FROZEN = list(enc.FROZEN)
+SCRAMBLES = tuple(t for t in rasters.TRANSFORMS if t.startswith("scramble"))
+#: Strategies that are compared between splits.
+STRATA_MODELS = ("zero_shot", "linear", "last_block")
 CUE_TRANSFORMS = tuple(t for t in rasters.TRANSFORMS if ":" in t and not t.startswith("scramble"))
 
 
@@ -42,14 +47,14 @@ def scenes(spark: SparkSession, sf_dir: str, label: str = "lang") -> DataFrame:
     return docs.crossJoin(names).select("doc_id", "text", (F.array_position("names", F.col("label")) - 1).cast("int").alias("y"), F.when(u < 0.7, "train").when(u < 0.85, "val").otherwise("test").alias("split"))
 
 
-#: Documents that a training partition should hold: with fewer local steps between two averages, models hardly move.
-ROWS_PER_WORKER = 1000
+#: Training and validation documents that strategies are fitted on, about; a smaller input is used whole.
+SAMPLE = 10_000
 
 
-def written(rows: DataFrame) -> DataFrame:
-    """The scenes written once, in parts that depend on their number and not on the cluster; every epoch reads them again."""
-    parts = max(1, min(ladder.WORKERS, rows.count() // ROWS_PER_WORKER))
-    return checkpointed(rows.repartition(parts, "doc_id"))
+def sampled(rows: DataFrame, size: int = SAMPLE) -> DataFrame:
+    """The test rows and a hash sample of about `size` of the others."""
+    fit = rows.where("split <> 'test'").count()
+    return rows.where((F.col("split") == "test") | (seeded(42, "fit", F.col("doc_id")) < size / max(1, fit)))
 
 
 def class_texts(described: DataFrame, condition: str) -> np.ndarray:
@@ -61,24 +66,24 @@ class Study:
     """Everything that is fitted for one input folder."""
 
     def __init__(self, spark: SparkSession, sf_dir: str, label: str = "lang", strategies: tuple[str, ...] = enc.STRATEGIES):
+        began = time.time()
         corpus = prompts.alignment_corpus(spread(load(spark, sf_dir, "pages")), load(spark, sf_dir, "conversations"))
         self.weights = ladder.aligned(spark, corpus)
         self.described = checkpointed(prompts.descriptors(corpus))
         self.texts = class_texts(self.described, "baseline")
-        self.rows = written(scenes(spark, sf_dir, label))
-        self.history: list[dict] = []
-        self.models: dict[str, enc.Model] = {}
-        self.seconds: dict[str, float] = {}
-        for name in strategies:
-            began = time.time()
-            self.models[name], past = ladder.trained(self.rows, enc.Model.start(name, self.weights, self.texts))
-            self.history += past
-            self.seconds[name] = time.time() - began
-        self.spark, self._log = spark, None
+        self.rows = ladder.rasterised(spread(sampled(scenes(spark, sf_dir, label))))
+        self.align_seconds = time.time() - began
+        fitted = ladder.trained_together(self.rows, {name: enc.Model.start(name, self.weights, self.texts) for name in strategies})
+        self.models = {name: f[0] for name, f in fitted.items()}
+        self.history = [h for f in fitted.values() for h in f[1]]
+        self.seconds = {name: f[2] for name, f in fitted.items()}
+        self.spark, self._log, self.probe_seconds = spark, None, 0.0
 
     def log(self) -> DataFrame:
         if self._log is None:
-            self._log = checkpointed(ladder.probed(self.rows.where("split = 'test'"), self.models))
+            began = time.time()
+            self._log = checkpointed(ladder.probed(spread(self.rows.where("split = 'test'")), self.models))
+            self.probe_seconds = time.time() - began
         return self._log
 
 
@@ -150,6 +155,9 @@ def w9_regimes(spark, sf_dir):
     return measures.regimes(study(spark, sf_dir).log().where("transform = 'identity' or transform like 'scramble:%'"), FROZEN)
 
 
+_DRAWN = hash01_sql("'42|n|' || page_id")
+
+
 @register()
 def w10_control(spark, sf_dir):
     """Zero-shot on pages that no step has seen, untouched and scrambled."""
@@ -157,10 +165,36 @@ def w10_control(spark, sf_dir):
     pages = prompts.control_set(load(spark, sf_dir, "pages"))
     names = fitted.described.select(F.col("name"), F.col("region").alias("y"))
     rows = pages.join(F.broadcast(names), F.col("lang") == F.col("name")).select("doc_id", "text", "y", F.lit("test").alias("split"))
-    log = checkpointed(ladder.probed(rows, {"zero_shot": fitted.models["zero_shot"]}, ("identity", "scramble:4", "scramble:8", "scramble:16")))
+    # One label more than there are classes: a background text that no page belongs to.
+    background = enc.text_features([prompts.BACKGROUND])
+    model = enc.Model.start("zero_shot", fitted.weights, np.vstack([fitted.texts, background]))
+    log = checkpointed(ladder.probed(rows, {"zero_shot": model}, ("identity", *SCRAMBLES)))
     return measures.joint_table(log)
 
 
+@register(f"SELECT row_number() OVER (ORDER BY {_DRAWN}, page_id)::INT AS place, page_id FROM pages WHERE {hash01_sql(chr(39) + '42|a|' + chr(39) + ' || page_id')} >= 0.5 ORDER BY {_DRAWN}, page_id LIMIT {prompts.CONTROL_SIZE}")
+def w10_control_ids(spark, sf_dir):
+    """The recorded sample of the control set: page numbers in the order in which they were drawn."""
+    return prompts.control_ids(load(spark, sf_dir, "pages"))
+
+
+@register()
+def w10_second_control(spark, sf_dir):
+    """A second control set without geography: the role of a conversation turn, read out of frozen features and scrambled."""
+    fitted = study(spark, sf_dir)
+    turns = load(spark, sf_dir, "conversations").where("role is not null and text is not null")
+    names = F.broadcast(turns.select("role").distinct().agg(F.array_sort(F.collect_set("role")).alias("names")))
+    # A conversation's turns stay on one side, and copies of a text do.
+    u = seeded(42, "c", F.md5("text"))
+    rows = turns.crossJoin(names).select((F.col("conv_id") * 4096 + F.col("turn")).alias("doc_id"), "text", (F.array_position("names", F.col("role")) - 1).cast("int").alias("y"), F.when(u < 0.7, "train").when(u < 0.85, "val").otherwise("test").alias("split"))
+    rows = ladder.rasterised(sampled(rows))
+    classes = rows.agg(F.max("y")).first()[0] + 1
+    model, _ = ladder.trained(rows, enc.Model.start("linear", fitted.weights, np.zeros((classes, enc.OUT), np.float32)), ladder.Config(epochs=5))
+    log = checkpointed(ladder.probed(rows.where("split = 'test'"), {"linear": model}, ("identity", *SCRAMBLES)))
+    majority = rows.where("split = 'test'").groupBy("y").agg(F.count("*").alias("m")).agg(F.max("m").alias("majority"))
+    return measures.joint_table(log).crossJoin(majority)
+
+
 def _prompt_query(condition: str):
     return lambda spark, sf_dir: prompts.prompts(condition, prompts.descriptors(prompts.alignment_corpus(load(spark, sf_dir, "pages"), load(spark, sf_dir, "conversations"))))
 
@@ -184,12 +218,60 @@ def w12_joint(spark, sf_dir):
 
 @register()
 def w13_cases(spark, sf_dir):
-    """For each true class the first five test images whose largest-block scrambling switches the fully updated model."""
+    """Qualitative cases: for each class the first five test images that middle-size scrambling switches under some model, each
+    with a training partner of its class, the pixels of its four cue masks, whether it has edges, and the predictions of three models. Documents
+    stand where `positions` puts them; the distance is to the partner."""
     from pyspark.sql import Window
 
-    log = study(spark, sf_dir).log().where("model = 'full' and transform in ('identity', 'scramble:16')")
-    rows = measures.paired(log).where("transform = 'scramble:16' and pred <> pred0")
-    return rows.withColumn("place", F.row_number().over(Window.partitionBy("y").orderBy("image_id"))).where("place <= 5")
+    fitted = study(spark, sf_dir)
+    names = ("zero_shot", "low_rank", "full")
+    rows = fitted.log().where(F.col("model").isin(*names) & (F.col("transform") == "scramble:8"))
+    pick = lambda m, c: F.max(F.when(F.col("model") == m, F.col(c)))
+    wide = rows.groupBy("image_id", "y").agg(*(pick(m, c).alias(f"{m}_{n}") for m in names for c, n in (("pred0", "before"), ("pred", "after"))), F.max((~F.col("pred").eqNullSafe(F.col("pred0"))).cast("int")).alias("switched"))
+    cases = wide.where("switched = 1").withColumn("place", F.row_number().over(Window.partitionBy("y").orderBy("image_id"))).where("place <= 5")
+    cases = checkpointed(cases)  # five rows a class
+    test = fitted.rows.where("split = 'test'").select(F.col("doc_id").alias("image_id"), "text", "pixels").join(F.broadcast(cases), "image_id")
+    placed = positions(fitted.rows.where("split = 'train'").select(F.col("doc_id").alias("partner"), F.col("y").alias("of")), "partner", "of").withColumnsRenamed({"lat": "lat2", "lon": "lon2"})
+    first = placed.groupBy("of").agg(F.min(F.struct("partner", "lat2", "lon2")).alias("t")).select("of", "t.*")
+    cued = positions(cue_pixels(test), "image_id", "y").join(F.broadcast(first), F.col("y") == F.col("of"))
+    return cued.withColumn("partner_km", haversine_km(F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2"))).drop("of", "lat", "lon", "lat2", "lon2", "switched")
+
+
+def cue_pixels(rows: DataFrame) -> DataFrame:
+    """Rows (text, pixels and more) with the pixels under each cue's mask and whether the image has edges, instead of text and pixels."""
+    workers_can_import(rows.sparkSession)
+    rest = [f for f in rows.schema.fields if f.name not in ("text", "pixels")]
+
+    def run(batches):
+        for batch in batches:
+            texts = [t or "" for t in batch.column("text").to_pylist()]
+            masks = [pa.array([int(rasters.cue_mask(t, c).sum()) for t in texts], pa.int64()) for c in rasters.CUES]
+            edges = pa.array([bool(rasters.edges(rasters.from_bytes(b)).any()) for b in batch.column("pixels").to_pylist()], pa.bool_())
+            yield pa.RecordBatch.from_arrays([*(batch.column(f.name) for f in rest), *masks, edges], names=[*(f.name for f in rest), *(f"mask_{c}" for c in rasters.CUES), "has_edges"])
+
+    schema = ", ".join([*(f"{f.name} {f.dataType.simpleString()}" for f in rest), *(f"mask_{c} long" for c in rasters.CUES), "has_edges boolean"])
+    return rows.select("text", "pixels", *(f.name for f in rest)).mapInArrow(run, schema)
+
+
+def positions(rows: DataFrame, key: str, region: str) -> DataFrame:
+    """Adds lat and lon: documents stand in the square of the region with their class's number, at a place by a hash of their id.
+    Place within a region and content are independent; the region is the class."""
+    boxes = spatial.with_boxes(region_dim(rows.sparkSession)).select(F.col("region").alias("box"), "south", "west", "north", "east")
+    u, v = (hash01(F.concat(F.lit(f"{name}|"), F.col(key).cast("string"))) for name in ("lat", "lon"))
+    placed = rows.join(F.broadcast(boxes), F.pmod(F.col(region), F.lit(8)) == F.col("box"))
+    return placed.withColumns({"lat": F.col("south") + u * (F.col("north") - F.col("south")), "lon": F.col("west") + v * (F.col("east") - F.col("west"))}).drop("box", "south", "west", "north", "east")
+
+
+@register()
+def w4_centroid_error(spark, sf_dir):
+    """Centroid error of each strategy on the test documents where `positions` puts them, with centres from the training
+    documents; `floor_km` is the error of right answers."""
+    fitted = study(spark, sf_dir)
+    placed = positions(fitted.rows.select(F.col("doc_id").alias("image_id"), F.col("y").alias("region"), "split"), "image_id", "region")
+    centres = spatial.centroids(placed)
+    log = fitted.log().where("transform = 'identity'").join(placed.where("split = 'test'").select("image_id", "lat", "lon"), "image_id")
+    right = spatial.centroid_error(log.withColumn("pred", F.col("y")), centres, ["model"]).select("model", F.col("km").alias("floor_km"))
+    return spatial.centroid_error(log, centres, ["model"]).join(right, "model")
 
 
 def _control_labels(label: str):
@@ -197,7 +279,7 @@ def _control_labels(label: str):
 
     def run(spark, sf_dir):
         fitted = study(spark, sf_dir)
-        rows = written(scenes(spark, sf_dir, label))
+        rows = ladder.rasterised(sampled(scenes(spark, sf_dir, label)))
         classes = rows.agg(F.max("y")).first()[0] + 1
         texts = np.zeros((classes, enc.OUT), np.float32)
         model, _ = ladder.trained(rows, enc.Model.start("linear", fitted.weights, texts), ladder.Config(epochs=3))
@@ -216,19 +298,44 @@ def w4q_quality(spark, sf_dir):
     """A second label: the linear readout of document quality on the labelled documents."""
     fitted = study(spark, sf_dir)
     told = load(spark, sf_dir, "labels").select(F.col("doc_id").alias("told_id"), F.col("quality").cast("int").alias("quality")).where("quality is not null")
-    rows = scenes(spark, sf_dir).drop("y").join(told, F.col("doc_id") == F.col("told_id")).select("doc_id", "text", F.col("quality").alias("y"), "split")
+    rows = ladder.rasterised(sampled(scenes(spark, sf_dir).drop("y").join(told, F.col("doc_id") == F.col("told_id")).select("doc_id", "text", F.col("quality").alias("y"), "split")))
     model, _ = ladder.trained(rows, enc.Model.start("linear", fitted.weights, np.zeros((2, enc.OUT), np.float32)))
     return measures.accuracy(ladder.probed(rows.where("split = 'test'"), {"linear": model}, ("identity",)), ["y"])
 
 
 @register()
 def w17_content_strata(spark, sf_dir):
-    """Accuracy on test documents by whether their text also occurs in training, under the loose id-wise split."""
+    """Accuracy by whether a test document's text occurs in training, for models fitted on the loose id-wise split (copies on both
+    sides) and on the strict one by text (none in training)."""
+    fitted = study(spark, sf_dir)
+    u = seeded(42, "d", F.col("doc_id"))
+    splits = {"strict": fitted.rows, "loose": checkpointed(fitted.rows.withColumn("split", F.when(u < 0.7, "train").when(u < 0.85, "val").otherwise("test")))}
+    out = None
+    for name, rows in splits.items():
+        models = {m: fitted.models[m] for m in STRATA_MODELS}
+        if name == "loose":
+            models = {m: f[0] for m, f in ladder.trained_together(rows, {m: enc.Model.start(m, fitted.weights, fitted.texts) for m in STRATA_MODELS}).items()}
+        test = rows.where("split = 'test'")
+        seen = rows.where("split = 'train'").select(F.md5("text").alias("h"), F.lit(True).alias("seen")).distinct()
+        strata = test.withColumn("h", F.md5("text")).join(seen, "h", "left").select(F.col("doc_id").alias("image_id"), F.when(F.col("seen"), "copy in training").otherwise("new").alias("stratum"))
+        log = checkpointed(ladder.probed(test, models, ("identity",)))
+        part = measures.by_stratum(log, strata).withColumn("split", F.lit(name))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@register()
+def ladder_variants(spark, sf_dir):
+    """Variants of what the source leaves open, each beside its default: shapes of the text-score probe, adapter targets and a
+    trained head of the low-rank strategy, starts of the linear head."""
     fitted = study(spark, sf_dir)
-    loose = fitted.rows.withColumn("u", seeded(42, "d", F.col("doc_id"))).withColumn("loose", F.when(F.col("u") < 0.7, "train").otherwise("test"))
-    seen = loose.where("loose = 'train'").select(F.md5("text").alias("h"), F.lit(True).alias("seen")).distinct()
-    strata = loose.where("loose = 'test'").withColumn("h", F.md5("text")).join(seen, "h", "left").select(F.col("doc_id").alias("image_id"), F.when(F.col("seen"), "copy in training").otherwise("new").alias("stratum"))
-    return measures.by_stratum(fitted.log().where("transform = 'identity'"), strata)
+    start = lambda s, **kw: enc.Model.start(s, fitted.weights, fitted.texts, **kw)
+    models = {f"text_score_{x}": start("text_score", shape=x) for x in enc.SHAPES} | {f"linear_{x}": start("linear", head_start=x) for x in ("texts", "zero", "normal")}
+    models |= {f"low_rank_{t}": start("low_rank", targets=(t,)) for t in enc.ADAPTED} | {"low_rank_both": start("low_rank"), "low_rank_head": start("low_rank", head="linear")}
+    made = ladder.trained_together(fitted.rows, models)
+    sizes = spark.createDataFrame([(n, m.trainable_parameters()) for n, m in models.items()], "model string, parameters long")
+    log = checkpointed(ladder.probed(fitted.rows.where("split = 'test'"), {n: f[0] for n, f in made.items()}, ("identity",)))
+    return measures.accuracy(log, ["model"]).join(sizes, "model")
 
 
 @register()
@@ -262,6 +369,15 @@ def checkpoint_choice(spark, sf_dir):
 
 @register()
 def cost_report(spark, sf_dir):
-    """Trainable parameters and seconds of each strategy on this input."""
+    """What each strategy costs on this input: trainable parameters, seconds of fitting, training images a second, bytes of a
+    broadcast of the model and of the rows sent to its task; and the probe's images a second (a transform of an image under a model)."""
     fitted = study(spark, sf_dir)
-    return spark.createDataFrame([(k, m.trainable_parameters(), fitted.seconds[k]) for k, m in fitted.models.items()], "strategy string, parameters long, seconds double")
+    probes = fitted.log().count()
+    sizes = {r["split"]: r["n"] for r in fitted.rows.groupBy("split").agg(F.count("*").alias("n")).collect()}
+    rows, seen = sizes.get("train", 0) + sizes.get("val", 0), sizes.get("train", 0) * ladder.Config().epochs
+    table = []
+    for name, m in fitted.models.items():
+        sent = 0 if not m.trainable() else rows * (4 * enc.OUT if name in FROZEN else rasters.SIDE**2 * rasters.CHANNELS)
+        size = sum(t.nbytes for t in (*m.encoder.values(), *m.extra.values()))
+        table.append((name, m.trainable_parameters(), fitted.seconds[name], seen / fitted.seconds[name] if fitted.seconds[name] else None, size, sent, probes / fitted.probe_seconds))
+    return spark.createDataFrame(table, "strategy string, parameters long, seconds double, images_per_second double, broadcast_bytes long, shuffled_bytes long, probes_per_second double")

@@ -59,8 +59,9 @@ def lineitem_log(spark: SparkSession, sf_dir: str) -> DataFrame:
         "remove:quantity": (F.lit(25.0), d, t), "random:quantity": (F.col("q4"), d, t), "remove:discount": (q, F.lit(0.05), t), "random:discount": (q, F.col("d4"), t),
         **{f"scramble:{n}": (F.col(f"q{n}"), F.col(f"d{n}"), F.col(f"t{n}")) for n in BLOCK_SIZES},
     }
-    cells = F.array(*(F.struct(F.lit(m).alias("model"), F.lit(x).alias("transform"), _rule(m, *v).cast("int").alias("pred")) for m in RULES for x, v in inputs.items()))
-    return rows.select("image_id", "y", F.explode(cells).alias("c")).select("c.model", "c.transform", "image_id", "y", "c.pred")
+    rows = rows.withColumns({f"pred0_{m}": _rule(m, q, d, t).cast("int") for m in RULES})
+    cells = F.array(*(F.struct(F.lit(m).alias("model"), F.lit(x).alias("transform"), _rule(m, *v).cast("int").alias("pred"), F.col(f"pred0_{m}").alias("pred0")) for m in RULES for x, v in inputs.items()))
+    return rows.select("image_id", "y", F.explode(cells).alias("c")).select("c.model", "c.transform", "image_id", "y", "c.pred", "c.pred0")
 
 
 def _rule_sql(name: str, q: str, d: str, t: str) -> str:

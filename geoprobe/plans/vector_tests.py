@@ -107,6 +107,16 @@ def remove_cue_8x8(spark, sf_dir):
     return vectors.filled(rows, "cue_mask").select("vec_id", _printed().alias("pixels"))
 
 
+_BANDS = "list_transform(range(0, 4), lambda b: {'less': -floor((list_sum(list_transform(embedding[b * 16 + 1:b * 16 + 16], lambda x: x::DOUBLE * x::DOUBLE)) - pow(list_sum(list_transform(embedding[b * 16 + 1:b * 16 + 16], lambda x: x::DOUBLE)), 2) / 16) * 1000000 + 0.5)::BIGINT, 'b': b})"
+
+
+@register(f"SELECT vec_id, list_min({_BANDS}).b::INT AS band FROM embeddings")
+def varied_band(spark, sf_dir):
+    """Which band of two rows varies most: a second raster cue beside the bright one."""
+    rows = vectors.varied_mask(load(spark, sf_dir, "embeddings"))
+    return rows.select("vec_id", F.floor(F.element_at("cue_mask", 1) / 16).cast("int").alias("band"))
+
+
 _CLAMP = "least(greatest({}, 0), 7)"
 _BLUR = " + ".join(f"embedding[{_CLAMP.format(f'p // 8 + {i}')} * 8 + {_CLAMP.format(f'p % 8 + {j}')} + 1]::DOUBLE * {(2 - abs(i)) * (2 - abs(j))}" for i in (-1, 0, 1) for j in (-1, 0, 1))
 

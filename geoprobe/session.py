@@ -26,6 +26,7 @@ def workers_can_import(spark: SparkSession) -> None:
         spark.conf.set(rows, str(BATCH_ROWS))
         spark.conf.set(size, str(BATCH_BYTES))
     environment = spark.sparkContext.environment
+    environment.setdefault("OMP_NUM_THREADS", "1")  # a task has one core
     paths = [p for p in environment.get("PYTHONPATH", "").split(os.pathsep) if p]
     if ROOT not in paths:
         environment["PYTHONPATH"] = os.pathsep.join([*paths, ROOT])

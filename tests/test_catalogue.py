@@ -18,8 +18,7 @@ def test_twin(spark, con, sf_dir, name):
 
 @pytest.mark.parametrize("name", sorted(set(catalogue.QUERIES) - set(catalogue.ORACLE_SQL)))
 def test_runs(spark, sf_dir, name):
-    # Few rows may hold no switched prediction and no near copy.
-    assert catalogue.QUERIES[name](spark, sf_dir).count() > 0 or name in ("w13_cases", "near_duplicate_vectors")
+    assert catalogue.QUERIES[name](spark, sf_dir).count() > 0
 
 
 def test_entry(spark):
