@@ -67,7 +67,8 @@ def varied_mask(vectors: DataFrame, rows: int = 2) -> DataFrame:
 
     def spread(b):
         own = F.slice("embedding", b * width + 1, width)
-        total, squares = (F.aggregate(own, F.lit(0.0), lambda s, x, p=p: s + F.pow(x.cast("double"), F.lit(float(p)))) for p in (1, 2))
+        total = F.aggregate(own, F.lit(0.0), lambda s, x: s + x.cast("double"))
+        squares = F.aggregate(own, F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double"))
         return F.floor((squares - total * total / width) * 1e6 + 0.5).cast("long")
 
     bands = F.transform(F.sequence(F.lit(0), F.lit(SIDE // rows - 1)), lambda b: F.struct((-spread(b)).alias("less"), b.alias("b")))

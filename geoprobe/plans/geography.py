@@ -211,7 +211,7 @@ RULES = {"right": ("region", "region"), "always_first": ("0", "0"), "next": ("pm
 
 def _rules_sql(names: list[str]) -> str:
     preds = " UNION ALL ".join(f"SELECT '{n}' AS rule, *, {RULES[n][1]} AS pred FROM rows WHERE split = 'test'" for n in names)
-    return chain() + f", p AS ({preds}) SELECT rule, count(*)::BIGINT AS n, count(*) FILTER (WHERE c.region IS NULL)::BIGINT AS unplaced, {rounded_sql('avg(' + haversine_sql('lat', 'lon', 'c_lat', 'c_lon') + ')', 4)} AS km FROM p LEFT JOIN centres c ON p.pred = c.region GROUP BY rule"
+    return chain() + f", p AS ({preds}) SELECT rule, count(*)::BIGINT AS n, count(*) FILTER (WHERE c.region IS NULL)::BIGINT AS unplaced, {rounded_sql('avg(CASE WHEN c.region IS NOT NULL THEN ' + haversine_sql('lat', 'lon', 'c_lat', 'c_lon') + ' END)', 4)} AS km FROM p LEFT JOIN centres c ON p.pred = c.region GROUP BY rule"
 
 
 def _rules(spark, sf_dir, names):

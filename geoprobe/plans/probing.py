@@ -73,10 +73,12 @@ class Study:
         self.texts = class_texts(self.described, "baseline")
         self.rows = ladder.rasterised(spread(sampled(scenes(spark, sf_dir, label))))
         self.align_seconds = time.time() - began
+        began = time.time()
         fitted = ladder.trained_together(self.rows, {name: enc.Model.start(name, self.weights, self.texts) for name in strategies})
         self.models = {name: f[0] for name, f in fitted.items()}
         self.history = [h for f in fitted.values() for h in f[1]]
         self.seconds = {name: f[2] for name, f in fitted.items()}
+        self.fit_seconds = time.time() - began
         self.spark, self._log, self.probe_seconds = spark, None, 0.0
 
     def log(self) -> DataFrame:
