@@ -14,7 +14,7 @@ import xxhash
 
 from .rasters import SIDE, preprocessed
 
-PATCH, WIDTH, HIDDEN, OUT, TEXT_BINS, BLOCKS = 7, 48, 96, 64, 2048, 2
+PATCH, WIDTH, HIDDEN, OUT, TEXT_BINS, BLOCKS = 7, 32, 64, 64, 2048, 2
 TOKENS = (SIDE // PATCH) ** 2
 ROOT = WIDTH**-0.5
 #: Scale of cosine scores before the softmax.
