@@ -110,7 +110,8 @@ def mixed_gradients(model: enc.Model, inputs, y, scale: LossScale, dropout: floa
 
 def aligned(spark, corpus: DataFrame, ridge: float = 10.0, seed: int = 42) -> dict[str, np.ndarray]:
     """Encoder weights whose projection maps pooled image features of unlabelled texts onto their text features, by ridge
-    regression. Partitions add up their moment matrices and emit them once; the sums are aggregated by position."""
+    regression. Partitions add up their moment matrices and emit them once; the sums are aggregated by position, in whole
+    2^-24ths, so that their order doesn't matter."""
     workers_can_import(spark)
     weights = enc.initial(seed)
     shared = spark.sparkContext.broadcast(weights)
@@ -127,10 +128,10 @@ def aligned(spark, corpus: DataFrame, ridge: float = 10.0, seed: int = 42) -> di
                 total += np.concatenate([(pool.T @ pool).ravel(), pool.sum(axis=0), (pool.T @ goal).ravel(), goal.sum(axis=0), [len(part)]])
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total))), pa.array(total)], names=["at", "value"])
 
-    sums = corpus.select("text").mapInArrow(run, "at long, value double").groupBy("at").agg(F.sum("value").alias("value")).collect()
+    sums = corpus.select("text").mapInArrow(run, "at long, value double").groupBy("at").agg(F.sum(F.floor(F.col("value") * 2**24 + 0.5).cast("decimal(38,0)")).alias("value")).collect()
     flat = np.zeros((d + 1) * d + d * e + e + 1)
     for at, value in sums:
-        flat[at] = value
+        flat[at] = float(value) / 2**24
     n = max(1.0, flat[-1])
     xx, x, xy, y = flat[: d * d].reshape(d, d), flat[d * d : d * d + d], flat[d * d + d : d * d + d + d * e].reshape(d, e), flat[d * d + d + d * e : -1]
     centred = xx - np.outer(x, x) / n
