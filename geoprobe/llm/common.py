@@ -36,8 +36,8 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
         yield batch.slice(start)
 
 
-def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, column: str = "text") -> DataFrame:
-    """Apply `fn` (batch -> columns by name) to runs of rows; narrow, no shuffle, memory bounded by SLICE_BYTES."""
+def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, column: str = "text", limit: int = SLICE_BYTES) -> DataFrame:
+    """Apply `fn` (batch -> columns by name) to runs of rows; narrow, no shuffle, memory bounded by `limit`."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
@@ -46,7 +46,7 @@ def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, c
 
     def run(batches):
         for batch in batches:
-            for part in slices(batch, column):
+            for part in slices(batch, column, limit):
                 made = fn(part)
                 yield pa.RecordBatch.from_arrays([pa.array(made[f.name], type=f.type) for f in arrow], schema=arrow)
 

@@ -7,8 +7,8 @@ document only is done. The others are settled in two steps:
 1. equal super-k-mers (same minimiser, same word sequence) are reduced to their smallest document by a combining
    aggregation; all windows of later occurrences are repeats;
 2. where one minimiser has several different super-k-mers, those of the smallest documents travel as one packed
-   string each to the minimiser's bucket, where sorting the bucket's windows word for word brings equal ones together and counts
-   them. Super-k-mers of a minimiser with more than `HOT` occurrences (a very common line) are not gathered in one
+   string each to the minimiser's bucket, where its windows are sorted word for word (ranks of single words, then of runs of
+   2, 4, ... words from pairs of ranks), which brings equal ones together and counts them. Super-k-mers of a minimiser with more than `HOT` occurrences (a very common line) are not gathered in one
    bucket: they are cut again by a minimiser of another order, up to `ORDERS` times; of what is common even then, single
    windows are dealt out under a 128-bit hash and reduced by aggregation.
 
@@ -32,6 +32,8 @@ from .common import as_binary, checkpointed, map_text
 from .words import Powers, hashed, mix, odd_constants, runs_of, sliding_minimum, split_words
 
 WINDOW, SEED_WORDS, HOT, ORDERS = 50, 8, 512, 4
+#: Text bytes that are packed at a time (super-k-mers overlap, so what is packed is several times that), and words of buckets that are sorted together.
+PACKED_BYTES, SORTED_WORDS = 1 << 18, 1 << 16
 _SEEDS = odd_constants(SEED_WORDS, 3)
 _SEQUENCE, _OTHER = Powers(0x5851F42D4C957F2D), Powers(0x2545F4914F6CDD1D)
 
@@ -74,7 +76,7 @@ def _with_places(docs: DataFrame, wanted: DataFrame, fn, schema: str) -> DataFra
     """fn(batch of doc_id, row, text, places) for documents that have wanted super-k-mers (a left join, so that the same
     exchange of the documents serves every use)."""
     places = wanted.groupBy(F.col("doc_id").alias("wanted_id"), F.col("row").alias("wanted_row")).agg(F.collect_list(F.struct("key", "place")).alias("places"))
-    return map_text(docs.join(places, (F.col("doc_id") == F.col("wanted_id")) & (F.col("row") == F.col("wanted_row")), "left").select("doc_id", "row", "text", "places"), fn, schema)
+    return map_text(docs.join(places, (F.col("doc_id") == F.col("wanted_id")) & (F.col("row") == F.col("wanted_row")), "left").select("doc_id", "row", "text", "places"), fn, schema, limit=PACKED_BYTES)
 
 
 def _packed(batch: pa.RecordBatch, window: int) -> dict:
@@ -114,47 +116,71 @@ def _single(batch: pa.RecordBatch, window: int) -> dict:
     return {"a": _SEQUENCE.stretches(flat, first, first + window).view(np.int64), "b": _OTHER.stretches(mix(flat), first, first + window).view(np.int64), "doc_id": ids[own], "row": rows[own], "start": firsts[own] + at}
 
 
-def repeats_in_bucket(rows: list[tuple[int, int, int, bytes]], window: int) -> list[tuple[int, int, int, int]]:
-    """(document, row, first word, windows) of the windows that also start in a smaller document of the same bucket: windows
-    are sorted word for word, and each run of equal ones has its smallest document."""
-    windows, owner, firsts = [], [], [0]
-    for n, (_, _, _, packed) in enumerate(rows):
-        edges = np.flatnonzero(np.frombuffer(b" " + packed + b" ", np.uint8) == 32).tolist()
-        windows += [packed[a : b - 1] for a, b in zip(edges, edges[window:], strict=False)]
-        owner += [n] * (len(windows) - firsts[-1])
-        firsts.append(len(windows))
-    docs = np.array([r[0] for r in rows], np.int64)[owner]
-    order = sorted(range(len(windows)), key=windows.__getitem__)
-    run = np.cumsum([0, *(windows[a] != windows[b] for a, b in zip(order, order[1:], strict=False))])
-    starts = np.flatnonzero(np.diff(run, prepend=-1))
-    again = np.zeros(len(windows) + 1, bool)
-    again[order] = docs[order] > np.minimum.reduceat(docs[order], starts)[run]
-    out = []
-    for (doc, row, start, _), a, b in zip(rows, firsts[:-1], firsts[1:], strict=True):
-        edges = np.flatnonzero(np.diff(np.concatenate([[0], again[a:b].astype(np.int8), [0]])))
-        out += [(doc, row, start + int(i), int(j - i)) for i, j in zip(edges[::2], edges[1::2], strict=True)]
-    return out
+class _Numbers(dict):
+    def __missing__(self, word: bytes) -> int:
+        self[word] = value = len(self)
+        return value
+
+
+def window_ranks(words: np.ndarray, window: int) -> np.ndarray:
+    """A number for the run of `window` words at each position, equal for equal runs: ranks of runs of 1, 2, 4, ... words, each
+    sorted from the pairs of ranks of its halves (overlapping ones in the end)."""
+    ranks, size = words.astype(np.int64), 1
+    while size < window:
+        step = min(size, window - size)
+        pairs = ranks[: len(ranks) - step] * (len(words) + 1) + ranks[step:]
+        ranks = np.unique(pairs, return_inverse=True)[1]
+        size += step
+    return ranks
+
+
+def repeats_in_buckets(rows: list[tuple[int, int, int, np.ndarray]], window: int) -> np.ndarray:
+    """(document, row, first word, windows) of the windows that also start in a smaller document, for rows (document, row,
+    first word, word numbers) of whole buckets; equal windows share a bucket."""
+    sizes = np.array([len(r[3]) for r in rows])
+    own = np.repeat(np.arange(len(rows)), sizes)
+    at = np.arange(len(own)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    first = np.flatnonzero(at <= sizes[own] - window)
+    if not len(first):
+        return np.zeros((0, 4), np.int64)
+    run = window_ranks(np.concatenate([r[3] for r in rows]), window)[first]
+    docs, keys, starts = (np.array([r[i] for r in rows], np.int64) for i in (0, 1, 2))
+    row = own[first]
+    order = np.argsort(run, kind="stable")
+    begins = np.flatnonzero(np.diff(run[order], prepend=-1))
+    least = np.empty(int(run.max()) + 1, np.int64)
+    least[run[order][begins]] = np.minimum.reduceat(docs[row][order], begins)
+    gone = np.flatnonzero(docs[row] > least[run])
+    if not len(gone):
+        return np.zeros((0, 4), np.int64)
+    fresh = np.flatnonzero(np.diff(first[gone], prepend=-2) + np.diff(row[gone], prepend=-2) * len(own) != 1)
+    r, count = row[gone][fresh], np.diff(np.append(fresh, len(gone)))
+    return np.stack([docs[r], keys[r], starts[r] + at[first[gone][fresh]], count], axis=1)
 
 
 _REPEATS = "doc_id long, row long, start long, windows long"
 
 
 def _bucket_repeats(packed: DataFrame, window: int) -> DataFrame:
-    schema = pa.schema([(n, pa.int64()) for n in ("doc_id", "row", "start", "windows")])
+    names = [c.split()[0] for c in _REPEATS.split(", ")]
 
     def run(batches):
-        key, rows = None, []
+        # Whole buckets are gathered until they hold enough words; only numbers of words are kept.
+        key, rows, numbers, size = None, [], _Numbers(), 0
 
         def settled():
-            found = repeats_in_bucket(rows, window) if len(rows) > 1 else []
-            return [pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(4)], schema=schema)] if found else []
+            found = repeats_in_buckets(rows, window) if rows else np.zeros((0, 4), np.int64)
+            return [pa.RecordBatch.from_arrays([pa.array(c) for c in found.T], names=names)] if len(found) else []
 
         for batch in batches:
-            for k, *row in zip(*(batch.column(c).to_pylist() for c in ("key", "doc_id", "row", "start", "packed")), strict=True):
-                if k != key:
+            for k, doc, row, start, text in zip(*(batch.column(c).to_pylist() for c in ("key", "doc_id", "row", "start", "packed")), strict=True):
+                if k != key and size >= SORTED_WORDS:
                     yield from settled()
-                    key, rows = k, []
-                rows.append(tuple(row))
+                    rows, numbers, size = [], _Numbers(), 0
+                key = k
+                words = text.split(b" ")
+                rows.append((doc, row, start, np.fromiter(map(numbers.__getitem__, words), np.int32, len(words))))
+                size += len(words)
         yield from settled()
 
     dealt = packed.repartition("key").sortWithinPartitions("key")

@@ -40,6 +40,21 @@ def test_super_kmers_cover_every_window_once(tokens, order):
     assert got == [(0, i) for i in range(max(0, len(tokens) - 49))] + [(1, i) for i in range(6)]
 
 
+@given(st.lists(st.tuples(st.integers(0, 5), st.lists(st.integers(0, 1), min_size=1, max_size=24)), min_size=1, max_size=8), st.integers(1, 9))
+def test_repeats_by_sorting(rows, window):
+    """Sorted windows against a dictionary of them."""
+    given_ = [(doc, n, 100 * n, np.array(words, np.int32)) for n, (doc, words) in enumerate(rows)]
+    least = {}
+    for doc, words in rows:
+        for i in range(len(words) - window + 1):
+            w = tuple(words[i : i + window])
+            least[w] = min(least.get(w, doc), doc)
+    want = {(n, i) for n, (doc, words) in enumerate(rows) for i in range(len(words) - window + 1) if least[tuple(words[i : i + window])] < doc}
+    got = substring_dedup.repeats_in_buckets(given_, window).tolist()
+    cover = [(n, start - 100 * n + i) for doc, n, start, count in got for i in range(count)]
+    assert len(cover) == len(set(cover)) and set(cover) == want and all(rows[n][0] == doc for doc, n, _, _ in got)
+
+
 @given(st.lists(st.sampled_from("abcde"), min_size=2, max_size=40), st.integers(1, 20))
 def test_stretch_hash_is_of_content(tokens, size):
     flat, _ = words.hashed([[t.encode() for t in tokens]])
