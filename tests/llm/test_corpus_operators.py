@@ -608,6 +608,35 @@ def test_substring_dedup_rows_of_one_id(spark):
     assert got == [(1, 90, 0), (2, 1, 0), (2, 91, 90), (2, 180, 90), (2, 180, 90), (3, 91, 90)]
 
 
+def test_very_long_texts(spark):
+    """Texts of megabytes, one of them a repeated line, are worked through whole."""
+    from tokenizers import Tokenizer
+
+    rnd = random.Random(9)
+    long = " ".join(f"w{rnd.randrange(10**6)}" for _ in range(150_000))
+    lines = "the same line again\n" * 60_000
+    rows = [(1, long, "en", "a", 1), (2, f"{long} and a tail", "en", "b", 1), (3, lines, "en", "c", 1), (4, None, None, None, None)]
+    docs = spark.createDataFrame(rows, DOCS)
+    near = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicates(docs).collect()}
+    sets = {i: len({tuple(w[k : k + 5]) for k in range(len(w) - 4)}) for i, t, *_ in rows for w in [words_of(t)]}
+    assert near == {1: (sets[1], 1), 2: (sets[2], 1), 3: (4, 3), 4: (0, 4)}
+    removed = {r["doc_id"]: (r["n_words"], r["n_removed"]) for r in substring_dedup.without_repeats(docs).collect()}
+    assert removed == {1: (150_000, 0), 2: (150_003, 150_000), 3: (240_000, 0), 4: (0, 0)}
+    told = {r["doc_id"]: r for r in media.read_media(media.store_media(docs)).collect()}
+    for i, t, *_ in rows:
+        assert told[i]["payload_sha256"] == hashlib.sha256(media.padded((t or "").encode())).hexdigest()
+    library = Tokenizer.from_file(bpe.default_path())
+    for r in bpe.token_digests(docs).collect():
+        ids = library.encode(rows[r["doc_id"] - 1][1] or "", add_special_tokens=False).ids
+        assert (r["n_tokens"], r["ids_sha256"]) == (len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest())
+    named = language_id.identified(docs, language_id.fit(docs.withColumn("lang", F.when(F.col("doc_id") < 3, "en").otherwise("xx")))).collect()
+    assert {r["doc_id"]: r["lang_pred"] == "und" for r in named} == {1: False, 2: False, 3: False, 4: True}
+    kept = {r["doc_id"]: r["n_lines"] for r in line_dedup.without_boilerplate(docs, min_sites=2).collect()}
+    assert kept == {1: 1, 2: 1, 3: 60_001, 4: 0}
+    found = decontamination.find_contamination(docs, spark.createDataFrame([(7, " ".join(long.split()[100_000:100_012]))], "item_id long, text string")).collect()
+    assert {r["doc_id"]: r["items"] for r in found} == {1: ["7"], 2: ["7"], 3: [], 4: []}
+
+
 def test_empty_tables(spark, empty, sf_dir):
     bench = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     labels = spark.createDataFrame([], "doc_id long, toxic int")
