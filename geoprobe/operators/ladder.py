@@ -342,6 +342,35 @@ def trained(rows: DataFrame, model: enc.Model, config: Config | None = None) ->
     return (best[1] if best else model), history
 
 
+WEIGHTS = "model string, strategy string, shape string, rank int, alpha double, part string, tensor string, dims array<int>, data binary"
+
+
+def weights_table(spark, models: dict[str, enc.Model]) -> DataFrame:
+    """Models as rows, one for each tensor (its part: encoder, extra or texts), to be kept as Parquet."""
+    rows = []
+    for name, m in models.items():
+        for part, tensors in (("encoder", m.encoder), ("extra", m.extra), ("texts", {"texts": m.texts})):
+            rows += [(name, m.strategy, m.shape, m.rank, m.alpha, part, k, list(v.shape), np.ascontiguousarray(v, np.float32).tobytes()) for k, v in tensors.items()]
+    return spark.createDataFrame(rows, WEIGHTS)
+
+
+def models_of(table: DataFrame) -> dict[str, enc.Model]:
+    """The models of a weights table (as many as were kept; a model's size doesn't depend on data). Those of frozen strategies share one encoder."""
+    found: dict[str, dict] = {}
+    for r in table.collect():
+        one = found.setdefault(r["model"], {"head": r, "encoder": {}, "extra": {}, "texts": {}})
+        one[r["part"]][r["tensor"]] = np.frombuffer(r["data"], np.float32).reshape(r["dims"])
+    base, out = None, {}
+    for name, one in sorted(found.items()):
+        h, encoder = one["head"], one["encoder"]
+        if h["strategy"] in enc.FROZEN:
+            encoder = base = base or encoder
+        start = enc.Model.start(h["strategy"], encoder, one["texts"]["texts"], rank=h["rank"], alpha=h["alpha"], shape=h["shape"])
+        order = [k for k in start.extra if k in one["extra"]] + sorted(k for k in one["extra"] if k not in start.extra)
+        out[name] = replace(start, extra={k: one["extra"][k] for k in order})
+    return out
+
+
 def predicted(models: dict[str, enc.Model], images: np.ndarray) -> dict[str, np.ndarray]:
     """Predictions of every model. Models with the frozen encoder share its features, and a model whose last block alone was
     changed reads what the frozen one's last block reads."""

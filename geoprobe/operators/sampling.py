@@ -39,7 +39,7 @@ def common_density(density: DataFrame) -> DataFrame:
 def quotas(density: DataFrame, rounding: str = "round") -> DataFrame:
     """region, n, area, density, quota = min(n, common density x area, rounded half up, down or up)."""
     turn = {"round": lambda x: F.floor(x + 0.5), "floor": F.floor, "ceil": F.ceil}[rounding]
-    common = density.agg(F.min("density").alias("common")).scalar()
+    common = F.min("density").over(Window.partitionBy(F.lit(0)))  # a row per region; the pool is counted once
     return density.select("region", "n", "area", "density", F.least(F.col("n"), turn(common * F.col("area"))).cast("long").alias("quota"))
 
 

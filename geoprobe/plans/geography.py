@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.scalars import hash01_sql, haversine_sql, rounded, rounded_sql, seeded
 from ..operators import duplicates, sampling, spatial
-from ..session import checkpointed
+from ..session import checkpointed, swept, tables_written
 from ..sources.tables import CAPTURES_SQL, captures, load, region_dim
 
 QUERIES: dict = {}
@@ -25,8 +25,10 @@ def register(sql: str | None = None):
 
 
 def split_rows(spark: SparkSession, sf_dir: str, eligible: str = "true") -> DataFrame:
-    """The sampled captures with their split."""
-    return sampling.stratified_split(sampling.density_sample(captures(spark, sf_dir, eligible)))
+    """The sampled captures with their split: drawn once and written, as the steps after it read it several times."""
+    mark = tables_written()
+    sample = checkpointed(sampling.density_sample(captures(spark, sf_dir, eligible)))
+    return swept(checkpointed(sampling.stratified_split(sample)), mark)
 
 
 def chain(where: str = "true") -> str:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions import scalars, tables
 from ..functions.scalars import hash01_sql, haversine_km, rounded, rounded_sql
-from ..operators import cues, duplicates, measures, rasters, sampling, spatial
+from ..operators import cues, duplicates, masks, measures, rasters, sampling, spatial
 from ..session import spread, workers_can_import
 from ..sources.tables import captures, load
 from . import geography
@@ -59,6 +59,12 @@ for _spec, _name in (("edges", "edges_56"), ("blur", "macro_blur_56"), *((f"scra
 register(name="inpaint_contact_secret")(_transform_query("remove:contact_secret", "fast_marching"))
 
 
+@register()
+def cue_masks(spark, sf_dir):
+    """Pixels under the mask of every cue, from the mask table of all documents."""
+    return masks.mask_sizes(masks.detected(spread(load(spark, sf_dir, "documents").select("doc_id", "text"))))
+
+
 @register("SELECT doc_id, md5(regexp_replace(coalesce(text, ''), '[A-Za-z0-9._%+-]+@[A-Za-z0-9.-]+|\\d[\\d.\\-]{7,}\\d', '', 'g')) AS digest FROM documents")
 def text_cue_removal(spark, sf_dir):
     return load(spark, sf_dir, "documents").select("doc_id", F.md5(cues.removed(F.coalesce("text", F.lit("")), "contact_secret")).alias("digest"))

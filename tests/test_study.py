@@ -357,6 +357,35 @@ def test_removal_and_random_mask_queries(spark, sf_dir, images, cue):
             assert got["changed"] <= m.sum() and (got["digest"] == digest(y) or np.allclose(rasters.inpainted(x, m), y, atol=0.01))
 
 
+def test_weights_table(spark, fitted, tmp_path):
+    ladder.weights_table(spark, fitted.models).write.parquet(str(tmp_path / "weights"))
+    again = ladder.models_of(spark.read.parquet(str(tmp_path / "weights")))
+    rng = np.random.default_rng(2)
+    some = rng.integers(0, 256, (5, 56, 56, 3), np.uint8)
+    a, b = ladder.predicted(fitted.models, some), ladder.predicted(again, some)
+    assert again.keys() == fitted.models.keys() and all(np.array_equal(a[n], b[n]) for n in a)
+    assert all(set(again[n].trainable()) == set(m.trainable()) for n, m in fitted.models.items())
+
+
+def test_mask_table(spark, sf_dir, tmp_path, images):
+    from geoprobe.operators import masks
+
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    table = masks.detected(docs)
+    for _ in range(2):
+        masks.write_masks(table, str(tmp_path / "masks"))
+    got = {(r["doc_id"], r["cue"]): r for r in spark.read.parquet(str(tmp_path / "masks")).collect()}
+    assert len(got) == 4 * docs.count()
+    for i, (text, _) in images.items():
+        for cue in rasters.CUES:
+            mask, r = rasters.cue_mask(text, cue), got[i, cue]
+            assert np.array_equal(masks.unpacked(r["mask"]), mask) and r["pixels"] == mask.sum() and r["coverage"] == pytest.approx(mask.mean())
+    sizes = {r["cue"]: r for r in catalogue.QUERIES["cue_masks"](spark, sf_dir).collect()}
+    assert all(sizes[c]["pixels"] == sum(r["pixels"] for (_, x), r in got.items() if x == c) for c in rasters.CUES)
+    own = masks.detected(docs.limit(3), {"dark": lambda text: rasters.of_text(text).max(axis=2) == 0}).collect()
+    assert {r["cue"] for r in own} == {"dark"}
+
+
 def test_measures_over_the_log_need_no_exchange_of_it(spark, sf_dir):
     log = rule_logs.lineitem_log(spark, sf_dir)
     assert "pred0" in log.columns and measures.paired(log) is log
