@@ -152,6 +152,41 @@ def test_prompts_and_controls(spark, sf_dir, fitted):
     assert all(0 <= r["correct1"] <= r["n"] and r["majority"] <= r["n"] for r in second) and len({r["n"] for r in second}) == 1
 
 
+def test_prompt_texts(spark, sf_dir):
+    """Descriptors by tf-idf between classes, worked out once more; the four conditions from them."""
+    import re
+
+    from geoprobe.operators import prompts
+
+    corpus = prompts.alignment_corpus(spark.read.parquet(f"{sf_dir}/pages.parquet"), spark.read.parquet(f"{sf_dir}/conversations.parquet")).collect()
+    counts = collections.defaultdict(collections.Counter)
+    for r in corpus:
+        if r["lang"]:
+            counts[r["lang"]].update(w for w in re.split(r"[\W\d_]+", r["text"].lower()) if len(w) > 1)
+    names = sorted(counts)
+    holders = collections.Counter(w for own in counts.values() for w in own)
+    top = {n: [w for w, _ in sorted(((w, c * math.log((len(names) + 1) / holders[w])) for w, c in own.items()), key=lambda x: (-x[1], x[0]))[: prompts.WORDS]] for n, own in counts.items()}
+    told = {c: {r["region"]: r["text"] for r in query(spark, sf_dir, f"prompt_{c}")} for c in prompts.CONDITIONS}
+    for i, n in enumerate(names):
+        words = " ".join(top[n])
+        assert told["visual_only"][i] == words == told["swapped"][(i + 1) % len(names)] and told["baseline"][i].endswith(words) and n in told["baseline"][i]
+        assert told["baseline"][i] in told["padded"][i] and len(told["padded"][i].split()) > len(told["baseline"][i].split())
+    assert all(set(t) == set(range(len(names))) for t in told.values())
+
+
+def test_fast_marching_follows_its_surroundings():
+    """On a ramp the fill lies between what surrounds it, follows the ramp, and doesn't depend on what was under the mask."""
+    x = np.repeat(np.arange(56, dtype=np.float32)[None, :, None] * 4, 56, axis=0).repeat(3, axis=2)
+    mask = np.zeros((56, 56), bool)
+    mask[20:30, 20:28] = True
+    out = rasters.inpainted(x, mask, "fast_marching")
+    junk = x.copy()
+    junk[mask] = 255
+    assert np.array_equal(out, rasters.inpainted(junk, mask, "fast_marching"))
+    assert out[mask].min() >= 4 * 17 - 1e-3 and out[mask].max() <= 4 * 30 + 1e-3
+    assert out[24, 20, 0] < out[24, 27, 0] and abs(out[mask] - x[mask]).mean() < abs(rasters.inpainted(x, mask, "mean")[mask] - x[mask]).mean()
+
+
 def test_strata(spark, sf_dir):
     rows = query(spark, sf_dir, "w17_content_strata")
     total = collections.Counter()
@@ -228,6 +263,29 @@ def test_averaged_modes_over_many_tasks(spark, mode):
         assert made[0][-1]["train_loss"] == pytest.approx(made[1][-1]["train_loss"], rel=1e-3)
 
 
+def test_study_of_an_image_folder(spark, tmp_path):
+    """Real image files, resized and cropped to the encoder's size, go through adaptation and probing as documents do."""
+    from geoprobe.sources import images as files
+
+    rng = np.random.default_rng(5)
+    for i in range(60):
+        light = 60 if i % 2 else 190
+        made = np.clip(light + rng.integers(-40, 40, (64, 90, 3)), 0, 255).astype(np.uint8)
+        (tmp_path / f"{i:03d}.ppm").write_bytes(b"P6 90 64 255\n" + made.tobytes())
+    found = files.image_folder(spark, str(tmp_path), side=rasters.SIDE)
+    number = F.regexp_extract("path", r"(\d+)\.ppm$", 1).cast("long")
+    rows = found.select(number.alias("doc_id"), F.lit(None).cast("string").alias("text"), (number % 2).cast("int").alias("y"), F.when(number < 40, "train").when(number < 50, "val").otherwise("test").alias("split"), "pixels")
+    texts = enc.text_features(["dark", "light"])
+    models = {s: enc.Model.start(s, enc.initial(), texts) for s in ("zero_shot", "linear", "last_block")}
+    made = {n: f[0] for n, f in ladder.trained_together(rows, models, ladder.Config(epochs=12, rates={"linear": 0.1, "last_block": 0.01})).items()}
+    got = ladder.probed(rows.where("split = 'test'"), made, ("identity", "blur", "scramble:8", "remove:short_word")).toPandas()
+    assert len(got) == 10 * 3 * 4
+    plain = got[got["transform"] == "identity"]
+    assert (plain[plain["model"] == "last_block"]["pred"] == plain[plain["model"] == "last_block"]["y"]).mean() >= 0.9
+    bare = got[got["transform"] == "remove:short_word"]
+    assert (bare["pred"] == bare["pred0"]).all()
+
+
 def test_dropout_gradients():
     """Masks differ between examples, and gradients through them are right."""
     rng = np.random.default_rng(0)
