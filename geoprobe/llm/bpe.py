@@ -17,6 +17,7 @@ import hashlib
 import json
 import re
 import unicodedata
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -199,9 +200,6 @@ class Encoder:
                     out[n] = ids
         return out
 
-    def word_ids(self, piece: str) -> list[int]:
-        return self.merged_words([piece.encode()])[0]
-
     def pieces_of(self, chunk: str) -> list[str]:
         """Pieces of a run without white space; composing and lower-casing can be done run by run."""
         if chunk.isascii():
@@ -211,18 +209,8 @@ class Encoder:
             text = "".join(map(str.lower, text)) if "Σ" in text else text.lower()
         return [text] if text.isalpha() else self.pieces.findall(text)
 
-    def chunk_ids(self, chunk: str) -> list[int]:
-        return [i for piece in self.pieces_of(chunk) for i in self.word_ids(piece)]
-
     def encode(self, text: str) -> list[int]:
-        out: list[int] = []
-        for part in self.cut.split(text):
-            if part in self.special:
-                out.append(self.special[part])
-            else:
-                for chunk in runs(part):
-                    out += self.chunk_ids(chunk)
-        return out
+        return self.encoded([text])[0]
 
     def decode(self, ids: list[int]) -> str:
         """Token strings joined by spaces: the vocabulary file names no decoder, special tokens are kept."""
@@ -248,9 +236,8 @@ class Encoder:
         self.remember(fresh)
         return fresh
 
-    def summaries(self, texts: list[str]) -> list[tuple[int, str, str]]:
-        """Token count, digest of the decimal ids and digest of the decoded text of each text; what the texts of a batch
-        bring that is new is merged together."""
+    def decimals(self, texts: list[str]) -> Iterator[bytes]:
+        """The decimal ids of each text, joined by spaces; what the texts of a batch bring that is new is merged together."""
         cut, found, new = [], [], {}
         find = self.known.get
         for text in texts:
@@ -265,9 +252,16 @@ class Encoder:
             found.append(ids)
         fresh = {x: str(i).encode() for x, i in self.special.items() if x in new}
         fresh |= self.rendered([x for x in new if x not in fresh])
-        out = []
         for parts, ids in zip(cut, found, strict=True):
-            joined = b" ".join([x for x in (fresh[p] if got is None else got for p, got in zip(parts, ids, strict=True)) if x])
+            yield b" ".join([x for x in (fresh[p] if got is None else got for p, got in zip(parts, ids, strict=True)) if x])
+
+    def encoded(self, texts: list[str]) -> list[list[int]]:
+        return [list(map(int, x.split())) for x in self.decimals(texts)]
+
+    def summaries(self, texts: list[str]) -> list[tuple[int, str, str]]:
+        """Token count, digest of the decimal ids and digest of the decoded text of each text."""
+        out = []
+        for joined in self.decimals(texts):
             tokens = joined.split()
             decoded = " ".join(map(self.by_number.__getitem__, tokens))
             out.append((len(tokens), hashlib.sha256(joined).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest()))
@@ -291,7 +285,7 @@ def tokenised(docs: DataFrame, path: str | None = None) -> DataFrame:
     place = path or default_path()
 
     def run(batch: pa.RecordBatch) -> dict:
-        made = [encoder(place).encode(t or "") for t in batch.column("text").to_pylist()]
+        made = encoder(place).encoded([t or "" for t in batch.column("text").to_pylist()])
         return {"doc_id": batch.column("doc_id"), "ids": made, "decoded": [encoder(place).decode(x) for x in made]}
 
     return map_text(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, "doc_id long, ids array<int>, decoded string")
