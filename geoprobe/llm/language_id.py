@@ -63,6 +63,8 @@ class Landmarks:
         rows = np.zeros((len(sets), int(self.starts[-1])), np.float32)
         for row, own in zip(rows, sets, strict=True):
             for grams, start, vocabulary in zip(own, self.starts, self.grams, strict=False):
+                if not len(vocabulary):
+                    continue
                 at = np.minimum(np.searchsorted(vocabulary, grams), len(vocabulary) - 1)
                 row[start + at[vocabulary[at] == grams]] = len(grams) ** -0.5
         return rows
