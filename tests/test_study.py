@@ -472,6 +472,32 @@ def test_vector_pairs_against_all(spark, sf_dir):
     assert set(got) <= want and len(got) >= 0.9 * len(want) > 0
 
 
+def test_linked_vectors_against_all(spark, sf_dir, monkeypatch):
+    data = [(r["vec_id"], r["embedding"]) for r in spark.read.parquet(f"{sf_dir}/embeddings.parquet").orderBy("vec_id").limit(300).collect()]
+    data += [(1000 + i, data[7][1]) for i in range(40)] + [(2000, None), (2001, []), (2002, [float("nan")] * 64), (2003, [1.0]), (2004, [2.0]), (2005, [1.0, None]), (None, data[9][1])]
+    rows = spark.createDataFrame(data, "vec_id long, embedding array<float>").repartition(3)
+    fit = lambda v: bool(v) and None not in v and np.isfinite(v).all()
+    near = lambda v, w: fit(v) and fit(w) and len(v) == len(w) and math.dist(v, w) < 1.1
+    want = {}
+    links = [[j for j, (_, w) in enumerate(data) if j != i and near(v, w)] for i, (_, v) in enumerate(data)]
+    for i in range(len(data)):
+        seen, todo = {i}, [i]
+        while todo:
+            fresh = set(links[todo.pop()]) - seen
+            seen |= fresh
+            todo += fresh
+        want[data[i][0]] = (min((data[j][0] for j in seen if data[j][0] is not None), default=None), len(links[i]))
+    assert max(n for _, n in want.values()) >= 40 and len({c for c, _ in want.values()}) > 5
+    for block, slab in ((4096, 32 << 20), (64, 100 * 256)):
+        monkeypatch.setattr(duplicates, "BLOCK", block)
+        monkeypatch.setattr(duplicates, "SLAB_BYTES", slab)
+        got = duplicates.linked_vectors(rows, "vec_id", 1.1).collect()
+        assert {r["vec_id"]: (r["class_id"], r["n_links"]) for r in got} == want and len(got) == len(data)
+    pairs = {(r["a"], r["b"]): r["distance"] for r in duplicates.near_duplicates(rows, "embedding", "vec_id", 1.1).collect()}
+    assert pairs == {(a, b): pytest.approx(math.dist(data[i][1], data[j][1])) for i, (a, _) in enumerate(data) for j in links[i] if (b := data[j][0]) is not None and a is not None and a < b}
+    assert duplicates.linked_vectors(rows.limit(0), "vec_id", 1.1).count() == 0
+
+
 def test_polygon_centre_and_null_predictions(spark):
     ring = "array(named_struct('lon', 1D, 'lat', 1D), named_struct('lon', 4D, 'lat', 1D), named_struct('lon', 1D, 'lat', 4D))"
     got = spatial.polygon_centroids(spark.sql(f"SELECT 7 AS region, {ring} AS ring")).first()
