@@ -37,3 +37,14 @@ def test_raster_blocks_of_the_vectors(spark, sf_dir):
     assert len(rows) == 4 * len(vectors) and {(r["top"], r["left_"]) for r in rows} == {(0, 0), (0, 3), (3, 0), (3, 3)}
     for r in rows[:50]:
         assert r["pixels"] == sum(math.floor(vectors[r["vec_id"]][y * 8 + x] * 1e6 + 0.5) for y in range(r["top"], r["top"] + 3) for x in range(r["left_"], r["left_"] + 3))
+
+
+def test_polygons_of_the_views(spark, sf_dir, folder):
+    got = {r["region"]: r for r in catalogue.QUERIES["region_centroids_polygon"](spark, sf_dir).collect()}
+    views = captures(spark, sf_dir).groupBy("region").agg(*(f(c).alias(f"{n}_{c}") for n, f in (("low", F.min), ("high", F.max)) for c in ("lat", "lon"))).collect()
+    assert len(got) == len(views) == 8 and all(r[f"low_{c}"] < got[r["region"]][f"c_{c}"] < r[f"high_{c}"] for r in views for c in ("lat", "lon"))
+    rows = [(0, 2.0, 0.0), (0, 4.0, 2.0), (0, 2.0, 4.0), (0, 0.0, 2.0), (0, 2.0, 2.0), (1, 5.0, 5.0)]
+    made = {r["region"]: r for r in spatial.polygon_centroids(spatial.outer_rings(spark.createDataFrame(rows, "region int, lon double, lat double"))).collect()}
+    assert made[0]["c_lat"] == pytest.approx(2) and made[0]["c_lon"] == pytest.approx(2) and made[1]["c_lat"] is None
+    few = catalogue.QUERIES["region_centroids_polygon"](spark, folder("events", lambda r: {}, 1)).collect()
+    assert [r["c_lat"] for r in few] == [None]
