@@ -48,3 +48,10 @@ def test_polygons_of_the_views(spark, sf_dir, folder):
     assert made[0]["c_lat"] == pytest.approx(2) and made[0]["c_lon"] == pytest.approx(2) and made[1]["c_lat"] is None
     few = catalogue.QUERIES["region_centroids_polygon"](spark, folder("events", lambda r: {}, 1)).collect()
     assert [r["c_lat"] for r in few] == [None]
+
+
+def test_trainable_parameters_follow_the_classes_of_the_pages(spark, sf_dir, folder):
+    many, few = ({r["strategy"]: r for r in catalogue.QUERIES["trainable_parameters"](spark, d).collect()} for d in (sf_dir, folder("pages", lambda r: dict(html='<html lang="en"><p>one text of many words here</p></html>'))))
+    assert many["linear"]["classes"] > 1 and few["linear"]["classes"] == 1 and few["linear"]["parameters"] < many["linear"]["parameters"]
+    want = enc.Model.start("linear", enc.initial(), np.zeros((many["linear"]["classes"], enc.OUT), np.float32)).trainable_parameters()
+    assert many["linear"]["parameters"] == want
