@@ -55,3 +55,12 @@ def test_trainable_parameters_follow_the_classes_of_the_pages(spark, sf_dir, fol
     assert many["linear"]["classes"] > 1 and few["linear"]["classes"] == 1 and few["linear"]["parameters"] < many["linear"]["parameters"]
     want = enc.Model.start("linear", enc.initial(), np.zeros((many["linear"]["classes"], enc.OUT), np.float32)).trainable_parameters()
     assert many["linear"]["parameters"] == want
+
+
+def test_lr_schedule_counts_training_documents(spark, sf_dir, folder):
+    got = {r["epoch"]: r for r in catalogue.QUERIES["lr_schedule"](spark, sf_dir).collect()}
+    train = probing.sampled(probing.scenes(spark, sf_dir)).where("split = 'train'").count()
+    assert train > 0 and all(r["images"] == train and r["first_step"] == e * r["steps"] and 8 * r["steps"] - 8 < train <= 8 * r["steps"] for e, r in got.items())
+    assert [got[e]["rate_1e12"] for e in range(10)] == [math.floor(1e8 * (1 + math.cos(math.pi * e / 10)) / 2 + 0.5) for e in range(10)]
+    fewer = catalogue.QUERIES["lr_schedule"](spark, folder("documents", lambda r: {}, 40)).first()
+    assert 0 < fewer["images"] <= 40
