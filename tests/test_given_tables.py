@@ -64,3 +64,11 @@ def test_lr_schedule_counts_training_documents(spark, sf_dir, folder):
     assert [got[e]["rate_1e12"] for e in range(10)] == [math.floor(1e8 * (1 + math.cos(math.pi * e / 10)) / 2 + 0.5) for e in range(10)]
     fewer = catalogue.QUERIES["lr_schedule"](spark, folder("documents", lambda r: {}, 40)).first()
     assert 0 < fewer["images"] <= 40
+
+
+def test_checkpoint_choice_reads_orders(spark, folder):
+    priced = lambda p, year: dict(o_totalprice=p, o_orderdate=f"{year}-05-05", o_orderpriority="1-URGENT")
+    made = folder("orders", lambda r: priced(120_000.0, 1993))
+    assert {r["method"]: (r["epoch"], r["correct"] == r["n"] > 0) for r in catalogue.QUERIES["checkpoint_choice"](spark, made).collect()} == {"by_price": (2, True), "by_date": (2, True)}
+    runs = spark.createDataFrame([("linear", 0, 4, 2), ("linear", 1, 4, 3), ("linear", 2, 4, 3), ("full", 0, 4, 4), ("full", 1, 4, 3)], "method string, epoch int, n long, correct long")
+    assert {r["method"]: r["epoch"] for r in measures.best_epoch(runs).collect()} == {"linear": 1, "full": 0}
