@@ -72,3 +72,10 @@ def test_checkpoint_choice_reads_orders(spark, folder):
     assert {r["method"]: (r["epoch"], r["correct"] == r["n"] > 0) for r in catalogue.QUERIES["checkpoint_choice"](spark, made).collect()} == {"by_price": (2, True), "by_date": (2, True)}
     runs = spark.createDataFrame([("linear", 0, 4, 2), ("linear", 1, 4, 3), ("linear", 2, 4, 3), ("full", 0, 4, 4), ("full", 1, 4, 3)], "method string, epoch int, n long, correct long")
     assert {r["method"]: r["epoch"] for r in measures.best_epoch(runs).collect()} == {"linear": 1, "full": 0}
+
+
+def test_published_accuracy_is_that_of_the_views(spark, sf_dir, folder):
+    views = load(spark, sf_dir, "events").count()
+    for r in catalogue.QUERIES["published_accuracy"](spark, sf_dir).collect():
+        assert r["n"] == views and abs(r["percent"] - r["published"]) < 6 and r["published"] == round(100 * rule_logs.CORRECT[r["model"]] / rule_logs.TEST, 2)
+    assert {r["n"] for r in catalogue.QUERIES["published_accuracy"](spark, folder("events", lambda r: {}, 50)).collect()} == {50}
