@@ -79,3 +79,10 @@ def test_published_accuracy_is_that_of_the_views(spark, sf_dir, folder):
     for r in catalogue.QUERIES["published_accuracy"](spark, sf_dir).collect():
         assert r["n"] == views and abs(r["percent"] - r["published"]) < 6 and r["published"] == round(100 * rule_logs.CORRECT[r["model"]] / rule_logs.TEST, 2)
     assert {r["n"] for r in catalogue.QUERIES["published_accuracy"](spark, folder("events", lambda r: {}, 50)).collect()} == {50}
+
+
+def test_published_switch_rates_are_those_of_the_views(spark, sf_dir):
+    views, rows = load(spark, sf_dir, "events").count(), catalogue.QUERIES["published_switch_rates"](spark, sf_dir).collect()
+    assert len(rows) == sum(map(len, rule_logs.SWITCHED.values()))
+    for r in rows:
+        assert r["percent"] == pytest.approx(100 * r["switched"] / views, abs=0.006) and abs(r["percent"] - r["published"]) < 6
