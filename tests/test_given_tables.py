@@ -86,3 +86,11 @@ def test_published_switch_rates_are_those_of_the_views(spark, sf_dir):
     assert len(rows) == sum(map(len, rule_logs.SWITCHED.values()))
     for r in rows:
         assert r["percent"] == pytest.approx(100 * r["switched"] / views, abs=0.006) and abs(r["percent"] - r["published"]) < 6
+
+
+def test_published_regions_are_those_of_the_views(spark, sf_dir):
+    views = {r["region"]: r["n"] for r in load(spark, sf_dir, "events").groupBy((F.col("user_id") % 8).alias("region")).agg(F.count("*").alias("n")).collect()}
+    got = {r["region"]: r for r in catalogue.QUERIES["published_regions"](spark, sf_dir).collect()}
+    assert {n: got[n]["n"] for _, _, n in REGIONS} == {n: views[r] for r, _, n in REGIONS}
+    for name, (images, zero, full) in rule_logs.REGION_COUNTS.items():
+        assert abs(got[name]["zero_shot"] - 100 * zero / images) < 20 and abs(got[name]["full_update"] - 100 * full / images) < 20
