@@ -94,3 +94,10 @@ def test_published_regions_are_those_of_the_views(spark, sf_dir):
     assert {n: got[n]["n"] for _, _, n in REGIONS} == {n: views[r] for r, _, n in REGIONS}
     for name, (images, zero, full) in rule_logs.REGION_COUNTS.items():
         assert abs(got[name]["zero_shot"] - 100 * zero / images) < 20 and abs(got[name]["full_update"] - 100 * full / images) < 20
+
+
+def test_published_prompts_are_those_of_the_views(spark, sf_dir, folder):
+    got = {r["condition"]: r for r in catalogue.QUERIES["published_prompts"](spark, sf_dir).collect()}
+    assert {c for c, r in got.items() if r["below_chance"]} == {"swapped"} and all(abs(r["percent"] - r["published"]) < 6 for r in got.values())
+    one = catalogue.QUERIES["published_prompts"](spark, folder("events", lambda r: {}, 1)).collect()
+    assert len(one) == 4 and {r["percent"] for r in one} <= {0.0, 100.0}
