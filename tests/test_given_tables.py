@@ -101,3 +101,10 @@ def test_published_prompts_are_those_of_the_views(spark, sf_dir, folder):
     assert {c for c, r in got.items() if r["below_chance"]} == {"swapped"} and all(abs(r["percent"] - r["published"]) < 6 for r in got.values())
     one = catalogue.QUERIES["published_prompts"](spark, folder("events", lambda r: {}, 1)).collect()
     assert len(one) == 4 and {r["percent"] for r in one} <= {0.0, 100.0}
+
+
+def test_published_control_is_that_of_the_views(spark, sf_dir, folder):
+    got = {r["transform"]: r for r in catalogue.QUERIES["published_control"](spark, sf_dir).collect()}
+    assert set(got) == set(rule_logs.CONTROL_CORRECT) - {"identity"} and all(abs(r["relative_drop"] - r["published"]) < 6 for r in got.values())
+    some = catalogue.QUERIES["published_control"](spark, folder("events", lambda r: {}, 30)).collect()
+    assert all(0 <= r["correct"] <= 30 for r in some)
